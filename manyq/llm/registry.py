@@ -6,12 +6,20 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from manyq.llm import line_dedup
+from manyq.llm import exact_dedup, line_dedup, secret_scan
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_line_dedup": line_dedup.op1_line_dedup}
+    return {
+        "op1_line_dedup": line_dedup.op1_line_dedup,
+        "op2_exact_dedup": exact_dedup.op2_exact_dedup,
+        "op4_secret_scan": secret_scan.op4_secret_scan,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_line_dedup": line_dedup.ORACLE_SQL}
+    return {
+        "op1_line_dedup": line_dedup.ORACLE_SQL,
+        "op2_exact_dedup": exact_dedup.ORACLE_SQL,
+        "op4_secret_scan": secret_scan.ORACLE_SQL,
+    }
