@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from manyq.llm import exact_dedup, line_dedup, secret_scan
+from manyq.llm import exact_dedup, html_text, line_dedup, secret_scan
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_line_dedup": line_dedup.op1_line_dedup,
         "op2_exact_dedup": exact_dedup.op2_exact_dedup,
+        "op3_html_text": html_text.op3_html_text,
         "op4_secret_scan": secret_scan.op4_secret_scan,
     }
 
