@@ -36,3 +36,46 @@ def mix(h: np.ndarray) -> np.ndarray:
     h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
     return h ^ (h >> np.uint64(31))
+
+
+_BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
+_BASE_INVERSE = np.uint64(pow(int(_BASE), -1, 1 << 64))
+_powers: dict[str, np.ndarray] = {}
+
+
+def _powers_to(n: int) -> tuple[np.ndarray, np.ndarray]:
+    if not _powers or len(_powers["up"]) < n:
+        size = max(n, 1 << 20) + 1
+        _powers["up"], _powers["down"] = (np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(size, b)])) for b in (_BASE, _BASE_INVERSE))
+    return _powers["up"], _powers["down"]
+
+
+class Words:
+    """Word hashes of many texts at once: a polynomial over the bytes from running sums, spread by `mix`.
+
+    parts: for every byte whether it belongs to a word. Texts are joined by a newline, which must not.
+    """
+
+    def __init__(self, parts: np.ndarray, seed: int = 11):
+        self.parts, self.values = parts, random_table(seed)
+
+    def of(self, texts: list[bytes], prefixes: tuple[int, ...] = ()) -> tuple:
+        """(hashes of all words in order, the first word of each text and the end); with prefixes, in between, a list of the hashes of the words' first so many bytes."""
+        joined = np.frombuffer(b"\n".join(texts) + b"\n", np.uint8)
+        starts_of_texts = np.concatenate([[0], np.cumsum([len(t) + 1 for t in texts])])
+        edge = np.diff(self.parts[joined].view(np.int8), prepend=np.int8(0))
+        starts, ends = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+        up, down = _powers_to(len(joined))
+        sums = np.zeros(len(joined) + 1, np.uint64)
+        np.cumsum(self.values[joined] * up[: len(joined)], out=sums[1:])
+        of = lambda stops, salt: mix((sums[stops] - sums[starts]) * down[starts] + np.uint64(salt))
+        first = np.searchsorted(starts, starts_of_texts)
+        if prefixes:
+            return of(ends, 0), [of(np.minimum(ends, starts + p), p) for p in prefixes], first
+        return of(ends, 0), first
+
+
+#: Words between ASCII white space, as bytes.split() has them.
+NOT_BLANK = np.array([chr(b) not in " \t\n\x0b\x0c\r" for b in range(256)])
+#: Words of ASCII letters and digits, and of all other characters.
+LETTERS = np.array([b >= 128 or chr(b).isalnum() for b in range(256)])

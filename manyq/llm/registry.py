@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from manyq.llm import byte_bpe, exact_dedup, html_text, line_dedup, secret_scan
+from manyq.llm import byte_bpe, exact_dedup, html_text, line_dedup, secret_scan, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -16,6 +16,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_html_text": html_text.op3_html_text,
         "op4_secret_scan": secret_scan.op4_secret_scan,
         "op8_byte_bpe": byte_bpe.op8_byte_bpe,
+        "op9_toxicity": toxicity.op9_toxicity,
     }
 
 
