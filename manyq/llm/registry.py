@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from manyq.llm import byte_bpe, exact_dedup, html_text, line_dedup, packing, secret_scan, toxicity
+from manyq.llm import byte_bpe, exact_dedup, html_text, line_dedup, near_dedup, packing, secret_scan, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -15,6 +15,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_exact_dedup": exact_dedup.op2_exact_dedup,
         "op3_html_text": html_text.op3_html_text,
         "op4_secret_scan": secret_scan.op4_secret_scan,
+        "op5_near_dedup": near_dedup.op5_near_dedup,
         "op6_packing": packing.op6_packing,
         "op8_byte_bpe": byte_bpe.op8_byte_bpe,
         "op9_toxicity": toxicity.op9_toxicity,
@@ -26,4 +27,5 @@ def oracle_sql() -> dict[str, str]:
         "op1_line_dedup": line_dedup.ORACLE_SQL,
         "op2_exact_dedup": exact_dedup.ORACLE_SQL,
         "op4_secret_scan": secret_scan.ORACLE_SQL,
+        "op5_near_dedup": near_dedup.ORACLE_SQL,
     }
