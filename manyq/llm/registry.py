@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from manyq.llm import byte_bpe, exact_dedup, html_text, line_dedup, near_dedup, packing, secret_scan, toxicity
+from manyq.llm import byte_bpe, exact_dedup, html_text, line_dedup, near_dedup, nearest, packing, secret_scan, toxicity
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -17,6 +17,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op4_secret_scan": secret_scan.op4_secret_scan,
         "op5_near_dedup": near_dedup.op5_near_dedup,
         "op6_packing": packing.op6_packing,
+        "op7_nearest": nearest.op7_nearest,
         "op8_byte_bpe": byte_bpe.op8_byte_bpe,
         "op9_toxicity": toxicity.op9_toxicity,
     }
