@@ -59,20 +59,24 @@ class Words:
     def __init__(self, parts: np.ndarray, seed: int = 11):
         self.parts, self.values = parts, random_table(seed)
 
-    def of(self, texts: list[bytes], prefixes: tuple[int, ...] = ()) -> tuple:
-        """(hashes of all words in order, the first word of each text and the end); with prefixes, in between, a list of the hashes of the words' first so many bytes."""
-        joined = np.frombuffer(b"\n".join(texts) + b"\n", np.uint8)
+    def located(self, texts: list[bytes], prefixes: tuple[int, ...] = ()) -> tuple[bytes, np.ndarray, np.ndarray, np.ndarray, list[np.ndarray]]:
+        """(the joined texts, starts and ends of all words there, the first word of each text and the end, hashes); the hashes of whole words, then of their first so many bytes for each of prefixes."""
+        joined = b"\n".join(texts) + b"\n"
+        slab = np.frombuffer(joined, np.uint8)
         starts_of_texts = np.concatenate([[0], np.cumsum([len(t) + 1 for t in texts])])
-        edge = np.diff(self.parts[joined].view(np.int8), prepend=np.int8(0))
+        edge = np.diff(self.parts[slab].view(np.int8), prepend=np.int8(0))
         starts, ends = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
-        up, down = _powers_to(len(joined))
-        sums = np.zeros(len(joined) + 1, np.uint64)
-        np.cumsum(self.values[joined] * up[: len(joined)], out=sums[1:])
-        of = lambda stops, salt: mix((sums[stops] - sums[starts]) * down[starts] + np.uint64(salt))
-        first = np.searchsorted(starts, starts_of_texts)
-        if prefixes:
-            return of(ends, 0), [of(np.minimum(ends, starts + p), p) for p in prefixes], first
-        return of(ends, 0), first
+        up, down = _powers_to(len(slab))
+        sums = np.zeros(len(slab) + 1, np.uint64)
+        np.cumsum(self.values[slab] * up[: len(slab)], out=sums[1:])
+        before, shrink = sums[starts], down[starts]
+        hashes = [mix((sums[stops] - before) * shrink + np.uint64(p)) for p, stops in ((0, ends), *((p, np.minimum(ends, starts + p)) for p in prefixes))]
+        return joined, starts, ends, np.searchsorted(starts, starts_of_texts), hashes
+
+    def of(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """(hashes of all words in order, the first word of each text and the end)."""
+        _, _, _, first, hashes = self.located(texts)
+        return hashes[0], first
 
 
 #: Words between ASCII white space, as bytes.split() has them.

@@ -19,46 +19,49 @@ from __future__ import annotations
 import functools
 import re
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from manyq.llm.arrow import text_bytes
+from manyq.llm.arrow import NOT_BLANK, Words, slabs, text_bytes
 from manyq.llm.common import materialise, table
 
 LENGTH, END_ID = 4096, 2
 #: Words whose ids a worker remembers; beyond, it starts anew.
-KEPT_WORDS = 600_000
+KEPT_WORDS = 800_000
 # Fixed value: the tokenizer's own pattern, as it applies to lower-case ASCII.
 ASCII_PIECES = re.compile(rb"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\sa-z0-9]+")
 #: Slices of doc_ids in which ranks are taken.
 SLICES = 64
 
 
-class Remembered(dict):
-    """A dict that keeps about its last `most` entries: two halves, of which the older is let go."""
+class Remembered:
+    """About the last `most` entries: two dicts, of which the older is let go when the newer is full."""
 
     def __init__(self, most: int):
-        super().__init__()
-        self.most, self.older = most // 2, {}
-
-    def __missing__(self, key: bytes) -> bytes:
-        value = self.older[key]
-        self[key] = value
-        return value
-
-    def add(self, key: bytes, value: bytes) -> None:
-        if len(self) >= self.most:
-            self.older = dict(self)
-            self.clear()
-        self[key] = value
+        self.most, self.newer, self.older = most // 2, {}, {}
+
+    def look_up(self, keys: list[bytes], make: Callable[[list[bytes]], list[bytes]]) -> list[bytes]:
+        """The values of distinct keys, those not known made by `make`."""
+        out = list(map(self.newer.get, keys))
+        gaps = [i for i, v in enumerate(out) if v is None]
+        if gaps:
+            old = [self.older.get(keys[i]) for i in gaps]
+            made = iter(make([keys[i] for i, v in zip(gaps, old, strict=True) if v is None]))
+            if len(self.newer) + len(gaps) > self.most:
+                self.older, self.newer = self.newer, {}
+            for i, v in zip(gaps, old, strict=True):
+                out[i] = next(made) if v is None else v
+                if len(keys[i]) <= 64:
+                    self.newer[keys[i]] = out[i]
+        return out
 
 
 class WordIds:
-    """The ids of a text as little-endian 32-bit words.
+    """The ids of texts as little-endian 32-bit words.
 
     White space parts this vocabulary's pieces, so words are encoded one by one and remembered. A new word of ASCII alone
     is lower-cased and cut as the tokenizer itself would, and its pieces are remembered as well.
@@ -69,34 +72,31 @@ class WordIds:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
+        self.coder = Words(NOT_BLANK)
         self.words, self.pieces = Remembered(KEPT_WORDS), Remembered(KEPT_WORDS)
 
-    def _encode(self, new: list[bytes], into: Remembered) -> None:
-        for w, e in zip(new, self.tokenizer.encode_batch_fast([w.decode() for w in new], add_special_tokens=False), strict=True):
-            into.add(w, np.array(e.ids, "<u4").tobytes())
-
-    def of(self, text: bytes) -> bytes:
-        words, known = text.split(), self.words
-        new = [w for w in dict.fromkeys(words) if w not in known and w not in known.older]
-        if not new:
-            return b"".join(map(known.__getitem__, words))
-        own: dict[bytes, bytes] = {}
-        cut = {w: ASCII_PIECES.findall(w.lower()) for w in new if w.isascii()}
-        pieces = self.pieces
-        fresh = list({p for x in cut.values() for p in x if p not in pieces and p not in pieces.older})
-        own_pieces = Remembered(1 << 60)
-        self._encode(fresh, own_pieces)
-        for w, x in cut.items():
-            own[w] = b"".join([own_pieces[p] if p in own_pieces else pieces[p] for p in x])
-        whole = Remembered(1 << 60)
-        self._encode([w for w in new if w not in cut], whole)
-        own.update(whole)
-        out = b"".join([own[w] if w in own else known[w] for w in words])
-        for kept, more in ((known, own), (pieces, own_pieces)):
-            for key, value in more.items():
-                if len(key) <= 64:
-                    kept.add(key, value)
-        return out
+    def _encode(self, new: list[bytes]) -> list[bytes]:
+        encoded = self.tokenizer.encode_batch_fast([w.decode() for w in new], add_special_tokens=False) if new else []
+        return [np.array(e.ids, "<u4").tobytes() for e in encoded]
+
+    def _new(self, words: list[bytes]) -> list[bytes]:
+        cut = [ASCII_PIECES.findall(w.lower()) if w.isascii() else None for w in words]
+        pieces = list({p for x in cut if x for p in x})
+        own = dict(zip(pieces, self.pieces.look_up(pieces, self._encode), strict=True))
+        other = iter(self._encode([w for w, x in zip(words, cut, strict=True) if x is None]))
+        return [next(other) if x is None else own[x[0]] if len(x) == 1 else b"".join(map(own.__getitem__, x)) for x in cut]
+
+    def of_all(self, texts: list[bytes]) -> list[np.ndarray]:
+        """Each text's ids. Equal words of all texts are found by hash and looked up once."""
+        joined, starts, ends, first, (hashes,) = self.coder.located(texts)
+        _, at, place = np.unique(hashes, return_index=True, return_inverse=True)
+        ids = self.words.look_up([joined[a:b] for a, b in zip(starts[at].tolist(), ends[at].tolist(), strict=True)], self._new)
+        size = np.array([len(i) >> 2 for i in ids], np.int64)
+        flat = np.frombuffer(b"".join(ids), "<u4")
+        own = size[place]
+        stop = np.concatenate([[0], np.cumsum(own)])
+        out = flat[np.repeat((np.cumsum(size) - size)[place] - stop[:-1], own) + np.arange(stop[-1])]
+        return [out[stop[first[i]] : stop[first[i + 1]]] for i in range(len(texts))]
 
 
 @functools.lru_cache(maxsize=2)
@@ -116,15 +116,17 @@ def pieces_of(docs: DataFrame, tokenizer_path: str, length: int = LENGTH, end_id
         coder = word_ids(tokenizer_path)
         for batch in batches:
             row, tokens, starts, sizes, sums = [], [], [], [], []
-            for i, text in enumerate(text_bytes(batch.column(1))):
-                ids = coder.of(text) + end
-                for at in range(0, len(ids), 4 * length):
-                    own = ids[at : at + 4 * length]
-                    row.append(i)
-                    tokens.append(len(ids) // 4)
-                    starts.append(at // 4)
-                    sizes.append(len(own) // 4)
-                    sums.append(zlib.crc32(own))
+            texts = text_bytes(batch.column(1))
+            for lo, hi, _ in slabs(texts, 2 << 20):
+                for i, ids in enumerate(coder.of_all(texts[lo:hi]), lo):
+                    ids = ids.tobytes() + end
+                    for at in range(0, len(ids), 4 * length):
+                        own = ids[at : at + 4 * length]
+                        row.append(i)
+                        tokens.append(len(ids) // 4)
+                        starts.append(at // 4)
+                        sizes.append(len(own) // 4)
+                        sums.append(zlib.crc32(own))
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row, pa.int32())), *[pa.array(x, pa.int64()) for x in (tokens, starts, sizes, sums)]], ["doc_id", "doc_tokens", "start", "length", "ids_crc32"])
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, doc_tokens long, start long, length long, ids_crc32 long")

@@ -38,8 +38,8 @@ def term_lists(texts: list[bytes]) -> list[np.ndarray]:
     """The distinct hashed terms of each text, sorted."""
     words, out = Words(LETTERS), []
     for lo, hi, _ in slabs(texts):
-        hashes, stems, first = words.of([t.decode().lower().encode() for t in texts[lo:hi]], prefixes=PREFIXES)
-        terms = (np.stack([hashes, *stems], 1) >> np.uint64(64 - BITS)).astype(np.int64)
+        _, _, _, first, hashes = words.located([t.decode().lower().encode() for t in texts[lo:hi]], PREFIXES)
+        terms = (np.stack(hashes, 1) >> np.uint64(64 - BITS)).astype(np.int64)
         out += [np.unique(terms[first[i] : first[i + 1]]) for i in range(hi - lo)]
     return out
 
