@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+import corpus_pipeline
 from manyq.llm import byte_bpe, exact_dedup, html_text, line_dedup, near_dedup, nearest, packing, secret_scan, substring_dedup, toxicity
 
 
@@ -21,6 +22,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op8_byte_bpe": byte_bpe.op8_byte_bpe,
         "op9_toxicity": toxicity.op9_toxicity,
         "op10_substring_dedup": substring_dedup.op10_substring_dedup,
+        "pipeline": corpus_pipeline.run,
     }
 
 

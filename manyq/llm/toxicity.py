@@ -10,7 +10,7 @@ its size is fixed by `BITS` and `FACTORS`. Every row of every table is scored on
 
 Defined cases: null and empty texts have no terms and get the score of the bias. Labels that are null, or doc_ids that
 are, teach nothing; a doc_id with contradicting labels counts once, as toxic. Without labelled rows of both classes the
-score is the share of toxic ones (0 without any). Rows that repeat come back once each; extra columns pass through `keep_clean`.
+score is the share of toxic ones (0 without any). Rows that repeat come back once each; extra columns pass through `keep_below`.
 """
 
 from __future__ import annotations
@@ -160,9 +160,9 @@ def with_scores(docs: DataFrame, machine: Machine) -> DataFrame:
     return docs.mapInArrow(run, schema)
 
 
-def keep_clean(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """docs without those that score at least THRESHOLD."""
-    return with_scores(docs, learn(docs, labels)).where(F.col("_score") < THRESHOLD).select(*docs.columns)
+def keep_below(docs: DataFrame, machine: Machine, threshold: float = THRESHOLD) -> DataFrame:
+    """docs without those that score at least the threshold."""
+    return with_scores(docs, machine).where(F.col("_score") < threshold).select(*docs.columns)
 
 
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
