@@ -4,7 +4,9 @@ The measure is the largest inner product. As trees split by direction, vectors a
 that gives all of them one norm (queries get zero there), which keeps the order of inner products. The trees are grown on
 at most `fit_rows` rows, taken by the order of a hash of vec_id; every row is then indexed, once in each tree. A query
 walks all trees through one priority queue, nearest places first, until the leaves it has reached hold `share` of all
-rows; the leaves' rows are scored exactly, in double precision, and the best of all leaves returned.
+rows; the leaves' rows are scored exactly, in double precision, and the best of all leaves returned. A leaf returns only
+rows that reach the query's k-th best score among those rows of the growing sample that the query's own leaves hold: the
+best of all leaves do, and so many rows do in any case.
 
 Leaves meet queries in cogroups of bounded size: a leaf with many rows or many queries (copies of one vector) is cut into
 chunks of both. `share` trades cost for recall: vectors without structure, such as most of the tests' tables, have no
@@ -54,11 +56,19 @@ def _norm2(vector: str) -> Column:
     return F.aggregate(vector, F.lit(0.0), lambda s, v: s + v.cast("double") * v.cast("double"))
 
 
-def best_of(queries: np.ndarray, query_ids: np.ndarray, rows: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(query index, row index, score) of each query's k best rows, ties to the smaller id; the query's own id is left out."""
+def kth_best(rough: np.ndarray, k: int) -> np.ndarray:
+    """Each row's k-th largest entry; minus infinity where there are fewer."""
+    return np.partition(rough, rough.shape[1] - k, axis=1)[:, rough.shape[1] - k] if rough.shape[1] >= k else np.full(len(rough), -np.inf)
+
+
+def best_of(queries: np.ndarray, query_ids: np.ndarray, known: np.ndarray, rows: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query index, row index, score) of each query's k best rows, ties to the smaller id; the query's own id is left out.
+
+    known: a score that k rows of the table are known to reach; rows below it are left out.
+    """
     rough = queries @ rows.T
     rough[query_ids[:, None] == ids[None, :]] = -np.inf
-    least = np.partition(rough, len(ids) - k, axis=1)[:, len(ids) - k] if len(ids) > k else np.full(len(queries), -np.inf)
+    least = np.maximum(kth_best(rough, k), known)
     slack = 1e-9 * (1 + np.abs(np.where(np.isfinite(least), least, 0)))
     q, r = np.nonzero((rough >= (least - slack)[:, None]) & np.isfinite(rough))
     score = np.einsum("ij,ij->i", queries[q], rows[r])  # the same sum for equal vectors, wherever they stand
@@ -85,10 +95,14 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_
     schema = f"query_id {kind}, rank int, vec_id {kind}, score double"
     if not total:
         return spark.createDataFrame([], schema)
-    chosen = good.orderBy(F.xxhash64("vec_id"), "vec_id").limit(fit_rows).select("vector").collect()
-    sample = _lengthened(np.array([r[0] for r in chosen]), norm2)
-    # Memory and the forest's size are bounded by the sample; leaves of larger tables are cut into chunks.
+    chosen = good.orderBy(F.xxhash64("vec_id"), "vec_id").limit(fit_rows).select("vec_id", "vector").collect()
+    sample = _lengthened(np.array([r["vector"] for r in chosen]), norm2)
+    # Rows that share a vec_id count once towards what is known to be reached.
+    _, once = np.unique(np.array([r["vec_id"] for r in chosen], np.int64), return_index=True)
+    seen_ids, seen = np.array([r["vec_id"] for r in chosen], np.int64)[once], sample[once, :-1].T.copy()
+    # The forest's size is bounded by the sample; leaves of larger tables are cut into chunks.
     forest: list[Tree] = grow_forest(sample, trees, max(16, leaf_rows * len(sample) // total))
+    seen_leaf = [t.leaf_of(sample[once]) for t in forest]
     budget = int(share * total)
 
     def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -124,7 +138,7 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_
     parts_v = [np.maximum(1, -(-c // CHUNK)) for c in counts]
     parts_q = [np.maximum(1, -(-a // CHUNK)) for a in asks]
 
-    def copies(b: pa.RecordBatch, at: np.ndarray, tree: np.ndarray, leaf: np.ndarray, is_row: bool) -> pa.RecordBatch:
+    def copies(b: pa.RecordBatch, at: np.ndarray, tree: np.ndarray, leaf: np.ndarray, is_row: bool, known: np.ndarray) -> pa.RecordBatch:
         """Each row to its own chunk of rows (or queries) and to all chunks of the other side."""
         nv, nq = _dealt(tree, leaf, parts_v, parts_q)
         own, other = (nv, nq) if is_row else (nq, nv)
@@ -135,7 +149,7 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_
         v, q = (mine[to], theirs) if is_row else (theirs, mine[to])
         columns = [pa.array(a.astype(np.int32)) for a in (tree[to], leaf[to], v, q)]
         take = pa.array(at[to])
-        return pa.RecordBatch.from_arrays([*columns, b.column(0).take(take), b.column(1).take(take)], ["tree", "leaf", "v", "q", "id", "vector"])
+        return pa.RecordBatch.from_arrays([*columns, b.column(0).take(take), b.column(1).take(take), pa.array(known[at[to]])], ["tree", "leaf", "v", "q", "id", "vector", "known"])
 
     def index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -143,25 +157,37 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_
             for t, tree in enumerate(forest):
                 leaf = tree.leaf_of(x)
                 live = np.flatnonzero(asks[t][leaf] > 0)
-                yield copies(b, live, np.full(len(live), t), leaf[live], True)
+                yield copies(b, live, np.full(len(live), t), leaf[live], True, np.zeros(len(x)))
 
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b, at, tree, leaf in ways(batches):
-            yield copies(b, at, tree, leaf, False)
+            x, ids = _matrix(b.column(1)).astype(np.float64), b.column(0).to_numpy()
+            known = np.empty(len(x))
+            for lo in range(0, len(x), 256):
+                rough = x[lo : lo + 256] @ seen
+                reached = np.zeros(rough.shape, bool)
+                for t, tree_ in enumerate(forest):
+                    own = (at >= lo) & (at < lo + 256) & (tree == t)
+                    looked = np.zeros((len(rough), tree_.leaves), bool)
+                    looked[at[own] - lo, leaf[own]] = True
+                    reached |= looked[:, seen_leaf[t]]
+                rough[~reached | (ids[lo : lo + 256, None] == seen_ids[None, :])] = -np.inf
+                known[lo : lo + 256] = kth_best(rough, k)
+            yield copies(b, at, tree, leaf, False, known)
 
     def score(left: pa.Table, right: pa.Table) -> pa.Table:
         ask_ids, ids = left["id"].to_numpy(), right["id"].to_numpy()
-        empty = not len(ask_ids) or not len(ids)
+        empty, known = not len(ask_ids) or not len(ids), left["known"].to_numpy()
         x, y = (np.zeros((len(i), 1)) if empty else _matrix(t["vector"].combine_chunks()).astype(np.float64) for t, i in ((left, ask_ids), (right, ids)))
         parts = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))] if empty else []
         for lo in range(0, 0 if empty else len(x), 512):
-            q, r, s = best_of(x[lo : lo + 512], ask_ids[lo : lo + 512], y, ids, k)
+            q, r, s = best_of(x[lo : lo + 512], ask_ids[lo : lo + 512], known[lo : lo + 512], y, ids, k)
             parts.append((q + lo, r, s))
         q, r, s = (np.concatenate(p) for p in zip(*parts, strict=True))
         return pa.table({"query_id": pa.array(ask_ids[q], left["id"].type), "vec_id": pa.array(ids[r], right["id"].type), "score": s})
 
     vector = good.schema["vector"].dataType.simpleString()
-    dealt = f"tree int, leaf int, v int, q int, id {kind}, vector {vector}"
+    dealt = f"tree int, leaf int, v int, q int, id {kind}, vector {vector}, known double"
     by = ("tree", "leaf", "v", "q")
     asking, indexed = queries.mapInArrow(ask, dealt), good.mapInArrow(index, dealt)
     met = asking.groupBy(*by).cogroup(indexed.groupBy(*by)).applyInArrow(score, f"query_id {kind}, vec_id {kind}, score double")
