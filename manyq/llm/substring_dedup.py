@@ -3,12 +3,13 @@
 All suffixes of a corpus cannot be sorted in one place, and most repeat nothing. So every start of a 100-byte string is
 given an anchor: of the string's 24-byte grams the one of least hash. Equal strings have equal anchors at equal offsets,
 and neighbouring starts mostly share one, so an anchor stands for a run of about 38 starts. Anchors that occur once are
-done. Of the rest, runs whose bytes agree as a whole (by 128-bit digests) are copies of the first of them. Where an anchor
+done. Of the rest, runs whose bytes agree as a whole (by the anchor's and their own 64-bit hashes) are copies of the first
+of them. Where an anchor
 has different runs, as at the edges of a repeated passage, the first run of each kind goes to a deep-shallow suffix sort,
 which finds the equal 100-byte strings among them and so the first start of each. An anchor of very many kinds of runs is
 cut by the hash of the 100-byte strings themselves, which keeps equal ones together, so that no task's work grows with it.
 
-Ids, digests and run lengths are moved; texts move by doc_id alone, to those who look into them.
+Hashes, ids and run lengths are moved; texts move by doc_id alone, once for the edges' bytes and once to be cut.
 
 Defined cases: null text counts as empty; texts under 100 bytes lose nothing. Rows without doc_id match nothing and lose
 nothing. Rows that repeat with one doc_id are one document: none makes the other a repeat, and what is found in one is
@@ -39,9 +40,9 @@ PLACE_BITS = 20
 SEGMENT = 900_000
 
 
-def runs_of(texts: list[bytes], span: int = SPAN) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(row, first start, starts, anchor hash) of the runs of starts that share an anchor, over all texts."""
-    values, out = random_table(41), []
+def runs_of(texts: list[bytes], span: int = SPAN) -> tuple[np.ndarray, ...]:
+    """(row, first start, starts, anchor hash, hash of the run's bytes) of the runs of starts that share an anchor, over all texts."""
+    values, others, out = random_table(41), random_table(43), []
     width, low = span - GRAM + 1, np.uint64((1 << PLACE_BITS) - 1)
 
     def add(slab: np.ndarray, row: np.ndarray, valid: np.ndarray, base: np.ndarray) -> None:
@@ -59,8 +60,10 @@ def runs_of(texts: list[bytes], span: int = SPAN) -> tuple[np.ndarray, np.ndarra
         at = np.flatnonzero(valid[: len(least)])
         anchor = (least[at] & low).astype(np.int64)
         first = np.flatnonzero(np.concatenate([[True], (anchor[1:] != anchor[:-1]) | (row[at[1:]] != row[at[:-1]])])) if len(at) else np.empty(0, np.int64)
-        start = at[first]
-        out.append((row[start], start - base[start], np.diff(np.append(first, len(at))), grams[anchor[first]]))
+        start, n = at[first], np.diff(np.append(first, len(at)))
+        np.cumsum(others[slab] * up[: len(slab)], out=sums[1:])
+        whole = mix((sums[start + n + (span - 1)] - sums[start]) * down[start])
+        out.append((row[start], start - base[start], n, grams[anchor[first]], whole))
 
     for lo, hi, at in slabs(texts, SEGMENT):
         if hi - lo == 1 and len(texts[lo]) > SEGMENT:
@@ -75,38 +78,23 @@ def runs_of(texts: list[bytes], span: int = SPAN) -> tuple[np.ndarray, np.ndarra
         size = np.diff(at)
         row, base = np.repeat(np.arange(lo, hi), size), np.repeat(at[:-1], size)
         add(slab, row, np.arange(len(slab)) + span <= np.repeat(at[1:], size), base)
-    parts = list(zip(*out, strict=True)) or [[]] * 4
-    kinds = (np.int64, np.int64, np.int64, np.uint64)
+    parts = list(zip(*out, strict=True)) or [[]] * 5
+    kinds = (np.int64, np.int64, np.int64, np.uint64, np.uint64)
     return tuple(np.concatenate(p) if len(p) else np.empty(0, k) for p, k in zip(parts, kinds, strict=True))  # type: ignore[return-value]
 
 
 def _anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(h, doc, n): each document's distinct anchors; n is 2 where one has several runs."""
+    """(h, n): the anchors of a batch and how many runs each has there."""
     for batch in batches:
-        row, _, _, h = runs_of(text_bytes(batch.column(1)))
-        order = np.lexsort((h, row))
-        row, h = row[order], h[order]
-        first = np.flatnonzero(np.concatenate([[True], (row[1:] != row[:-1]) | (h[1:] != h[:-1])])) if len(h) else np.empty(0, np.int64)
-        n = np.minimum(2, np.diff(np.append(first, len(h))))
-        yield pa.RecordBatch.from_arrays([pa.array(h[first].view(np.int64)), batch.column(0).take(pa.array(row[first])), pa.array(n.astype(np.int32))], ["h", "doc", "n"])
+        h, n = np.unique(runs_of(text_bytes(batch.column(1)))[3], return_counts=True)
+        yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(n.astype(np.int64))], ["h", "n"])
 
 
-def _kinds(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """From (doc, text, shared): the runs of shared anchors with the digest of their bytes."""
+def _runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(h, c, doc, start, n): every run with its anchor's hash and its bytes'."""
     for batch in batches:
-        texts = text_bytes(batch.column(1))
-        row, start, n, h = runs_of(texts)
-        shared = batch.column(2)
-        owner = np.repeat(np.arange(batch.num_rows), pc.fill_null(pc.list_value_length(shared), 0).to_numpy(zero_copy_only=False))
-        salt = mix(owner.astype(np.uint64) + np.uint64(1))
-        known = np.sort(shared.flatten().to_numpy(zero_copy_only=False).view(np.uint64) ^ salt)
-        own = h ^ mix(row.astype(np.uint64) + np.uint64(1))
-        place = np.minimum(np.searchsorted(known, own), max(0, len(known) - 1))
-        live = np.flatnonzero(known[place] == own) if len(known) else np.empty(0, np.int64)
-        row, start, n, h = row[live], start[live], n[live], h[live]
-        digest = b"".join([xxhash.xxh3_128_digest(texts[r][s : s + k + SPAN - 1]) for r, s, k in zip(row.tolist(), start.tolist(), n.tolist(), strict=True)])
-        both = np.frombuffer(digest, np.int64).reshape(-1, 2)
-        yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(both[:, 0].copy()), pa.array(both[:, 1].copy()), batch.column(0).take(pa.array(row)), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32))], ["h", "c1", "c2", "doc", "start", "n"])
+        row, start, n, h, c = runs_of(text_bytes(batch.column(1)))
+        yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(c.view(np.int64)), batch.column(0).take(pa.array(row)), pa.array(start.astype(np.int32)), pa.array(n.astype(np.int32))], ["h", "c", "doc", "start", "n"])
 
 
 def _strings(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -178,36 +166,31 @@ def _rank(doc: str, start: str):
     return F.col(doc).cast("decimal(20,0)") * F.lit(2**31).cast("decimal(10,0)") + F.col(start).cast("decimal(10,0)")
 
 
-def _free(spark: SparkSession) -> None:
-    """Let Spark drop the shuffle files that no plan needs any longer; it does so only when the driver collects garbage."""
-    spark.sparkContext._jvm.System.gc()
+def _settled(df: DataFrame, label: str) -> DataFrame:
+    """df written, and Spark told to let go of the shuffle files that made it: it does so when the driver collects garbage."""
+    out = materialise(df, label)
+    df.sparkSession.sparkContext._jvm.System.gc()
+    return out
 
 
 def repeated_spans(docs: DataFrame) -> DataFrame:
     """(doc, a, b): spans of bytes to remove; those of one document may overlap."""
-    spark = docs.sparkSession
     kind = docs.schema["doc_id"].dataType.simpleString()
     texts = docs.where(F.col("doc_id").isNotNull() & (F.octet_length("text") >= SPAN)).select(F.col("doc_id").alias("doc"), "text")
-    anchors = texts.mapInArrow(_anchors, f"h long, doc {kind}, n int")
-    shared = anchors.groupBy("h").agg(F.sum("n").alias("n")).where("n > 1").select("h").hint("shuffle_hash")
-    listed = anchors.join(shared, "h").groupBy("doc").agg(F.collect_list("h").alias("shared"))
-    looked = texts.join(listed.hint("shuffle_hash"), "doc").select("doc", "text", "shared")
-    kinds = materialise(looked.mapInArrow(_kinds, f"h long, c1 long, c2 long, doc {kind}, start int, n int"), "kinds")
-    _free(spark)
-    firsts = kinds.groupBy("c1", "c2").agg(F.min(_rank("doc", "start")).alias("least"), F.min("h").alias("h"), F.min("n").alias("n"), F.count("*").alias("rows"))
-    firsts = materialise(firsts, "firsts")
-    copied = kinds.select("c1", "c2", "doc", "start", "n").join(firsts.where("rows > 1").select("c1", "c2", "least").hint("shuffle_hash"), ["c1", "c2"]).where(_rank("doc", "start") > F.col("least"))
-    whole = copied.select("doc", F.col("start").alias("a"), (F.col("start") + F.col("n") + F.lit(SPAN - 1)).alias("b"))
+    shared = texts.mapInArrow(_anchors, "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).where("n > 1").select("h").hint("shuffle_hash")
+    runs = _settled(texts.mapInArrow(_runs, f"h long, c long, doc {kind}, start int, n int").join(shared, "h"), "runs")
+    firsts = runs.groupBy("h", "c").agg(F.min(_rank("doc", "start")).alias("least"), F.min("n").alias("n"), F.count("*").alias("rows"))
+    firsts = _settled(firsts, "firsts")
+    copied = runs.join(firsts.where("rows > 1").select("h", "c", "least").hint("shuffle_hash"), ["h", "c"]).where(_rank("doc", "start") > F.col("least"))
+    whole = _settled(copied.select("doc", F.col("start").alias("a"), (F.col("start") + F.col("n") + F.lit(SPAN - 1)).alias("b")), "copied")
     many = firsts.groupBy("h").agg(F.count("*").alias("kinds")).where("kinds > 1").hint("shuffle_hash")
     block = F.lit(2**31).cast("decimal(10,0)")
     heads = firsts.join(many, "h").select(F.floor(F.col("least") / block).cast(kind).alias("doc"), F.struct("h", F.pmod("least", block).cast("int").alias("start"), "n", "kinds").alias("run"))
     wanted = heads.groupBy("doc").agg(F.collect_list("run").alias("runs")).hint("shuffle_hash")
     strings = texts.join(wanted, "doc").select("doc", "text", "runs").mapInArrow(_strings, f"h long, part long, doc {kind}, start int, n int, body binary")
     dealt = strings.repartition("h", "part").sortWithinPartitions("h", "part")
-    edges = dealt.mapInArrow(_sorted_out, f"doc {kind}, a int, b int")
-    spans = materialise(whole.unionByName(edges), "spans")
-    _free(spark)
-    return spans
+    edges = _settled(dealt.mapInArrow(_sorted_out, f"doc {kind}, a int, b int"), "edges")
+    return whole.unionByName(edges)
 
 
 def cut_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
