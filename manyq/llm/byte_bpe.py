@@ -23,7 +23,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, SparkSession
 
-from manyq.llm.common import table
+from manyq.llm.common import lean_batches, table
 
 #: Pieces that a worker remembers; beyond, it starts anew. Pairs of tokens likewise.
 KEPT_PIECES, KEPT_PAIRS = 500_000, 500_000
@@ -153,6 +153,7 @@ def coder(path: str, pattern: str) -> BacktrackingBpe:
 def encode_decode(docs: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256) for every row."""
     kind = docs.schema["doc_id"].dataType.simpleString()
+    lean_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = coder(ranks_path, pattern)
@@ -171,6 +172,7 @@ def encode_decode(docs: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
 def encode_ids(docs: DataFrame, ranks_path: str, pattern: str) -> DataFrame:
     """(doc_id, ids array<int>) for every row."""
     kind = docs.schema["doc_id"].dataType.simpleString()
+    lean_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = coder(ranks_path, pattern)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import re
 import tempfile
 import uuid
 
@@ -52,6 +53,17 @@ def _drop_scratch() -> None:
             where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
 
 
+def lean_batches(spark: SparkSession, most: int = 8 << 20) -> None:
+    """Bound the bytes of the batches that Python workers get, however long texts are; a smaller bound is left as it is.
+
+    The setting may be changed at run time and changes no result.
+    """
+    name = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = spark.conf.get(name, None)
+    if now is None or int(re.sub(r"\D", "", now)) > most or not now.rstrip("bB").isdigit():
+        spark.conf.set(name, str(most))
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

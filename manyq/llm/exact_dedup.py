@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from manyq.llm.arrow import random_table, slabs, text_bytes
-from manyq.llm.common import materialise, table
+from manyq.llm.common import lean_batches, materialise, table
 
 #: Mean, least and most bytes of a chunk. The least covers the rolling window, so that a cut depends on its own chunk alone.
 MEAN_BITS, LEAST, MOST = 11, 512, 16384
@@ -107,6 +107,7 @@ def recipes_of(docs: DataFrame, digest: Digest = _digest) -> DataFrame:
     The chunks are checked first. Digests that stand for different bytes (with 128 bits: as good as never) get ordinals
     by their bytes, which are written behind the recipes that hold them.
     """
+    lean_batches(docs.sparkSession)
     id_type = docs.schema["doc_id"].dataType.simpleString()
     plain = docs.select("doc_id", "text").mapInArrow(lambda b: _chunked(b, digest, False), f"doc_id {id_type}, recipe binary, text_sha256 string")
     clashing = materialise(chunks_of(docs, digest).groupBy("digest").agg(F.count("*").alias("n")).where("n > 1").select("digest"), "clashing")

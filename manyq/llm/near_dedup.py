@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from manyq.llm.arrow import NOT_BLANK, Words, mix, random_table, slabs, text_bytes
-from manyq.llm.common import materialise, table
+from manyq.llm.common import lean_batches, materialise, table
 from manyq.llm.components import components
 
 HALVES = 9
@@ -183,6 +183,7 @@ def _links(sets: list[np.ndarray], n: np.ndarray, block: np.ndarray, percent: in
 def find_groups(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """One row per row of docs: doc_id, n_shingles, component_id, kept. Documents link from a similarity of percent / 100."""
     kind = docs.schema["doc_id"].dataType.simpleString()
+    lean_batches(docs.sparkSession)
     signed = materialise(signatures(docs, words), "signed")
     classes = signed.where(F.col("doc_id").isNotNull() & (F.col("n") > 0)).groupBy("digest").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("copies"))
     classes = materialise(classes, "classes")

@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from manyq.llm.arrow import NOT_BLANK, Words, slabs, text_bytes
-from manyq.llm.common import materialise, table
+from manyq.llm.common import lean_batches, materialise, table
 
 LENGTH, END_ID = 4096, 2
 #: Words whose ids a worker remembers; beyond, it starts anew.
@@ -207,6 +207,7 @@ def ranked(pieces: DataFrame) -> DataFrame:
 
 def pack(docs: DataFrame, tokenizer_path: str, length: int = LENGTH) -> DataFrame:
     """One row per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset."""
+    lean_batches(docs.sparkSession)
     pieces = materialise(pieces_of(docs, tokenizer_path, length), "pieces")
     histogram = {r["length"]: r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most `length` rows
     runs = places(pack_histogram(histogram, length))

@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from manyq.llm.arrow import _powers_to, mix, random_table, slabs, text_bytes
-from manyq.llm.common import materialise, table
+from manyq.llm.common import lean_batches, materialise, table
 from manyq.llm.suffix_sort import equal_runs
 
 SPAN, GRAM = 100, 24
@@ -176,6 +176,7 @@ def _settled(df: DataFrame, label: str) -> DataFrame:
 def repeated_spans(docs: DataFrame) -> DataFrame:
     """(doc, a, b): spans of bytes to remove; those of one document may overlap."""
     kind = docs.schema["doc_id"].dataType.simpleString()
+    lean_batches(docs.sparkSession)
     texts = docs.where(F.col("doc_id").isNotNull() & (F.octet_length("text") >= SPAN)).select(F.col("doc_id").alias("doc"), "text")
     shared = texts.mapInArrow(_anchors, "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).where("n > 1").select("h").hint("shuffle_hash")
     runs = _settled(texts.mapInArrow(_runs, f"h long, c long, doc {kind}, start int, n int").join(shared, "h"), "runs")

@@ -26,7 +26,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from manyq.llm.arrow import LETTERS, Words, slabs, text_bytes
-from manyq.llm.common import table
+from manyq.llm.common import lean_batches, table
 
 BITS, FACTORS = 18, 8
 #: Bytes of the word starts that are terms besides the whole words.
@@ -39,7 +39,7 @@ def term_lists(texts: list[bytes]) -> list[np.ndarray]:
     words, out = Words(LETTERS), []
     for lo, hi, _ in slabs(texts):
         _, _, _, first, hashes = words.located([t.decode().lower().encode() for t in texts[lo:hi]], PREFIXES)
-        terms = (np.stack(hashes, 1) >> np.uint64(64 - BITS)).astype(np.int64)
+        terms = np.stack([(h >> np.uint64(64 - BITS)).astype(np.int32) for h in hashes], 1)
         out += [np.unique(terms[first[i] : first[i + 1]]) for i in range(hi - lo)]
     return out
 
@@ -67,10 +67,13 @@ class Machine:
         return out
 
     def scores(self, texts: list[bytes]) -> np.ndarray:
-        lists = term_lists(texts)
-        first = np.concatenate([[0], np.cumsum([len(x) for x in lists])]).astype(np.int64)
-        terms = np.concatenate(lists) if lists else np.empty(0, np.int64)
-        return 1 / (1 + np.exp(-np.clip(self.margins(terms, first), -60, 60)))
+        """Of whole texts, a slab at a time, so that memory does not follow the batch."""
+        out = [np.empty(0)]
+        for lo, hi, _ in slabs(texts):
+            lists = term_lists(texts[lo:hi])
+            first = np.cumsum([0, *map(len, lists)])
+            out.append(1 / (1 + np.exp(-np.clip(self.margins(np.concatenate(lists), first), -60, 60))))
+        return np.concatenate(out)
 
 
 def fit(lists: list[np.ndarray], toxic: np.ndarray, epochs: int = 6, rate: float = 0.2, sparse: float = 1e-3, seed: int = 5, least_rows: int = 4, least_steps: int = 300) -> Machine:
@@ -81,7 +84,9 @@ def fit(lists: list[np.ndarray], toxic: np.ndarray, epochs: int = 6, rate: float
     if not n or share in (0.0, 1.0):
         bias = -60.0 if share == 0 else 60.0
         return Machine(bias, np.zeros(size, np.float32), np.zeros((size, FACTORS), np.float32), np.zeros(size, np.float32))
-    rows = np.bincount(np.concatenate(lists), minlength=size)
+    rows = np.zeros(size, np.int64)
+    for own in lists:
+        rows[own] += 1
     values = np.where(rows >= min(least_rows, max(1, n // 50)), 1 - rows / n, 0).astype(np.float32)
     machine = Machine(float(np.log(share / (1 - share))), np.zeros(size, np.float32), np.zeros((size, FACTORS), np.float32), values)
     machine.vectors[values > 0] = rng.normal(0, 0.003, (int((values > 0).sum()), FACTORS))
@@ -121,25 +126,28 @@ def held_out(doc: Column) -> Column:
     return F.coalesce(F.crc32(doc.cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
-def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = 20_000, seed: int = 5) -> Machine:
+def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = 12_000, seed: int = 5) -> Machine:
     """Fit a machine on at most sample_rows labelled rows that are not held out."""
+    lean_batches(docs.sparkSession)
     known = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out(F.col("doc_id")))
     chosen = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
     texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"])
 
     def terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            packed = [x.astype(np.int32).tobytes() for x in term_lists(text_bytes(b.column(1)))]
+            packed = [x.tobytes() for x in term_lists(text_bytes(b.column(1)))]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(packed, pa.binary()), b.column(2).cast(pa.int32())], ["doc_id", "terms", "toxic"])
 
     def train(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        rows = sorted((r["doc_id"], r["terms"], r["toxic"]) for b in batches for r in b.to_pylist())
-        machine = fit([np.frombuffer(t, np.int32).astype(np.int64) for _, t, _ in rows], np.array([y > 0 for _, _, y in rows], float), seed=seed)
+        rows = sorted((r["doc_id"], r["terms"], r["toxic"]) for b in batches for at in range(0, b.num_rows, 500) for r in b.slice(at, 500).to_pylist())
+        toxic = np.array([y > 0 for _, _, y in rows], float)
+        machine = fit([np.frombuffer(t, np.int32) for _, t, _ in rows], toxic, seed=seed)
         used = np.flatnonzero(machine.values)
         small = (machine.bias, used.astype(np.int32), machine.weights[used], machine.vectors[used], machine.values[used])
         yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(pickle.dumps(small), 1)], pa.binary())], ["machine"])
 
     hashed = texts.mapInArrow(terms, "doc_id long, terms binary, toxic int")
+    # One task by design: at most sample_rows rows, of 4 bytes a term.
     packed = hashed.repartition(1).mapInArrow(train, "machine binary")
     bias, used, weights, vectors, values = pickle.loads(zlib.decompress(packed.first()[0]))
     size = 1 << BITS
@@ -156,6 +164,7 @@ def with_scores(docs: DataFrame, machine: Machine) -> DataFrame:
             scores = machine.scores(text_bytes(b.column(b.schema.names.index("text"))))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scores, pa.float64())], [*b.schema.names, "_score"])
 
+    lean_batches(docs.sparkSession)
     schema = type(docs.schema)([*docs.schema.fields]).add("_score", "double")
     return docs.mapInArrow(run, schema)
 
