@@ -41,7 +41,7 @@ def _in_ranges(df: DataFrame, n: int, salt: Column) -> DataFrame:
     """Deal rows to equal ranges of the hash space, many to a partition, each moved on by the salt."""
     lanes = LANES * n
     lane = F.shiftright(F.shiftrightunsigned("h1", 33) * F.lit(lanes), 31)
-    return df.withColumn("lane", F.pmod(lane + salt, F.lit(lanes)).cast("int")).repartition(n, "lane")
+    return df.withColumn("lane", F.pmod(lane + salt * LANES, F.lit(lanes)).cast("int")).repartition(n, "lane")
 
 
 def drop_bitmaps(docs: DataFrame, min_chars: int = 10, doc: str = "doc_id", text: str = "text") -> DataFrame:
@@ -56,7 +56,7 @@ def drop_bitmaps(docs: DataFrame, min_chars: int = 10, doc: str = "doc_id", text
         .select("doc", "row_key", "pos", line_key(F.col("line")).alias("key"))
         .where(F.char_length("key") >= min_chars)
         .select("doc", "row_key", "pos", F.xxhash64("key").alias("h1"), F.xxhash64(F.lit(0x5EED), "key").alias("h2"))
-        .withColumn("salt", F.pmod(F.xxhash64("doc"), F.lit(LANES * n)).cast("int"))
+        .withColumn("salt", F.pmod(F.xxhash64("doc"), F.lit(n)).cast("int"))
     )
     stream = lambda *by: F.first("doc").over(Window.partitionBy("lane", *by).orderBy("doc", "pos").rowsBetween(Window.unboundedPreceding, 0))
     salted = _in_ranges(lines, n, F.col("salt")).withColumn("first_doc", stream("h1", "h2", "salt"))
