@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import functools
 import re
+import struct
 import zlib
 from collections.abc import Callable, Iterator
 
@@ -26,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from manyq.llm.arrow import NOT_BLANK, Words, slabs, text_bytes
+from manyq.llm.arrow import NOT_BLANK, Words, give_back, slabs, text_bytes
 from manyq.llm.common import lean_batches, materialise, table
 
 LENGTH, END_ID = 4096, 2
@@ -77,7 +78,7 @@ class WordIds:
 
     def _encode(self, new: list[bytes]) -> list[bytes]:
         encoded = self.tokenizer.encode_batch_fast([w.decode() for w in new], add_special_tokens=False) if new else []
-        return [np.array(e.ids, "<u4").tobytes() for e in encoded]
+        return [struct.pack(f"<{len(e.ids)}I", *e.ids) for e in encoded]
 
     def _new(self, words: list[bytes]) -> list[bytes]:
         cut = [ASCII_PIECES.findall(w.lower()) if w.isascii() else None for w in words]
@@ -128,6 +129,7 @@ def pieces_of(docs: DataFrame, tokenizer_path: str, length: int = LENGTH, end_id
                         sizes.append(len(own) // 4)
                         sums.append(zlib.crc32(own))
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row, pa.int32())), *[pa.array(x, pa.int64()) for x in (tokens, starts, sizes, sums)]], ["doc_id", "doc_tokens", "start", "length", "ids_crc32"])
+        give_back()
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, doc_tokens long, start long, length long, ids_crc32 long")
 
