@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -14,7 +16,7 @@ def text_bytes(column: pa.Array) -> list[bytes]:
     return pc.fill_null(column, "").cast(pa.binary() if column.type == pa.string() else pa.large_binary()).to_pylist()
 
 
-def slabs(texts: list[bytes], most: int = 1 << 20) -> Iterator[tuple[int, int, np.ndarray]]:
+def slabs(texts: list[bytes], most: int = 1 << 19) -> Iterator[tuple[int, int, np.ndarray]]:
     """(first row, last row + 1, start offsets and the end) of runs of rows that hold about `most` bytes; a longer row goes alone."""
     at, n = 0, len(texts)
     while at < n:
@@ -26,6 +28,13 @@ def slabs(texts: list[bytes], most: int = 1 << 20) -> Iterator[tuple[int, int, n
         at = to
 
 
+def give_back() -> None:
+    """Return freed memory to the system at a partition's end: workers live on, idle, beside those at work."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):  # other C libraries have no such call
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def random_table(seed: int, n: int = 256, dtype=np.uint64) -> np.ndarray:
     """n fixed pseudo-random odd numbers, from a rule, so that all workers and runs agree."""
     return np.random.Generator(np.random.PCG64(seed)).integers(1, np.iinfo(dtype).max, n, dtype=dtype, endpoint=True) | dtype(1)
@@ -45,7 +54,7 @@ _powers: dict[str, np.ndarray] = {}
 
 def _powers_to(n: int) -> tuple[np.ndarray, np.ndarray]:
     if not _powers or len(_powers["up"]) < n:
-        size = max(n, 1 << 20) + 1
+        size = max(n, 1 << 19) + 1
         _powers["up"], _powers["down"] = (np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(size, b)])) for b in (_BASE, _BASE_INVERSE))
     return _powers["up"], _powers["down"]
 

@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from manyq.llm.arrow import NOT_BLANK, Words, mix, random_table, slabs, text_bytes
+from manyq.llm.arrow import NOT_BLANK, Words, give_back, mix, random_table, slabs, text_bytes
 from manyq.llm.common import lean_batches, materialise, table
 from manyq.llm.components import components
 
@@ -89,6 +89,7 @@ def signatures(docs: DataFrame, words: int) -> DataFrame:
             sets = shingle_sets(text_bytes(batch.column(1)), words)
             hashes = minhashes(sets)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(map(len, sets), pa.int64()), pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary()), pa.array([h.tobytes() for h in hashes], pa.binary())], ["doc_id", "n", "digest", "hashes"])
+        give_back()
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, n long, digest binary, hashes binary")
 
@@ -107,6 +108,7 @@ def table_keys(signed: DataFrame) -> DataFrame:
                 keys = mix(half[:, :HALVES, None] + mix(half[:, None, HALVES:] + salt))
                 ids = part.column(0).take(pa.array(np.repeat(np.arange(part.num_rows), HALVES * HALVES)))
                 yield pa.RecordBatch.from_arrays([pa.array(keys.ravel().view(np.int64)), ids], ["key", "doc_id"])
+        give_back()
 
     return signed.select("doc_id", "hashes").mapInArrow(run, f"key long, doc_id {kind}")
 
@@ -207,6 +209,7 @@ def find_groups(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame
         for batch in batches:
             sets = shingle_sets(text_bytes(batch.column(1)), words)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(map(len, sets), pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["doc_id", "n", "shingles"])
+        give_back()
 
     texts = docs.select("doc_id", "text").join(live.select("doc_id").distinct().hint("shuffle_hash"), "doc_id", "left_semi")
     sets = texts.mapInArrow(own_sets, f"doc_id {kind}, n long, shingles binary")

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from manyq.llm.arrow import LETTERS, Words, slabs, text_bytes
+from manyq.llm.arrow import LETTERS, Words, give_back, slabs, text_bytes
 from manyq.llm.common import lean_batches, table
 
 BITS, FACTORS = 18, 8
@@ -145,6 +145,7 @@ def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = 12_000, seed: i
         used = np.flatnonzero(machine.values)
         small = (machine.bias, used.astype(np.int32), machine.weights[used], machine.vectors[used], machine.values[used])
         yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(pickle.dumps(small), 1)], pa.binary())], ["machine"])
+        give_back()
 
     hashed = texts.mapInArrow(terms, "doc_id long, terms binary, toxic int")
     # One task by design: at most sample_rows rows, of 4 bytes a term.
@@ -163,6 +164,7 @@ def with_scores(docs: DataFrame, machine: Machine) -> DataFrame:
         for b in batches:
             scores = machine.scores(text_bytes(b.column(b.schema.names.index("text"))))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scores, pa.float64())], [*b.schema.names, "_score"])
+        give_back()
 
     lean_batches(docs.sparkSession)
     schema = type(docs.schema)([*docs.schema.fields]).add("_score", "double")
