@@ -4,16 +4,347 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from manyq import relational
+from manyq.functions.ids import step_choice_sql
+from manyq.operators import blocks as B
+from manyq.operators import measures as M
+from manyq.operators import partition as P
+from manyq.operators import seeds
+from manyq.plans import apps, baselines, queries as Q
+from manyq.plans.engine import fork, init_ops
+from manyq.plans.kernels import Push, Relax
+from manyq.plans.policy import Policy, YieldPolicy, policy_ladder
+from manyq.sources import graphs as G
+from manyq.streaming import windows
+
+Query = Callable[[SparkSession, str], DataFrame]
+_queries: dict[str, Query] = {}
+_sql: dict[str, str] = {}
+_kept: dict[tuple, object] = {}
+
+
+def _add(name: str, run: Query, sql: str | None = None) -> None:
+    _queries[name] = run
+    if sql is not None:
+        _sql[name] = sql
+
+
+def _once(key: tuple, make: Callable):
+    """Graphs and blocks are made once in a session and table folder."""
+    if key not in _kept:
+        _kept[key] = make()
+    return _kept[key]
+
+
+def graph(spark: SparkSession, sf_dir: str, name: str) -> G.Graph:
+    return _once((spark.sparkContext.applicationId, sf_dir, name), lambda: G.BUILDERS[name](spark, sf_dir))
+
+
+def blocks(spark: SparkSession, sf_dir: str, name: str, parts: int = 8, plan: str = "chunk") -> B.BlockedGraph:
+    def make() -> B.BlockedGraph:
+        g = graph(spark, sf_dir, name)
+        plans = {"chunk": lambda: P.partition_chunk(g, parts), "ids": lambda: P.partition_chunk(g, parts, by="id"), "random": lambda: P.partition_random(g, parts), "edges": lambda: P.partition_chunk(g, parts, "edges"), "multilevel": lambda: P.partition_multilevel(g, parts)}
+        return B.blocked(g, plans[plan]())
+
+    return _once((spark.sparkContext.applicationId, sf_dir, name, parts, plan), make)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    """Many shortest-path queries on the event grid."""
+    return Q.multi_sssp(blocks(spark, sf_dir, "event_grid", 4), seeds.sample_sources(graph(spark, sf_dir, "event_grid"), 8)).select("query_id", "v", "dist")
+
+
+# Sources and graphs
+
+for _name in G.BUILDERS:
+    _add(f"g_{_name}", lambda s, d, n=_name: graph(s, d, n).edges, f"WITH {G.graph_sql(_name)} SELECT src, dst, w FROM e")
+
+_on = "event_grid"
+_base = f"WITH {G.graph_sql(_on)}"
+_add("src_fixed", lambda s, d: seeds.sample_sources(graph(s, d, _on), 100), f"{_base}, {seeds.sources_sql(100)} SELECT query_id, src FROM src")
+_add("src_frac", lambda s, d: seeds.sample_fraction(graph(s, d, _on), 0.01), f"{_base}, f AS (SELECT greatest(16, ceil(0.01 * n)::BIGINT) AS k FROM nv), r AS (SELECT (row_number() OVER (ORDER BY (id * 7919 + 1) % 10007, id) - 1)::INTEGER AS query_id, id AS src FROM v) SELECT query_id, src FROM r WHERE query_id < (SELECT k FROM f)")
+_add("src_all", lambda s, d: seeds.all_sources(graph(s, d, "geo_tree")), f"WITH {G.graph_sql('geo_tree')} SELECT (row_number() OVER (ORDER BY id) - 1)::INTEGER AS query_id, id AS src FROM v")
+_add("src_degree", lambda s, d: seeds.top_degree(graph(s, d, "supply"), 32), f"WITH {G.graph_sql('supply')} SELECT (row_number() OVER (ORDER BY deg DESC, id) - 1)::INTEGER AS query_id, id AS src FROM v QUALIFY query_id < 32")
+_add("src_batches", lambda s, d: seeds.batches(seeds.sample_sources(graph(s, d, _on), 100), 16), f"{_base}, {seeds.sources_sql(100)} SELECT query_id, src, floor(query_id / 16)::INTEGER AS batch FROM src")
+_add("g_symmetrise", lambda s, d: graph(s, d, "supply").links.groupBy("src").agg(F.count("*").alias("n")), f"WITH {G.graph_sql('supply')} SELECT src, count(*) AS n FROM l GROUP BY src")
+_add("g_weights", lambda s, d: graph(s, d, _on).edges.groupBy("w").agg(F.count("*").alias("n")), f"{_base} SELECT w, count(*) AS n FROM e GROUP BY w")
+_add("graph_stats", lambda s, d: P.graph_stats(graph(s, d, "trade")), f"WITH {G.graph_sql('trade')} SELECT count(*) AS n_vertices, sum(deg)::BIGINT AS n_edges, round(sum(deg)::DOUBLE / count(*), 4) AS avg_deg, max(deg) AS max_deg, (count(*) * 12 + sum(deg) * 20)::BIGINT AS bytes FROM v")
+
+# Partition plans
+
+_ORD = {"event_grid": "SELECT id, (user_id * 1000000 + k)::BIGINT AS ord FROM ev"}
+_chunk = lambda name, p: f"vp AS MATERIALIZED (SELECT v.id, floor((row_number() OVER (ORDER BY {'ord, v.id' if name in _ORD else 'v.id'}) - 1) * {p} / (SELECT n FROM nv))::INTEGER AS part_id FROM v {f'JOIN ({_ORD[name]}) o ON o.id = v.id' if name in _ORD else ''})"
+_random = lambda p: f"vp AS MATERIALIZED (SELECT id, floor((row_number() OVER (ORDER BY (id * 7919 + 1) % 10007, id) - 1) * {p} / (SELECT n FROM nv))::INTEGER AS part_id FROM v)"
+_quality = "q AS (SELECT e.src, e.dst, a.part_id <> b.part_id AS cut FROM e JOIN vp a ON a.id = e.src JOIN vp b ON b.id = e.dst), z AS (SELECT part_id, count(*) AS n FROM vp GROUP BY part_id) SELECT count(*) AS edges, count(*) FILTER (cut) AS cut_edges, round(count(*) FILTER (cut)::DOUBLE / count(*), 6) AS cut_ratio, (SELECT count(*) FROM z) AS parts, (SELECT max(n) FROM z) AS largest, count(DISTINCT src) FILTER (cut) AS boundary FROM q"
+_add("part_plan", lambda s, d: P.graph_stats(graph(s, d, _on)).select("bytes", F.ceil(F.col("bytes") / 65536).cast("int").alias("parts")), f"{_base}, b AS (SELECT (count(*) * 12 + sum(deg) * 20)::BIGINT AS bytes FROM v) SELECT bytes, ceil(bytes / 65536)::INTEGER AS parts FROM b")
+_add("part_random", lambda s, d: P.partition_random(graph(s, d, "supply"), 8), f"WITH {G.graph_sql('supply')}, {_random(8)} SELECT id, part_id FROM vp")
+_add("part_chunk", lambda s, d: P.partition_chunk(graph(s, d, _on), 8), f"{_base}, {_chunk(_on, 8)} SELECT id, part_id FROM vp")
+_add("part_chunk_edges", lambda s, d: P.partition_chunk(graph(s, d, "supply"), 8, "edges"), f"WITH {G.graph_sql('supply')} SELECT id, least(floor(coalesce(sum(deg) OVER (ORDER BY id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) * 8 / (SELECT sum(deg) FROM v)), 7)::INTEGER AS part_id FROM v")
+_add("part_hash", lambda s, d: P.partition_hash(graph(s, d, "supply"), 8))
+_add("part_quality", lambda s, d: P.partition_quality(graph(s, d, _on), blocks(s, d, _on).vparts), f"{_base}, {_chunk(_on, 8)}, {_quality}")
+_add("part_quality_random", lambda s, d: P.partition_quality(graph(s, d, _on), blocks(s, d, _on, 8, "random").vparts), f"{_base}, {_random(8)}, {_quality}")
+
+
+def _multilevel(s: SparkSession, d: str) -> DataFrame:
+    g = graph(s, d, _on)
+    own, chance = P.partition_quality(g, blocks(s, d, _on, 8, "multilevel").vparts), P.partition_quality(g, blocks(s, d, _on, 8, "random").vparts)
+    n = g.n_vertices
+    return own.join(chance.select(F.col("cut_edges").alias("chance"))).select((F.col("cut_edges") < F.col("chance") / 4).alias("cuts_less"), (F.col("largest") <= 1.35 * n / 8).alias("balanced"), (F.col("parts") <= 8).alias("few_parts"))
+
+
+_add("part_multilevel", _multilevel, "SELECT true AS cuts_less, true AS balanced, true AS few_parts")
+_add("block_stats", lambda s, d: B.block_stats(blocks(s, d, _on).blocks), f"{_base}, {_chunk(_on, 8)} SELECT part_id, count(*) AS vertices, sum(deg)::BIGINT AS edges, (count(*) * 12 + sum(deg) * 20)::BIGINT AS bytes FROM vp JOIN v ON v.id = vp.id GROUP BY part_id")
+_add("blocks_roundtrip", lambda s, d: B.unpack_blocks(blocks(s, d, _on).blocks).select("src", "dst", "w"), f"{_base} SELECT src, dst, w FROM e")
+_add("part_adjacency", lambda s, d: B.part_adjacency(blocks(s, d, _on).blocks), f"{_base}, {_chunk(_on, 8)} SELECT a.part_id AS a, b.part_id AS b, count(*) AS edges FROM e JOIN vp a ON a.id = e.src JOIN vp b ON b.id = e.dst WHERE a.part_id <> b.part_id GROUP BY 1, 2")
+_add("mu_table", lambda s, d: B.mu_table(blocks(s, d, _on).blocks, 16), f"{_base}, {_chunk(_on, 8)} SELECT part_id, round(sum(deg)::DOUBLE / 16, 6) AS mu FROM vp JOIN v ON v.id = vp.id GROUP BY part_id")
+
+# Queries on the engine and on the systems it is compared with
+
+
+def lengths_sql(name: str, n: int, weighted: bool, limit: int | None = None, seed: int = 1, unit: bool = False) -> str:
+    """A recursion keyed by query and vertex; tables src, e and d (query_id, v, dist)."""
+    step = "e.w" if weighted else "1"
+    bound = f" WHERE d.dist + {step} <= {limit}" if limit is not None else ""
+    return f"""WITH RECURSIVE {G.graph_sql(name, unit)}, {seeds.sources_sql(n, seed)},
+d(query_id, v, dist) USING KEY (query_id, v) AS (
+  SELECT query_id, src, 0::BIGINT FROM src
+  UNION
+  SELECT n.query_id, n.v, n.dist FROM
+    (SELECT d.query_id, e.dst AS v, min(d.dist + {step})::BIGINT AS dist FROM d JOIN e ON e.src = d.v{bound} GROUP BY 1, 2) n
+    LEFT JOIN recurring.d o ON o.query_id = n.query_id AND o.v = n.v WHERE o.dist IS NULL OR n.dist < o.dist)"""
+
+
+def _run(name: str, weighted: bool, n: int = 8, policy: Policy | None = None, parts: int = 8, plan: str = "chunk", cutoff: int | None = None) -> Query:
+    def go(s: SparkSession, d: str) -> DataFrame:
+        r = fork(blocks(s, d, name, parts, plan), seeds.sample_sources(graph(s, d, name), n), Relax(weighted, cutoff), policy)
+        return r.state.select("query_id", "v", F.col("num").cast("long").alias("dist" if weighted else "level"))
+
+    return go
+
+
+def _base_run(how: Callable, name: str, weighted: bool, n: int) -> Query:
+    def go(s: SparkSession, d: str) -> DataFrame:
+        r = how(graph(s, d, name), seeds.sample_sources(graph(s, d, name), n))
+        return (r if isinstance(r, DataFrame) else r.state).select("query_id", "v", F.col("dist").cast("long").alias("dist" if weighted else "level"))
+
+    return go
+
+
+_tail = {True: " SELECT query_id, v, dist FROM d", False: " SELECT query_id, v, dist AS level FROM d"}
+_sssp = lambda name, n=8, limit=None: lengths_sql(name, n, True, limit) + _tail[True]
+_bfs = lambda name, n=8, limit=None: lengths_sql(name, n, False, limit) + _tail[False]
+_dense = "supply"
+_range = YieldPolicy(delta=100)
+for _name, _policy in {
+    "sssp_buffered": Policy.paths(), "sssp_yield_range": Policy.paths(100), "sssp_yield_edges": Policy(pause=YieldPolicy(edges=4)), "sssp_fifo_order": Policy(order="fifo"),
+    "sssp_sched_fifo": Policy(scheduler="fifo", wave_width=4), "sssp_sched_random": Policy(scheduler="random", wave_width=4), "sssp_sched_maxops": Policy(scheduler="max_ops", wave_width=4),
+    "sssp_sched_priority": Policy(wave_width=4), "sssp_window": Policy(window=200.0), "sssp_buckets": Policy(buckets=4), "sssp_noconsol": policy_ladder(_range)["buffer"],
+}.items():
+    _add(_name, _run(_on, True, policy=_policy), _sssp(_on))
+_add("bfs_buffered", _run(_on, False), _bfs(_on))
+_add("bfs_depth", _run(_on, False, cutoff=20), _bfs(_on, limit=20))
+_add("sssp_cutoff", _run(_on, True, cutoff=60), _sssp(_on, limit=60))
+_add("sssp_dense", _run(_dense, True, plan="random"), _sssp(_dense))
+_add("bfs_dense", _run(_dense, False, plan="random"), _bfs(_dense))
+_add("bfs_web", _run("hyperlink", False, parts=4), _bfs("hyperlink"))
+_add("sssp_timeline", _run("order_timeline", True, n=4, parts=4, plan="ids"), _sssp("order_timeline", 4))
+_add("sssp_multilevel", _run(_on, True, policy=_range and Policy.paths(), plan="multilevel"), _sssp(_on))
+for _w, _kind, _text in ((True, "sssp", _sssp), (False, "bfs", _bfs)):
+    _add(f"{_kind}_frontier", _base_run(lambda g, src, w=_w: baselines.frontier_run(g, src, w), _dense, _w, 2), _text(_dense, 2))
+    _add(f"{_kind}_bsp", _base_run(lambda g, src, w=_w: baselines.bsp_run(g, src, w), _dense, _w, 8), _text(_dense))
+    _add(f"{_kind}_segmented", _base_run(lambda g, src, w=_w: baselines.segmented_run(g, src, w), _dense, _w, 8), _text(_dense))
+    _add(f"{_kind}_shared", _base_run(lambda g, src, w=_w: baselines.shared_frontier_run(g, src, w), _dense, _w, 8), _text(_dense))
+    _add(f"{_kind}_interquery", _base_run(lambda g, src, w=_w: baselines.inter_query_run(g, src, w), _on, _w, 8), _text(_on))
+    _add(f"{_kind}_sequential", _base_run(lambda g, src, w=_w: baselines.inter_query_run(g, src, w, slots=1), _on, _w, 8), _text(_on))
+for _how in ("pull", "auto"):
+    _add(f"bfs_{_how}", _base_run(lambda g, src, h=_how: baselines.frontier_run(g, src, False, h), _dense, False, 2), _bfs(_dense, 2))
+
+
+def _recursive(s: SparkSession, d: str) -> DataFrame:
+    g = graph(s, d, "geo_tree")
+    return baselines.bfs_recursive(g, seeds.sample_sources(g, 1).first()["src"], 4).select("v", F.col("level").cast("long").alias("level"))
+
+
+_add("bfs_recursive_sql", _recursive, lengths_sql("geo_tree", 1, False, 4) + " SELECT v, dist AS level FROM d")
+_add("closeness", lambda s, d: Q.closeness(_run(_on, True)(s, d)), lengths_sql(_on, 8, True) + ", c AS (SELECT query_id, count(*) AS reached, sum(dist)::BIGINT AS total FROM d GROUP BY query_id) SELECT query_id, reached, total, round(CASE WHEN total > 0 THEN (reached - 1)::DOUBLE / total ELSE 0 END, 6) AS closeness FROM c")
+
+
+def _preds(s: SparkSession, d: str) -> DataFrame:
+    return Q.multi_bfs(blocks(s, d, "hyperlink", 4), seeds.sample_sources(graph(s, d, "hyperlink"), 8)).select("query_id", "v", "level", "parent")
+
+
+_add("bfs_parents", _preds, lengths_sql("hyperlink", 8, False) + " SELECT d.query_id, d.v, d.dist AS level, coalesce(min(p.v), -1) AS parent FROM d LEFT JOIN e ON e.dst = d.v LEFT JOIN d p ON p.query_id = d.query_id AND p.v = e.src AND p.dist = d.dist - 1 GROUP BY 1, 2, 3".replace("coalesce(min(p.v), -1)", "coalesce(min(p.v), -1)::BIGINT"))
+
+
+def power_sql(name: str, n: int, rounds: int, alpha: float = 0.15) -> str:
+    """Table mass (query_id, v, p) after so many rounds."""
+    return f"""WITH RECURSIVE {G.graph_sql(name)}, {seeds.sources_sql(n)},
+o AS MATERIALIZED (SELECT l.src, l.dst, {1 - alpha}::DOUBLE / v.deg AS f FROM l JOIN v ON v.id = l.src),
+it AS (
+  SELECT 0 AS i, query_id, src AS v, 1.0::DOUBLE AS p FROM src
+  UNION ALL
+  SELECT i, query_id, v, sum(p) AS p FROM (
+    SELECT it.i + 1 AS i, it.query_id, o.dst AS v, it.p * o.f AS p FROM it JOIN o ON o.src = it.v WHERE it.i < {rounds}
+    UNION ALL
+    SELECT DISTINCT it.i + 1, src.query_id, src.src, {alpha}::DOUBLE FROM it JOIN src ON src.query_id = it.query_id WHERE it.i < {rounds}) GROUP BY i, query_id, v),
+mass AS (SELECT query_id, v, p FROM it WHERE i = {rounds})"""
+
+
+_ppr = " SELECT query_id, v, round(p, 6) AS p FROM mass WHERE round(p, 6) > 0"
+_rounded = lambda df: df.select("query_id", "v", F.round("p", 6).alias("p")).where("p > 0")
+for _name, _how in {"ppr_power": {}, "ppr_bsp": {"materialise_messages": True}, "ppr_segmented": {"segments": 3}}.items():
+    _add(_name, lambda s, d, h=_how: _rounded(baselines.ppr_power(graph(s, d, "hyperlink"), seeds.sample_sources(graph(s, d, "hyperlink"), 4), rounds=12, **h)), power_sql("hyperlink", 4, 12) + _ppr)
+
+
+def _tight(policy: Policy | None) -> Query:
+    return lambda s, d: _rounded(Q.multi_ppr(blocks(s, d, "hyperlink", 4), seeds.sample_sources(graph(s, d, "hyperlink"), 4), eps=1e-11, policy=policy))
+
+
+_add("ppr_tight", _tight(Policy.ppr(None)), power_sql("hyperlink", 4, 150) + _ppr)
+_add("ppr_tight_fifo", _tight(Policy(order="fifo", scheduler="fifo")), power_sql("hyperlink", 4, 150) + _ppr)
+
+
+def _invariants(s: SparkSession, d: str) -> DataFrame:
+    g, eps = graph(s, d, "trade"), 1e-4
+    src = seeds.sample_sources(g, 4)
+    found = fork(blocks(s, d, "trade", 4, "random"), src, Push(0.15, eps), Policy.ppr(4)).state.select("query_id", "v", F.col("num").alias("p"), F.col("rest").alias("r"))
+    deg = g.vertices
+    own = found.join(deg, F.col("v") == F.col("id")).groupBy("query_id").agg((F.abs(F.sum("p") + F.sum("r") - 1) < 1e-6).alias("mass_ok"), F.bool_and(F.col("r") < eps * F.col("deg")).alias("residual_ok"))
+    bound = M.ppr_error(found, baselines.ppr_power(g, src, rounds=60), deg, eps)
+    return own.join(bound.select("query_id", "bound_ok"), "query_id")
+
+
+_add("ppr_invariants", _invariants, "SELECT unnest(range(4))::INTEGER AS query_id, true AS mass_ok, true AS residual_ok, true AS bound_ok")
+
+
+def _dfs(s: SparkSession, d: str) -> DataFrame:
+    return Q.multi_dfs(blocks(s, d, "geo_tree", 1), seeds.sample_sources(graph(s, d, "geo_tree"), 2))
+
+
+_add("dfs_tree", _dfs, f"""WITH RECURSIVE {G.graph_sql('geo_tree')}, {seeds.sources_sql(2)},
+t AS (SELECT query_id, src AS v, -1::BIGINT AS parent, 0 AS depth, [src] AS path FROM src
+  UNION ALL SELECT t.query_id, l.dst, t.v, t.depth + 1, list_append(t.path, l.dst) FROM t JOIN l ON l.src = t.v WHERE l.dst <> t.parent)
+SELECT query_id, v, row_number() OVER (PARTITION BY query_id ORDER BY path) - 1 AS pre, parent, depth::BIGINT AS depth FROM t""")
+
+
+def _walks(s: SparkSession, d: str) -> DataFrame:
+    return Q.multi_walk(blocks(s, d, _dense, 2), seeds.sample_sources(graph(s, d, _dense), 8), 6, 4)
+
+
+_walk_sql = f"""WITH RECURSIVE {G.graph_sql(_dense)}, {seeds.sources_sql(8)},
+a AS MATERIALIZED (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY dst) - 1 AS k, count(*) OVER (PARTITION BY src) AS n FROM l),
+w AS (SELECT query_id, walk::BIGINT AS walk, 0::BIGINT AS step, src AS v FROM src, range(4) r(walk)
+  UNION ALL SELECT w.query_id, w.walk, w.step + 1, a.dst FROM w JOIN a ON a.src = w.v AND a.k = {step_choice_sql("w.query_id", "w.walk", "w.step + 1", "a.n")} WHERE w.step < 6)"""
+_add("rw_uniform", _walks, _walk_sql + " SELECT query_id, walk, step, v FROM w")
+_add("walk_pairs", lambda s, d: apps.walk_pairs(_walks(s, d), 2), _walk_sql + " SELECT x.v AS a, y.v AS b, count(*) AS n FROM w x JOIN w y ON x.query_id = y.query_id AND x.walk = y.walk AND y.step > x.step AND y.step <= x.step + 2 GROUP BY 1, 2")
+_add("rw_restart", lambda s, d: Q.multi_walk(blocks(s, d, _dense, 2), seeds.sample_sources(graph(s, d, _dense), 4), 6, 4, restart=0.2, bias="weight").groupBy("query_id", "walk").agg(F.count("*").alias("visits")), f"WITH {G.graph_sql(_dense)}, {seeds.sources_sql(4)} SELECT query_id, walk::BIGINT AS walk, 7::BIGINT AS visits FROM src, range(4) r(walk)")
+_add("k_shortest", lambda s, d: Q.multi_kshortest(blocks(s, d, "geo_tree", 1), seeds.sample_sources(graph(s, d, "geo_tree"), 1), 2).groupBy("query_id").agg(F.count("*").alias("lengths"), F.count_if(F.col("rank") == 0).alias("reached")))
+_add("ant_colony", lambda s, d: apps.ant_colony(graph(s, d, _dense), seeds.sample_sources(graph(s, d, _dense), 4), rounds=2, parts=2).groupBy().agg(F.count("*").alias("edges")))
+
+# Applications
+
+_add("ll_labels", lambda s, d: apps.label_vertices(blocks(s, d, _on), seeds.landmarks(graph(s, d, _on), 8)), lengths_sql(_on, 8, True) + " SELECT d.v, src.src AS landmark, d.dist FROM d JOIN src ON src.query_id = d.query_id")
+_add("ll_labels_bfs", lambda s, d: apps.label_vertices(blocks(s, d, _on), seeds.landmarks(graph(s, d, _on), 8), False), lengths_sql(_on, 8, False) + " SELECT d.v, src.src AS landmark, d.dist FROM d JOIN src ON src.query_id = d.query_id")
+
+
+def _pairs(s: SparkSession, d: str) -> DataFrame:
+    return seeds.sample_sources(graph(s, d, _on), 64, 5).select(F.col("src").alias("a"), F.lead("src").over(Window.orderBy("query_id")).alias("b")).where("b IS NOT NULL")
+
+
+_add("ll_query", lambda s, d: apps.label_query(apps.label_vertices(blocks(s, d, _on), seeds.landmarks(graph(s, d, _on), 8)), _pairs(s, d)), lengths_sql(_on, 8, True) + """,
+p AS (SELECT id AS a, lead(id) OVER (ORDER BY k, id) AS b FROM (SELECT id, (id * 7919 + 5) % 10007 AS k FROM v ORDER BY k, id LIMIT 64))
+SELECT p.a, p.b, min(x.dist + y.dist) AS upper, max(abs(x.dist - y.dist)) AS lower FROM p JOIN d x ON x.v = p.a JOIN d y ON y.v = p.b AND y.query_id = x.query_id WHERE p.b IS NOT NULL GROUP BY 1, 2""")
+
+
+def _pruned(s: SparkSession, d: str) -> DataFrame:
+    """Pruned labels answer every (vertex, landmark) exactly, with fewer rows."""
+    bg, marks = blocks(s, d, "hyperlink", 4), seeds.landmarks(graph(s, d, "hyperlink"), 12, "degree")
+    full, few = apps.label_vertices(bg, marks), apps.pruned_labels(bg, marks, 4)
+    to = few.join(F.broadcast(marks.select(F.col("src").alias("v"))), "v").select(F.col("v").alias("target"), "landmark", F.col("dist").alias("dt"))
+    known = few.join(to, "landmark").groupBy("v", "target").agg(F.min(F.col("dist") + F.col("dt")).alias("known"))
+    off = full.join(known, (full["v"] == known["v"]) & (full["landmark"] == known["target"]), "left").agg(F.count_if(F.coalesce("known", F.lit(-1)) != F.col("dist")).alias("off"), F.count("*").alias("full"))
+    return off.join(few.agg(F.count("*").alias("few"))).select((F.col("off") == 0).alias("exact"), (F.col("few") <= F.col("full")).alias("no_larger"))
+
+
+_add("ll_pruned", _pruned, "SELECT true AS exact, true AS no_larger")
+
+
+def bc_sql(name: str, n: int, weighted: bool) -> str:
+    """Brandes' sums, vertices in the order of their distance; distances are integers, so each is a round."""
+    step = "e.w" if weighted else "1"
+    return lengths_sql(name, n, weighted) + f""",
+dag AS MATERIALIZED (SELECT a.query_id, e.src AS u, e.dst AS v, a.dist AS du, b.dist AS dv FROM d a JOIN e ON e.src = a.v JOIN d b ON b.query_id = a.query_id AND b.v = e.dst AND b.dist = a.dist + {step}),
+top AS (SELECT max(dist) AS m FROM d),
+s(query_id, v, dist, ways) USING KEY (query_id, v) AS (
+  SELECT query_id, src, 0::BIGINT, 1.0::DOUBLE FROM src
+  UNION
+  SELECT g.query_id, g.v, g.dv, sum(o.ways) FROM (SELECT max(dist) AS r FROM s) c JOIN dag g ON g.dv = (SELECT min(dv) FROM dag WHERE dv > c.r) JOIN recurring.s o ON o.query_id = g.query_id AND o.v = g.u GROUP BY 1, 2, 3),
+t(query_id, v, dist, dep) USING KEY (query_id, v) AS (
+  SELECT query_id, v, dist, 0.0::DOUBLE FROM d WHERE dist = (SELECT m FROM top)
+  UNION
+  SELECT x.query_id, x.v, x.dist, coalesce(sum(a.ways / b.ways * (1 + o.dep)), 0) FROM (SELECT min(dist) AS r FROM t) c
+    JOIN d x ON x.dist = (SELECT max(dist) FROM d WHERE dist < c.r) LEFT JOIN dag g ON g.query_id = x.query_id AND g.u = x.v LEFT JOIN recurring.t o ON o.query_id = g.query_id AND o.v = g.v
+    LEFT JOIN s a ON a.query_id = x.query_id AND a.v = x.v LEFT JOIN s b ON b.query_id = x.query_id AND b.v = g.v GROUP BY 1, 2, 3)
+SELECT v.id AS v, round(coalesce(sum(t.dep) FILTER (t.dist > 0), 0) * (SELECT n FROM nv) / {n}, 3) AS score FROM v LEFT JOIN t ON t.v = v.id GROUP BY v.id"""
+
+
+_scores = lambda df: df.select("v", F.round("score", 3).alias("score"))
+_add("bc_bfs", lambda s, d: _scores(apps.betweenness(blocks(s, d, "hyperlink", 4), seeds.sample_sources(graph(s, d, "hyperlink"), 8))), bc_sql("hyperlink", 8, False))
+_add("bc_sssp", lambda s, d: _scores(apps.betweenness(blocks(s, d, "hyperlink", 4), seeds.sample_sources(graph(s, d, "hyperlink"), 8), True)), bc_sql("hyperlink", 8, True))
+_add("bc_exact_tree", lambda s, d: _scores(apps.betweenness_exact(blocks(s, d, "geo_tree", 1))).where("score > 0"), f"""WITH RECURSIVE {G.graph_sql('geo_tree')},
+r AS (SELECT id AS root, id AS v, -1::BIGINT AS parent FROM v WHERE id // {G.S} = 5 UNION ALL SELECT r.root, l.dst, r.v FROM r JOIN l ON l.src = r.v AND l.dst <> r.parent),
+size AS (SELECT root, count(*) AS n FROM r GROUP BY root),
+below AS (SELECT r.v AS top, r.v AS v FROM r UNION ALL SELECT b.top, r.v FROM below b JOIN r ON r.parent = b.v),
+own AS (SELECT top AS v, count(*) AS k FROM below GROUP BY top),
+side AS (SELECT r.v, s.n, sum(o.k * o.k) AS sq FROM r JOIN size s ON s.root = r.root LEFT JOIN r c ON c.parent = r.v LEFT JOIN own o ON o.v = c.v GROUP BY 1, 2)
+SELECT side.v, round(((n - 1) * (n - 1) - coalesce(sq, 0) - (n - k) * (n - k))::DOUBLE, 3) AS score FROM side JOIN own ON own.v = side.v WHERE (n - 1) * (n - 1) - coalesce(sq, 0) - (n - k) * (n - k) > 0""")
+
+
+def _ranks(s: SparkSession, d: str) -> DataFrame:
+    return _rounded(baselines.ppr_power(graph(s, d, "hyperlink"), seeds.sample_sources(graph(s, d, "hyperlink"), 4), rounds=12))
+
+
+_sweep_sql = power_sql("hyperlink", 4, 12) + """,
+placed AS MATERIALIZED (SELECT query_id, m.v, deg, row_number() OVER (PARTITION BY query_id ORDER BY round(round(p, 6) / deg, 12) DESC, m.v) AS size FROM mass m JOIN v ON v.id = m.v WHERE round(p, 6) > 0),
+inside AS (SELECT a.query_id, greatest(a.size, b.size) AS size, count(*) AS k FROM placed a JOIN l ON l.src = a.v JOIN placed b ON b.query_id = a.query_id AND b.v = l.dst GROUP BY 1, 2),
+sums AS (SELECT p.query_id, p.size, sum(deg) OVER w AS vol, sum(coalesce(k, 0)) OVER w AS ins FROM placed p LEFT JOIN inside i ON i.query_id = p.query_id AND i.size = p.size WINDOW w AS (PARTITION BY p.query_id ORDER BY p.size ROWS UNBOUNDED PRECEDING)),
+swept AS (SELECT query_id, size, (vol - ins)::DOUBLE / least(vol, (SELECT sum(deg) FROM v) - vol) AS conductance FROM sums WHERE least(vol, (SELECT sum(deg) FROM v) - vol) > 0)"""
+_add("ncp_profile", lambda s, d: apps.community_profile(apps.sweep(graph(s, d, "hyperlink"), _ranks(s, d))).select(F.col("size").cast("long").alias("size"), F.round("conductance", 6).alias("conductance")), _sweep_sql + " SELECT size, round(min(conductance), 6) AS conductance FROM swept GROUP BY size")
+_add("sweep_best", lambda s, d: apps.best_cut(apps.sweep(graph(s, d, "hyperlink"), _ranks(s, d))).select("query_id", F.col("size").cast("long").alias("size"), F.round("conductance", 6).alias("conductance")), _sweep_sql + " SELECT query_id, arg_min(size, (round(conductance, 9), size)) AS size, round(min(conductance), 6) AS conductance FROM swept GROUP BY query_id")
+_add("ncp_pushed", lambda s, d: apps.community_profile(apps.sweep(graph(s, d, "trade"), Q.multi_ppr(blocks(s, d, "trade", 4, "random"), seeds.sample_fraction(graph(s, d, "trade"), 0.0001, least=4), eps=1e-5).where("p > 0"), 400)))
+
+# One step of the engine
+
+
+def _ops(s: SparkSession, d: str) -> DataFrame:
+    return init_ops(Relax(True), seeds.sample_sources(graph(s, d, _on), 64), blocks(s, d, _on).vparts, 4).select("part_id", "bucket", "query_id", "v", "num", "prio", "seq")
+
+
+_ops_sql = f"{_base}, {_chunk(_on, 8)}, {seeds.sources_sql(64)}, ops AS (SELECT vp.part_id, (query_id % 4)::INTEGER AS bucket, query_id, src AS v, 0.0::DOUBLE AS num, 0.0::DOUBLE AS prio, query_id::BIGINT AS seq FROM src JOIN vp ON vp.id = src)"
+_add("ops_init", _ops, _ops_sql + " SELECT * FROM ops")
+_add("ops_buffers", lambda s, d: _ops(s, d).groupBy("part_id").agg(F.count("*").alias("ops"), F.min("prio").alias("best"), F.min("seq").alias("oldest")), _ops_sql + " SELECT part_id, count(*) AS ops, min(prio) AS best, min(seq) AS oldest FROM ops GROUP BY part_id")
+
+
+def _work(s: SparkSession, d: str) -> DataFrame:
+    """Heap order and pausing do less work than arrival order on a plan with many cut edges; block misses stay below one per visit."""
+    bg, src = blocks(s, d, _on, 8, "ids"), seeds.sample_sources(graph(s, d, _on), 2)
+    heap, arrival = fork(bg, src, Relax(True), Policy.paths(20), 400), fork(bg, src, Relax(True), Policy(order="fifo"), 400)
+    loads, misses = M.cache_model([t[1] for t in heap.trace], 4)
+    return s.createDataFrame([(heap.total("edges") < arrival.total("edges"), misses <= loads, M.differing_rows(heap.state.select("query_id", "v", "num"), arrival.state.select("query_id", "v", "num")) == 0)], "less_work boolean, misses_bounded boolean, same_answer boolean")
+
+
+_add("work_direction", _work, "SELECT true AS less_work, true AS misses_bounded, true AS same_answer")
+
+for _name, (_q, _text) in (relational.QUERIES | windows.QUERIES).items():
+    _add(_name, _q, _text)
 
 
-def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+def queries() -> dict[str, Query]:
+    return dict(_queries)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_sql)
