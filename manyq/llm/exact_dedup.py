@@ -148,8 +148,8 @@ def find_copies(docs: DataFrame, digest: Digest = _digest) -> DataFrame:
 
 def keep_one(docs: DataFrame) -> DataFrame:
     """docs without the copies that find_copies drops."""
-    dropped = find_copies(docs).where(~F.col("kept") & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(dropped, F.col("doc_id") == F.col("_gone"), "left_anti")
+    dropped = find_copies(docs).where(~F.col("kept") & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("manyq__gone")).distinct()
+    return docs.join(dropped, F.col("doc_id") == F.col("manyq__gone"), "left_anti")
 
 
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

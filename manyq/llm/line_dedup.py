@@ -10,7 +10,7 @@ that loses lines, with a bitmap in 64-bit words of which all-ones words are left
 Defined cases: null text counts as empty, one empty line. A row without doc_id takes no part and stays whole. Rows
 with equal doc_id are one document: none of them makes the other's lines repeats. Rows that repeat wholly get equal
 bitmaps. Extra columns pass through `apply_bitmaps`; columns of the docs named like the bitmaps' own are kept, as the
-bitmaps travel under one name, `_line_drops`.
+bitmaps travel under one name, `manyq__line_drops`.
 """
 
 from __future__ import annotations
@@ -67,37 +67,37 @@ def drop_bitmaps(docs: DataFrame, min_chars: int = 10, doc: str = "doc_id", text
     words = drops.groupBy("doc", "row_key", F.floor(F.col("pos") / WORD).cast("int").alias("word")).agg(
         F.bit_or(F.expr(f"shiftleft(1L, pos % {WORD})")).alias("bits")
     )
-    return words.groupBy("doc", "row_key").agg(F.collect_list(F.struct("word", "bits")).alias("_line_drops"))
+    return words.groupBy("doc", "row_key").agg(F.collect_list(F.struct("word", "bits")).alias("manyq__line_drops"))
 
 
 def apply_bitmaps(docs: DataFrame, bitmaps: DataFrame, doc: str = "doc_id", text: str = "text") -> DataFrame:
-    """docs with `_lines` (long, before dropping), `_dropped` (long) and `_kept` (the lines that stay, joined)."""
-    lines, drops = lines_of(F.col(text)), F.col("_line_drops")
+    """docs with `manyq__lines` (long, before dropping), `manyq__dropped` (long) and `manyq__kept` (the lines that stay, joined)."""
+    lines, drops = lines_of(F.col(text)), F.col("manyq__line_drops")
     n_words = F.floor((F.size(lines) + WORD - 1) / WORD).cast("int")
     by_word = F.map_from_entries(drops)
     dense = F.transform(F.sequence(F.lit(0), n_words - 1), lambda w: F.coalesce(by_word[w], F.lit(0).cast("long")))
-    clear = lambda i: F.get(F.col("_dense"), F.floor(i / WORD).cast("int")).bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("long"), i % WORD)) == 0
-    side = bitmaps.select(F.col("doc").alias("_doc"), F.col("row_key").alias("_row"), "_line_drops").hint("shuffle_hash")
-    joined = docs.join(side, (F.col(doc) == F.col("_doc")) & (_row_key(F.col(text)) == F.col("_row")), "left")
+    clear = lambda i: F.get(F.col("manyq__dense"), F.floor(i / WORD).cast("int")).bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("long"), i % WORD)) == 0
+    side = bitmaps.select(F.col("doc").alias("manyq__doc"), F.col("row_key").alias("manyq__row"), "manyq__line_drops").hint("shuffle_hash")
+    joined = docs.join(side, (F.col(doc) == F.col("manyq__doc")) & (_row_key(F.col(text)) == F.col("manyq__row")), "left")
     return (
-        joined.withColumn("_lines", F.size(lines).cast("long"))
-        .withColumn("_dropped", F.coalesce(F.aggregate(drops, F.lit(0).cast("long"), lambda s, w: s + F.bit_count(w["bits"])), F.lit(0).cast("long")))
-        .withColumn("_dense", F.when(drops.isNotNull(), dense))
-        .withColumn("_kept", F.when(drops.isNull(), whole_text(F.col(text))).otherwise(F.array_join(F.filter(lines, lambda _, i: clear(i)), "\n")))
-        .drop("_doc", "_row", "_line_drops", "_dense")
+        joined.withColumn("manyq__lines", F.size(lines).cast("long"))
+        .withColumn("manyq__dropped", F.coalesce(F.aggregate(drops, F.lit(0).cast("long"), lambda s, w: s + F.bit_count(w["bits"])), F.lit(0).cast("long")))
+        .withColumn("manyq__dense", F.when(drops.isNotNull(), dense))
+        .withColumn("manyq__kept", F.when(drops.isNull(), whole_text(F.col(text))).otherwise(F.array_join(F.filter(lines, lambda _, i: clear(i)), "\n")))
+        .drop("manyq__doc", "manyq__row", "manyq__line_drops", "manyq__dense")
     )
 
 
 def dedup_lines(docs: DataFrame, min_chars: int = 10) -> DataFrame:
     """docs with the lines that stay as their text; every document stays."""
     kept = apply_bitmaps(docs, drop_bitmaps(docs, min_chars))
-    return kept.select(*[F.col("_kept").alias("text") if c == "text" else F.col(c) for c in docs.columns])
+    return kept.select(*[F.col("manyq__kept").alias("text") if c == "text" else F.col(c) for c in docs.columns])
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     kept = apply_bitmaps(docs, drop_bitmaps(docs))
-    return kept.select("doc_id", F.col("_lines").alias("n_lines"), F.col("_dropped").alias("n_dropped"), F.sha2("_kept", 256).alias("kept_sha256"))
+    return kept.select("doc_id", F.col("manyq__lines").alias("n_lines"), F.col("manyq__dropped").alias("n_dropped"), F.sha2("manyq__kept", 256).alias("kept_sha256"))
 
 
 #: Also the second stage of the pipeline's SQL; {docs} is the table it reads.

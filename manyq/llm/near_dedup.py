@@ -234,8 +234,8 @@ def find_groups(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame
 
 def keep_least(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
     """docs without those that link to a document of a smaller doc_id in their component."""
-    gone = find_groups(docs, words, percent).where(~F.col("kept")).select(F.col("doc_id").alias("_gone")).hint("shuffle_hash")
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    gone = find_groups(docs, words, percent).where(~F.col("kept")).select(F.col("doc_id").alias("manyq__gone")).hint("shuffle_hash")
+    return docs.join(gone, F.col("doc_id") == F.col("manyq__gone"), "left_anti")
 
 
 def op5_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -78,6 +78,14 @@ def best_of(queries: np.ndarray, query_ids: np.ndarray, known: np.ndarray, rows:
     return q[place < k], r[place < k], score[place < k]
 
 
+def _layers(ids: np.ndarray) -> list[np.ndarray]:
+    """Indices by how often their id came before: each layer has an id once."""
+    order = np.argsort(ids, kind="stable")
+    own = ids[order]
+    place = np.arange(len(own)) - np.searchsorted(own, own)
+    return [np.sort(order[place == p]) for p in range(int(place.max()) + 1)]
+
+
 def _dealt(tree: np.ndarray, leaf: np.ndarray, parts_v: list[np.ndarray], parts_q: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     nv, nq = np.empty(len(tree), np.int64), np.empty(len(tree), np.int64)
     for t in range(len(parts_v)):
@@ -180,9 +188,10 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_
         empty, known = not len(ask_ids) or not len(ids), left["known"].to_numpy()
         x, y = (np.zeros((len(i), 1)) if empty else _matrix(t["vector"].combine_chunks()).astype(np.float64) for t, i in ((left, ask_ids), (right, ids)))
         parts = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))] if empty else []
-        for lo in range(0, 0 if empty else len(x), 512):
-            q, r, s = best_of(x[lo : lo + 512], ask_ids[lo : lo + 512], known[lo : lo + 512], y, ids, k)
-            parts.append((q + lo, r, s))
+        for rows_ in [] if empty else _layers(ids):  # rows that share a vec_id must not take each other's places
+            for lo in range(0, len(x), 512):
+                q, r, s = best_of(x[lo : lo + 512], ask_ids[lo : lo + 512], known[lo : lo + 512], y[rows_], ids[rows_], k)
+                parts.append((q + lo, rows_[r], s))
         q, r, s = (np.concatenate(p) for p in zip(*parts, strict=True))
         return pa.table({"query_id": pa.array(ask_ids[q], left["id"].type), "vec_id": pa.array(ids[r], right["id"].type), "score": s})
 

@@ -108,7 +108,7 @@ def written(spans: Column) -> Column:
 
 def redact(docs: DataFrame, mark: str = "[SECRET]") -> DataFrame:
     """docs with every span, overlapping ones merged, replaced by the mark. All documents stay; only found texts change."""
-    text = whole_text(F.col("text"))
+    text = whole_text(docs["text"])
     first = F.struct(F.lit(0).alias("upto"), F.lit("").alias("out"))
 
     def cut(done: Column, x: Column) -> Column:
@@ -116,12 +116,12 @@ def redact(docs: DataFrame, mark: str = "[SECRET]") -> DataFrame:
         grown = F.when(x["start"] >= done["upto"], F.concat(done["out"], gap, F.lit(mark))).otherwise(done["out"])
         return F.struct(F.greatest(done["upto"], x["end"]).alias("upto"), grown.alias("out"))
 
-    done = F.aggregate(F.col("spans"), first, cut)
+    done = F.aggregate(F.col("manyq__spans"), first, cut)
     clean = F.concat(done["out"], F.substr(text, done["upto"] + 1, F.char_length(text)))
     ledger = brought_up(docs, scratch_path(docs.sparkSession, "ledger"))
-    spans = ledger.where(F.size("spans") > 0).select(F.col("blob").alias("_blob"), "spans").hint("shuffle_hash")
-    both = docs.join(spans, blob_id(F.col("text")) == F.col("_blob"), "left")
-    return both.select(*[F.when(F.col("spans").isNull(), F.col("text")).otherwise(clean).alias("text") if c == "text" else docs[c] for c in docs.columns])
+    spans = ledger.where(F.size("spans") > 0).select(F.col("blob").alias("manyq__blob"), F.col("spans").alias("manyq__spans")).hint("shuffle_hash")
+    both = docs.join(spans, blob_id(docs["text"]) == F.col("manyq__blob"), "left")
+    return both.select(*[F.when(F.col("manyq__spans").isNull(), docs["text"]).otherwise(clean).alias("text") if c == "text" else docs[c] for c in docs.columns])
 
 
 def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

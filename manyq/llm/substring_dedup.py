@@ -195,14 +195,14 @@ def repeated_spans(docs: DataFrame) -> DataFrame:
 
 
 def cut_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
-    """All columns of docs, `_kept` (the bytes that stay), `_bytes`, `_removed` and `_spans` (removed bytes, maximal removed runs)."""
-    listed = spans.groupBy(F.col("doc").alias("_doc")).agg(F.collect_list(F.struct("a", "b")).alias("_cuts")).hint("shuffle_hash")
+    """All columns of docs, `manyq__kept` (the bytes that stay), `manyq__bytes`, `manyq__removed` and `manyq__spans` (removed bytes, maximal removed runs)."""
+    listed = spans.groupBy(F.col("doc").alias("manyq__doc")).agg(F.collect_list(F.struct("a", "b")).alias("manyq__cuts")).hint("shuffle_hash")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             names = batch.schema.names
             kept, sizes, gone, runs = [], [], [], []
-            for text, cuts in zip(text_bytes(batch.column(names.index("text"))), batch.column(names.index("_cuts")).to_pylist(), strict=True):
+            for text, cuts in zip(text_bytes(batch.column(names.index("text"))), batch.column(names.index("manyq__cuts")).to_pylist(), strict=True):
                 at, out, count = 0, [], 0
                 last = -1
                 for a, b in sorted((c["a"], min(c["b"], len(text))) for c in cuts or ()):
@@ -215,24 +215,24 @@ def cut_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
                 sizes.append(len(text))
                 gone.append(len(text) - len(kept[-1]))
                 runs.append(count)
-            columns = [batch.column(i) for i, c in enumerate(names) if c != "_cuts"]
-            yield pa.RecordBatch.from_arrays([*columns, pa.array(kept, pa.binary()), *[pa.array(x, pa.int64()) for x in (sizes, gone, runs)]], [*[c for c in names if c != "_cuts"], "_kept", "_bytes", "_removed", "_spans"])
+            columns = [batch.column(i) for i, c in enumerate(names) if c != "manyq__cuts"]
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(kept, pa.binary()), *[pa.array(x, pa.int64()) for x in (sizes, gone, runs)]], [*[c for c in names if c != "manyq__cuts"], "manyq__kept", "manyq__bytes", "manyq__removed", "manyq__spans"])
 
-    schema = type(docs.schema)([*docs.schema.fields]).add("_kept", "binary").add("_bytes", "long").add("_removed", "long").add("_spans", "long")
-    joined = docs.join(listed, F.col("doc_id") == F.col("_doc"), "left").select(*[docs[c] for c in docs.columns], "_cuts")
+    schema = type(docs.schema)([*docs.schema.fields]).add("manyq__kept", "binary").add("manyq__bytes", "long").add("manyq__removed", "long").add("manyq__spans", "long")
+    joined = docs.join(listed, F.col("doc_id") == F.col("manyq__doc"), "left").select(*[docs[c] for c in docs.columns], "manyq__cuts")
     return joined.mapInArrow(run, schema)
 
 
 def without_repeats(docs: DataFrame) -> DataFrame:
     """docs with the bytes that stay as their text, in UTF-8; a character that a span's border cuts is replaced."""
     cut = cut_spans(docs, repeated_spans(docs))
-    return cut.select(*[F.decode("_kept", "UTF-8").alias("text") if c == "text" else F.col(c) for c in docs.columns])
+    return cut.select(*[F.decode("manyq__kept", "UTF-8").alias("text") if c == "text" else F.col(c) for c in docs.columns])
 
 
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     cut = cut_spans(docs, repeated_spans(docs))
-    return cut.select("doc_id", F.col("_bytes").alias("n_bytes"), F.col("_removed").alias("n_removed"), F.col("_spans").alias("n_spans"), F.sha2("_kept", 256).alias("kept_sha256"))
+    return cut.select("doc_id", F.col("manyq__bytes").alias("n_bytes"), F.col("manyq__removed").alias("n_removed"), F.col("manyq__spans").alias("n_spans"), F.sha2("manyq__kept", 256).alias("kept_sha256"))
 
 
 def brute_force(rows: list[tuple[int, str | None]], span: int = SPAN) -> list[tuple[int, int, int, int, str]]:

@@ -28,19 +28,24 @@ from pyspark.sql import functions as F
 from manyq.llm.arrow import LETTERS, Words, give_back, slabs, text_bytes
 from manyq.llm.common import lean_batches, table
 
-BITS, FACTORS = 18, 8
-#: Bytes of the word starts that are terms besides the whole words.
+BITS, FACTORS = 19, 8
+#: Bytes of the word starts that are terms besides the whole words: languages that inflect hide a word in many forms.
 PREFIXES = (4, 6)
+#: An odd factor that makes the term of what occurs more than once from the term of what occurs.
+AGAIN = 2654435761
 THRESHOLD = 0.7
 
 
 def term_lists(texts: list[bytes]) -> list[np.ndarray]:
-    """The distinct hashed terms of each text, sorted."""
+    """The distinct hashed terms of each text, sorted: words, word starts, and again either that come more than once."""
     words, out = Words(LETTERS), []
     for lo, hi, _ in slabs(texts):
         _, _, _, first, hashes = words.located([t.decode().lower().encode() for t in texts[lo:hi]], PREFIXES)
         terms = np.stack([(h >> np.uint64(64 - BITS)).astype(np.int32) for h in hashes], 1)
-        out += [np.unique(terms[first[i] : first[i + 1]]) for i in range(hi - lo)]
+        for i in range(hi - lo):
+            own, n = np.unique(terms[first[i] : first[i + 1]], return_counts=True)
+            again = (own[n > 1].astype(np.int64) * AGAIN & ((1 << BITS) - 1)).astype(np.int32)
+            out.append(np.unique(np.concatenate([own, again])))
     return out
 
 
@@ -158,25 +163,25 @@ def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = 12_000, seed: i
 
 
 def with_scores(docs: DataFrame, machine: Machine) -> DataFrame:
-    """(doc_id, text, ... all columns of docs, _score)."""
+    """(doc_id, text, ... all columns of docs, manyq__score)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             scores = machine.scores(text_bytes(b.column(b.schema.names.index("text"))))
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scores, pa.float64())], [*b.schema.names, "_score"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(scores, pa.float64())], [*b.schema.names, "manyq__score"])
         give_back()
 
     lean_batches(docs.sparkSession)
-    schema = type(docs.schema)([*docs.schema.fields]).add("_score", "double")
+    schema = type(docs.schema)([*docs.schema.fields]).add("manyq__score", "double")
     return docs.mapInArrow(run, schema)
 
 
 def keep_below(docs: DataFrame, machine: Machine, threshold: float = THRESHOLD) -> DataFrame:
     """docs without those that score at least the threshold."""
-    return with_scores(docs, machine).where(F.col("_score") < threshold).select(*docs.columns)
+    return with_scores(docs, machine).where(F.col("manyq__score") < threshold).select(*docs.columns)
 
 
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     scored = with_scores(docs, learn(docs, table(spark, sf_dir, "labels")))
-    return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.col("_score").alias("score"), (F.col("_score") >= THRESHOLD).cast("int").alias("predicted"))
+    return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), F.col("manyq__score").alias("score"), (F.col("manyq__score") >= THRESHOLD).cast("int").alias("predicted"))
