@@ -1,0 +1,231 @@
+import hashlib
+import random
+import re
+
+import duckdb
+import pytest
+
+from manyq.llm import byte_bpe, exact_dedup, html_text, line_dedup, near_dedup, packing, secret_scan, substring_dedup, suffix_sort, toxicity
+from tests.llm.conftest import LONG
+
+SF = "/root/testdata/sf0.001"
+
+
+def oracle(sql):
+    con = duckdb.connect()
+    for t in ("documents", "labels", "pages", "benchmark"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{SF}/{t}.parquet'")
+    return sorted(map(tuple, con.execute(sql).fetchall()))
+
+
+@pytest.mark.parametrize("query, sql, columns", [
+    (line_dedup.op1_line_dedup, line_dedup.ORACLE_SQL, "doc_id n_lines n_dropped kept_sha256"), (exact_dedup.op2_exact_dedup, exact_dedup.ORACLE_SQL, "doc_id keep_id group_size kept text_sha256"),
+    (secret_scan.op4_secret_scan, secret_scan.ORACLE_SQL, "doc_id n_assign n_access n_hex base_sha256 spans"), (near_dedup.op5_near_dedup, near_dedup.ORACLE_SQL, "doc_id n_shingles component_id kept"),
+])
+def test_queries_agree_with_sql(spark, query, sql, columns):
+    assert sorted(map(tuple, query(spark, SF).select(*columns.split()).collect())) == oracle(f"SELECT {columns.replace(' ', ', ')} FROM ({sql})")
+
+
+def test_lines(odd_docs, no_docs):
+    kept = line_dedup.dedup_lines(odd_docs)
+    assert kept.columns == odd_docs.columns and kept.count() == odd_docs.count()
+    by_id = {r["doc_id"]: r["text"] for r in kept.where("doc_id IS NOT NULL").collect()}
+    assert by_id[-3] == "  shared LINE of some length\t" and by_id[1] == "First line of this text\nlast one here" and by_id[2] == "Other words\n\n"
+    assert by_id[5] == LONG and by_id[6] == "" and by_id[4] == "" and by_id[11] == "x" * 300_000
+    assert kept.where("doc_id IS NULL AND text <> ''").count() == 1
+    assert line_dedup.dedup_lines(no_docs).count() == 0
+
+
+def test_copies(odd_docs, no_docs):
+    found = exact_dedup.find_copies(odd_docs)
+    rows = {(r["doc_id"], r["keep_id"], r["group_size"], r["kept"]) for r in found.collect()}
+    assert {(5, 7, 5, False), (6, 7, 5, False), (7, 7, 5, True), (None, 7, 5, False), (4, 4, 3, True), (3, 4, 3, False), (8, 8, 1, True)} <= rows and found.count() == odd_docs.count()
+    weak = exact_dedup.find_copies(odd_docs, lambda b: bytes([len(b) % 2]))  # every chunk clashes
+    assert sorted(map(str, weak.collect())) == sorted(map(str, found.collect()))
+    assert exact_dedup.find_copies(no_docs).count() == 0
+    kept = exact_dedup.keep_one(odd_docs)
+    assert kept.columns == odd_docs.columns and sorted(r["doc_id"] for r in kept.where("doc_id IS NOT NULL").collect()) == [-3, 1, 2, 4, 7, 8, 9, 10, 11]
+
+
+def test_chunks_follow_content():
+    rng = random.Random(3)
+    text = bytes(rng.randrange(97, 123) for _ in range(60_000))
+    ends = exact_dedup.chunk_ends(text)
+    assert ends[-1] == len(text) and all(b - a <= exact_dedup.MOST for a, b in zip([0, *ends], ends, strict=False))
+    moved = {e - 7 for e in exact_dedup.chunk_ends(b"1234567" + text)}
+    assert len(moved & set(ends)) >= len(ends) - 2
+
+
+def test_secrets(spark, odd_docs, no_docs, tmp_path):
+    clean = secret_scan.redact(odd_docs)
+    assert clean.columns == odd_docs.columns and clean.where("doc_id = 10").first()["text"] == 'my [SECRET]" [SECRET]'
+    assert clean.count() == odd_docs.count() and clean.where("doc_id = 3").first()["text"] is None
+    assert secret_scan.redact(no_docs).count() == 0
+    ledger = str(tmp_path / "ledger")
+    secret_scan.scan(odd_docs, ledger).count()
+    before = spark.read.parquet(ledger).count()
+    secret_scan.scan(odd_docs.where("doc_id > 4"), ledger).count()
+    assert spark.read.parquet(ledger).count() == before == odd_docs.selectExpr("coalesce(text, '') t").distinct().count()
+
+
+def test_spans_match_python(spark):
+    rng = random.Random(5)
+    words = ["token", "PASSWORD", "secret", "api_key", "apikey", "=", ":", " ", '"', "'", "abcdefgh", "é", "AKIA", "ABCDEFGHIJKL", "0f" * 16, "passwd", "\n", "x"]
+    texts = ["".join(rng.choices(words, k=rng.randrange(1, 40))) for _ in range(300)]
+    assign = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
+
+    def base(t):
+        spans = [(m.start(), 0, m.end()) for m in assign.finditer(t) if len(m[2]) >= 8]
+        spans += [(m.start(), 1, m.end()) for m in re.finditer(r"AKIA[A-Z0-9]+", t) if len(m[0]) >= 16]
+        spans += [(m.start(), 2, m.end()) for m in re.finditer(r"[0-9a-f]+", t) if len(m[0]) >= 32]
+        return sorted(spans)
+
+    df = spark.createDataFrame(list(enumerate(texts)), "id int, text string")
+    got = {r["id"]: [tuple(x) for x in r["s"] if x["kind"] < 3] for r in df.select("id", secret_scan.find_spans(df["text"]).alias("s")).collect()}
+    assert got == {i: base(t) for i, t in enumerate(texts)}
+
+
+def test_near_copies(odd_docs, no_docs):
+    found = near_dedup.find_groups(odd_docs, 3, 85)
+    rows = {(r["doc_id"], r["n_shingles"], r["component_id"], r["kept"]) for r in found.collect()}
+    n = len({tuple(LONG.split()[i : i + 3]) for i in range(len(LONG.split()) - 2)})
+    assert {(5, n, 5, True), (6, n, 5, False), (7, n, 5, False), (3, 0, 3, True), (4, 0, 4, True), (8, 1, 8, True), (9, 1, 8, False), (None, n, None, True), (None, 0, None, True)} <= rows
+    assert found.count() == odd_docs.count() and near_dedup.find_groups(no_docs).count() == 0
+    kept = near_dedup.keep_least(odd_docs)
+    assert kept.columns == odd_docs.columns and {r["doc_id"] for r in kept.collect()} == {None, -3, 1, 2, 3, 4, 5, 8, 10, 11}
+
+
+def test_blocks_of_groups_find_the_same(spark, monkeypatch):
+    rng = random.Random(9)
+    base = [f"w{rng.randrange(3000)}" for _ in range(200)]
+    texts = []
+    for i in range(60):
+        own = list(base)
+        for _ in range(rng.randrange(0, 12)):
+            own[rng.randrange(200)] = f"v{rng.randrange(10**6)}"
+        texts.append((i, " ".join(own)))
+    sets = [{tuple(t.split()[i : i + 3]) for i in range(198)} for _, t in texts]
+    least = list(range(60))
+    for _ in range(60):
+        for a in range(60):
+            for b in range(60):
+                if 100 * len(sets[a] & sets[b]) >= 85 * len(sets[a] | sets[b]):
+                    least[a] = least[b] = min(least[a], least[b])
+    docs = spark.createDataFrame(texts, "doc_id long, text string")
+    want = list(enumerate(least))
+    assert sorted((r["doc_id"], r["component_id"]) for r in near_dedup.find_groups(docs, 3, 85).collect()) == want
+    monkeypatch.setattr(near_dedup, "BLOCK_ROWS", 10)
+    monkeypatch.setattr(near_dedup, "BLOCK_SHINGLES", 3000)
+    assert sorted((r["doc_id"], r["component_id"]) for r in near_dedup.find_groups(docs, 3, 85).collect()) == want
+
+
+def test_repeats_against_brute_force(spark, odd_docs, no_docs, monkeypatch):
+    def same(rows):
+        docs = spark.createDataFrame(rows, "doc_id long, text string")
+        cut = substring_dedup.cut_spans(docs, substring_dedup.repeated_spans(docs)).collect()
+        got = sorted((r["doc_id"], r["manyq__bytes"], r["manyq__removed"], r["manyq__spans"], hashlib.sha256(r["manyq__kept"]).hexdigest()) for r in cut)
+        assert got == sorted(substring_dedup.brute_force(rows))
+
+    rng = random.Random(11)
+    word = lambda n: "".join(rng.choice("abcé ") for _ in range(n))
+    shared = [word(n) for n in (99, 100, 101, 150, 400)]
+    rows = [(i, word(rng.randrange(0, 200)) + rng.choice(shared) + word(rng.randrange(0, 60)) + rng.choice(shared)) for i in range(60)]
+    rows += [(100, "ab" * 300), (101, "x" * 500), (102, None), (103, "")]
+    same(rows)
+    monkeypatch.setattr(substring_dedup, "MOST_KINDS", 3)  # anchors are cut by their strings' hashes
+    monkeypatch.setattr(substring_dedup, "SEGMENT", 250)  # long texts are worked on in segments
+    same(rows)
+    kept = substring_dedup.without_repeats(odd_docs)
+    assert kept.columns == odd_docs.columns and kept.count() == odd_docs.count() and substring_dedup.without_repeats(no_docs).count() == 0
+    assert kept.where("doc_id IS NULL AND text <> ''").count() == 1  # rows without doc_id are left alone
+
+
+def test_suffix_order():
+    trie = suffix_sort.BlindTrie(16)
+    keys = [5, 9, 5, 65535, 0, 12, 9]
+    for i, k in enumerate(keys):
+        trie.add(k, i)
+    assert [keys[x[0]] for x in trie.leaves()] == sorted(set(keys)) and [len(x) for x in trie.leaves()] == [1, 2, 2, 1, 1]
+
+
+def test_byte_bpe_matches_the_library(odd_docs, no_docs):
+    import public_tokenizers
+    import tiktoken
+
+    path = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
+    own = byte_bpe.coder(path, public_tokenizers.PATTERN)
+    other = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=byte_bpe.load_ranks(path), special_tokens={})
+    rng = random.Random(1)
+    for _ in range(3000):
+        text = "".join(rng.choices(["a", "e", "t", " ", "the", "ing", "é", "日", "\n", "0", "!", "🙂", "aaaa", "'s"], k=rng.randrange(25)))
+        assert own.encode(text) == other.encode_ordinary(text) and own.decode(own.encode(text)) == text.encode()
+    rows = byte_bpe.encode_decode(odd_docs, path, public_tokenizers.PATTERN).collect()
+    empty = hashlib.sha256(b"").hexdigest()
+    assert len(rows) == odd_docs.count() and all((r["ids_sha256"], r["decoded_sha256"]) == (empty, empty) for r in rows if r["n_tokens"] == 0)
+    assert byte_bpe.encode_decode(no_docs, path, public_tokenizers.PATTERN).count() == 0
+
+
+def test_packing(spark, odd_docs, no_docs):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    coder, library = packing.WordIds(path), Tokenizer.from_file(path)
+    library.encode_special_tokens = True
+    texts = ["It's 42 o'clock, DON'T!", "", "É  à b\tc", "<|endoftext|> x", "don't 're're", "ẞ Ʞ 日本"]
+    assert [i.tolist() for i in coder.of_all([t.encode() for t in texts])] == [library.encode(t, add_special_tokens=False).ids for t in texts]
+    for docs in (odd_docs, spark.read.parquet(f"{SF}/documents.parquet")):
+        pieces = packing.pack(docs, path).collect()
+        by_sequence = {}
+        for p in pieces:
+            by_sequence.setdefault(p["sequence_id"], []).append((p["offset"], p["length"]))
+        for own in by_sequence.values():
+            at = 0
+            for offset, length in sorted(own):
+                assert offset == at
+                at += length
+            assert at <= packing.LENGTH
+        assert sum(p["doc_tokens"] for p in pieces if p["start"] == 0) == sum(p["length"] for p in pieces)
+        assert sum(p["start"] == 0 for p in pieces) == docs.count()
+    assert packing.pack(no_docs, path).count() == 0
+    patterns = packing.pack_histogram({4096: 3, 3000: 5, 1000: 9, 96: 40})
+    assert sum(n * k for p, n in patterns for s, k in p if s == 96) == 40 and packing.padding([(((1024, 1),), 2)]) == 0
+
+
+def test_pages(spark):
+    page = "<body><nav><a href=a>Home</a></nav><div class='ad'>Buy, now.</div><article><h1>Title</h1><p>One &amp; two,<br>three.<p><b>Four <i>five</b></p></article><div id=comments><p>Nice, really.</p></div><footer>x</footer>"
+    rows = spark.createDataFrame([(1, "u", page), (2, "u", None), (3, "u", ""), (4, None, page[:150]), (5, "u", "<div><p>Plain page, with one text.")], "page_id long, url string, html string")
+    got = {r["page_id"]: (r["text"], r["n_chars"]) for r in html_text.extract(rows).collect()}
+    assert got[1] == ("Title\nOne & two, three.\nFour five", 33) and got[2] == got[3] == ("", 0) and got[4][0].startswith("Title") and got[5][0] == "Plain page, with one text."
+    assert html_text.extract(rows.where("false")).count() == 0
+
+
+def test_toxicity_held_out(spark, odd_docs, no_docs):
+    sf = "/root/testdata/sf0.1"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    machine = toxicity.learn(docs, labels)
+    scored = {r["doc_id"]: r["manyq__score"] for r in toxicity.with_scores(docs, machine).select("doc_id", "manyq__score").collect()}
+    held = [(scored[r["doc_id"]], r["toxic"]) for r in labels.where(toxicity.held_out(labels["doc_id"])).collect()]
+    yes, no = [s for s, y in held if y], [s for s, y in held if not y]
+    assert sum((a > b) + (a == b) / 2 for a in yes for b in no) / (len(yes) * len(no)) > 0.95
+    assert toxicity.keep_below(odd_docs, machine).columns == odd_docs.columns
+    assert toxicity.with_scores(no_docs, machine).count() == 0
+    assert all(0 <= r["manyq__score"] <= 1 for r in toxicity.with_scores(odd_docs, machine).select("manyq__score").collect())
+    none = toxicity.learn(docs, labels.where("false"))
+    assert toxicity.with_scores(docs.limit(5), none).where("manyq__score > 0.01").count() == 0
+
+
+def test_interactions_are_learned():
+    """Toxic exactly when both terms meet: additive weights cannot tell, the machine can."""
+    import numpy as np
+
+    rng = random.Random(2)
+    lists, toxic = [], []
+    for _ in range(1200):
+        a, b = rng.random() < 0.5, rng.random() < 0.5
+        lists.append(np.array(sorted(({10} if a else set()) | ({20} if b else set()) | {100 + rng.randrange(30)}), np.int64))
+        toxic.append(float(a and b))
+    machine = toxicity.fit(lists, np.array(toxic), epochs=20)
+    first = np.cumsum([0, *map(len, lists)])
+    right = (machine.margins(np.concatenate(lists), first) > 0) == np.array(toxic, bool)
+    assert right.mean() > 0.97
