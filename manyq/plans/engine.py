@@ -71,7 +71,7 @@ def make_kernel(kernel: Kernel, policy: Policy, token: str, n_queries: int, wave
 
     def run(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
         part, bucket = (int(k.as_py()) for k in key)
-        if not left.num_rows or not any(k == "op" for k in left["kind"].unique().to_pylist()):
+        if not left.num_rows:
             return pa.Table.from_arrays([pa.array([], f.type) for f in _SCHEMA], schema=_SCHEMA)
         graph = _side(token, part, kernel.sides, right)
         out: list[list] = [[] for _ in NAMES]
@@ -87,20 +87,21 @@ def make_kernel(kernel: Kernel, policy: Policy, token: str, n_queries: int, wave
         for query, rows in _by_query(left):
             state = {((r["v"], r["aux2"]) if keyed_state else r["v"]): (r["num"], r["aux"], r["aux2"], r["rest"]) for r in rows if r["kind"] == "state"}
             ops = [(r["v"], r["num"], r["aux"], r["aux2"]) for r in sorted((r for r in rows if r["kind"] == "op"), key=lambda r: (r["seq"], r["v"], r["num"]))]
-            if not ops:
-                continue
             visit = Visit(query, graph, state, ops, policy, graph.edges / max(1, n_queries))
-            kernel.run(visit)
-            queries, took = queries + 1, took + len(ops)
+            if ops:
+                kernel.run(visit)
+                queries, took = queries + 1, took + len(ops)
             edges, done, pruned = edges + visit.edges, done + visit.done, pruned + visit.pruned
             kept, sent = kept + len(visit.keep), sent + len(visit.send)
-            for v in visit.changed:
-                s = visit.state[v]
+            # All state goes along, changed or not: the newest epoch then has all of a part's.
+            for v, s in visit.state.items():
                 emit("state", part, query, v[0] if isinstance(v, tuple) else v, *s)
             for op in visit.keep:
                 emit("op", part, query, *op, prio=kernel.priority(op))
             for (to, v, *_), op in visit.send.items():
                 emit("op", to, query, v, *op, prio=kernel.priority((v, *op)))
+        if not queries:
+            return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(out, _SCHEMA, strict=True)], schema=_SCHEMA)
         emit("trace", part, queries, took, done, pruned, kept, rest=sent, prio=edges)
         return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(out, _SCHEMA, strict=True)], schema=_SCHEMA)
 
@@ -199,22 +200,13 @@ def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel:
         run = make_kernel(kernel, policy, token, n_queries, wave)
         out = work.groupBy("part_id", "bucket").cogroup(blocks.groupBy("part_id", "bucket")).applyInArrow(run, OUT)
         if vparts is not None:  # walks that go home do not know where home is
-            home = out.where("part_id = -1").drop("part_id").join(vparts.select(F.col("id").alias("v"), "part_id"), "v").select(*NAMES)
-            out = out.where("part_id <> -1").unionByName(home)
-        if old is not None:  # unchanged state goes along, so that a part's newest epoch has all of it
-            merged = ["part_id", "query_id", "v", *(["aux2"] if kernel.__class__.__name__ == "KShortest" else [])]
-            if policy.consolidate:
-                fresh = F.struct(F.lit(0).alias("age"), *[F.col(c) for c in NAMES if c not in merged])
-            else:
-                fresh = F.struct("num", "aux", F.lit(0).alias("age"), *[F.col(c) for c in NAMES if c not in (*merged, "num", "aux")])
-            stale = states_of(chosen).withColumn("seq", F.lit(0).cast("long"))
-            states = out.where("kind = 'state'").unionByName(stale.select(*NAMES)).withColumn("fresh", F.struct((-F.col("seq")).alias("age"), *[F.col(c).alias(f"_{c}") for c in NAMES if c not in merged]) if policy.consolidate else fresh)
-            least = states.groupBy(*merged).agg(F.min("fresh").alias("s"))
-            prefix = "s._" if policy.consolidate else "s."
-            states = least.select(*[F.col(c) if c in merged else F.col(f"{prefix}{c}").alias(c) for c in NAMES])
-            out = out.where("kind <> 'state'").unionByName(states)
-        elif not policy.consolidate:
-            out = out.where("kind <> 'state'").unionByName(out.where("kind = 'state'").groupBy("kind", "part_id", "query_id", "v").agg(F.min(F.struct("num", "aux", "bucket", "aux2", "rest", "prio", "seq")).alias("s")).select("kind", "part_id", "s.bucket", "query_id", "v", *[f"s.{c}" for c in NAMES[5:]]))
+            home = vparts.select(F.col("id").alias("_v"), F.col("part_id").alias("_part"))
+            out = out.join(home, (F.col("part_id") == -1) & (F.col("v") == F.col("_v")), "left").withColumn("part_id", F.coalesce("_part", "part_id")).select(*NAMES)
+        if not policy.consolidate:  # of the tasks' states of one vertex the best is true; all other rows stay as they are
+            is_state = F.col("kind") == "state"
+            apart = [F.when(is_state, 0).otherwise(F.col(c)).alias(f"_{c}") for c in ("bucket", "seq")]
+            least = F.min(F.struct("num", "aux", "bucket", "aux2", "rest", "prio", "seq")).alias("s")
+            out = out.groupBy("kind", "part_id", "query_id", "v", *apart).agg(least).select("kind", "part_id", "s.bucket", "query_id", "v", *[f"s.{c}" for c in NAMES[5:]])
         if waiting is not None:
             out = out.unionByName(waiting.select(*NAMES))
         buffer = epoch(out, f"wave{wave}")

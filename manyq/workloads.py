@@ -149,7 +149,7 @@ _add("bfs_depth", _run(_on, False, cutoff=20), _bfs(_on, limit=20))
 _add("sssp_cutoff", _run(_on, True, cutoff=60), _sssp(_on, limit=60))
 _add("sssp_dense", _run(_dense, True, plan="random"), _sssp(_dense))
 _add("bfs_dense", _run(_dense, False, plan="random"), _bfs(_dense))
-_add("bfs_web", _run("hyperlink", False, parts=4), _bfs("hyperlink"))
+_add("bfs_web", _run("hyperlink", False, parts=2), _bfs("hyperlink"))
 _add("sssp_timeline", _run("order_timeline", True, n=4, parts=4, plan="ids"), _sssp("order_timeline", 4))
 _add("sssp_multilevel", _run(_on, True, policy=_range and Policy.paths(), plan="multilevel"), _sssp(_on))
 for _w, _kind, _text in ((True, "sssp", _sssp), (False, "bfs", _bfs)):
@@ -200,7 +200,7 @@ for _name, _how in {"ppr_power": {}, "ppr_bsp": {"materialise_messages": True},
 
 
 def _tight(policy: Policy | None) -> Query:
-    return lambda s, d: _rounded(Q.multi_ppr(blocks(s, d, "hyperlink", 4), seeds.sample_sources(graph(s, d, "hyperlink"), 4), eps=1e-11, policy=policy))
+    return lambda s, d: _rounded(Q.multi_ppr(blocks(s, d, "hyperlink", 2), seeds.sample_sources(graph(s, d, "hyperlink"), 4), eps=1e-9, policy=policy))
 
 
 _add("ppr_tight", _tight(Policy.ppr(None)), power_sql("hyperlink", 4, 150) + _ppr)
