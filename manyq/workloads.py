@@ -330,7 +330,7 @@ _add("ops_buffers", lambda s, d: _ops(s, d).groupBy("part_id").agg(F.count("*").
 
 def _work(s: SparkSession, d: str) -> DataFrame:
     """Heap order and pausing do less work than arrival order on a plan with many cut edges; block misses stay below one per visit."""
-    bg, src = blocks(s, d, _on, 8, "ids"), seeds.sample_sources(graph(s, d, _on), 2)
+    bg, src = blocks(s, d, _on, 4, "ids"), seeds.sample_sources(graph(s, d, _on), 1)
     heap, arrival = fork(bg, src, Relax(True), Policy.paths(20), 400), fork(bg, src, Relax(True), Policy(order="fifo"), 400)
     loads, misses = M.cache_model([t[1] for t in heap.trace], 4)
     return s.createDataFrame([(heap.total("edges") < arrival.total("edges"), misses <= loads, M.differing_rows(heap.state.select("query_id", "v", "num"), arrival.state.select("query_id", "v", "num")) == 0)], "less_work boolean, misses_bounded boolean, same_answer boolean")
