@@ -118,7 +118,7 @@ def pieces_of(docs: DataFrame, tokenizer_path: str, length: int = LENGTH, end_id
         for batch in batches:
             row, tokens, starts, sizes, sums = [], [], [], [], []
             texts = text_bytes(batch.column(1))
-            for lo, hi, _ in slabs(texts, 2 << 20):
+            for lo, hi, _ in slabs(texts, 4 << 20):
                 for i, ids in enumerate(coder.of_all(texts[lo:hi]), lo):
                     ids = ids.tobytes() + end
                     for at in range(0, len(ids), 4 * length):
