@@ -111,15 +111,30 @@ def geo_tree(spark: SparkSession, sf_dir: str) -> Graph:
     return Graph(pairs.unionByName(s.select(vertex(ids.NATION, F.col("s_nationkey")).alias("x"), vertex(ids.SUPPLIER, F.col("s_suppkey")).alias("y"))), name="geo_tree")
 
 
+def _runs(parts: str, k: int):
+    """All runs of k elements of an array column, each joined by blanks."""
+    return F.transform(F.sequence(F.lit(1), F.size(parts) - k + 1), lambda i: F.array_join(F.slice(parts, i, k), " "))
+
+
 def citation(spark: SparkSession, sf_dir: str, words: int = 6) -> Graph:
-    """Documents and the benchmark passages they hold: joined on a passage's first words, then compared whole."""
-    b = load(spark, sf_dir, "benchmark", "item_id", "text").select("item_id", F.col("text").alias("passage"))
-    b = b.withColumn("key", F.array_join(F.slice(F.split("passage", " "), 1, words), " "))
-    parts = F.split("text", "[ \n]+")
-    shifted = F.arrays_zip(*[F.slice(parts, k + 1, F.greatest(F.size(parts) - k, F.lit(0))).alias(f"w{k}") for k in range(words)])
-    grams = F.transform(shifted, lambda x: F.concat_ws(" ", *[x[f"w{k}"] for k in range(words)]))
-    d = load(spark, sf_dir, "documents", "doc_id", "text").withColumn("key", F.explode(F.array_distinct(grams)))
-    hit = d.join(b, "key").where(F.contains("text", "passage"))
+    """Documents and the benchmark passages they hold: joined on a passage's words, then compared whole.
+
+    The first and the last piece of a passage may meet other characters in a document, so keys are made of the pieces
+    between; passages with fewer than `words` of these have shorter keys, and those with none are compared with all documents.
+    """
+    pieces = lambda c: F.split(c, "[ \n]+")
+    b = load(spark, sf_dir, "benchmark", "item_id", "text").select("item_id", F.col("text").alias("passage")).where("item_id IS NOT NULL AND passage IS NOT NULL")
+    inner = b.withColumn("inner", F.slice(pieces("passage"), 2, F.greatest(F.size(pieces("passage")) - 2, F.lit(0))))
+    keyed = inner.select("item_id", F.least(F.size("inner"), F.lit(words)).alias("k"), F.array_join(F.slice("inner", 1, words), " ").alias("key"))
+    d = load(spark, sf_dir, "documents", "doc_id", "text").where("doc_id IS NOT NULL")
+    split = d.select("doc_id", pieces("text").alias("parts"))
+    near = d.select("doc_id").limit(0).join(b.select("item_id"))
+    for (k,) in keyed.select("k").where("k > 0").distinct().collect():  # at most `words` lengths
+        own = split.where(F.size("parts") >= k).select("doc_id", F.explode(F.array_distinct(_runs("parts", k))).alias("key"))
+        near = near.unionByName(own.join(keyed.where(F.col("k") == k), "key").select("doc_id", "item_id"))
+    hit = d.join(near.distinct(), "doc_id").join(b, "item_id").where(F.contains("text", "passage")).select("doc_id", "item_id")
+    bare = b.join(keyed.where("k = 0").select("item_id"), "item_id", "left_semi")
+    hit = hit.unionByName(d.join(bare, F.contains("text", "passage")).select("doc_id", "item_id"))
     return Graph(hit.select(vertex(ids.DOCUMENT, F.col("doc_id")).alias("x"), vertex(ids.ITEM, F.col("item_id")).alias("y")).distinct(), name="citation")
 
 

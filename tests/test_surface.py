@@ -1,9 +1,10 @@
 from pyspark.sql import functions as F
 
 from manyq import sqlapi
+from manyq.functions import ids
 from manyq.operators.blocks import blocked
 from manyq.plans.kernels import Relax
-from manyq.sources import datasource, tables
+from manyq.sources import datasource, graphs, tables
 from manyq.sources.graphs import Graph
 from manyq.streaming import requests, windows
 
@@ -62,3 +63,21 @@ def test_windows_on_a_stream(spark, tmp_path):
     q = stream.writeStream.outputMode("complete").format("memory").queryName("w").trigger(availableNow=True).start()
     q.awaitTermination(120)
     assert sorted(map(str, spark.sql("SELECT * FROM w").collect())) == sorted(map(str, windows.tumbling(events).collect()))
+
+
+def _held(spark, sf_dir):
+    docs, items = (spark.read.parquet(f"{sf_dir}/{name}.parquet") for name in ("documents", "benchmark"))
+    both = docs.select("doc_id", "text").crossJoin(F.broadcast(items.select("item_id", F.col("text").alias("passage"))))
+    rows = both.where(F.contains("text", "passage")).select((F.lit(ids.DOCUMENT * ids.SPACE) + F.col("doc_id")).alias("x"), (F.lit(ids.ITEM * ids.SPACE) + F.col("item_id")).alias("y"))
+    return {tuple(r) for r in rows.distinct().collect()}
+
+
+def test_citation_finds_every_passage(spark, tmp_path):
+    """Against contains: on the given table, and on passages that are short or meet other characters at their edges."""
+    texts = ['He said "one two three\nfour five six seven" twice', "one two", "(one) two,  three\nfour five six seven eight", "ab\n\nc de", "", None, "one two three four five six seven"]
+    passages = ["one two three\nfour five six seven", "two three\nfour five six sev", "one", "two", "e t", "b\n\nc d", " two", "\nfour five ", "", None, "three four five", "two,  three\nfour five six seven eight"]
+    for name, key, rows in (("documents", "doc_id", texts), ("benchmark", "item_id", passages)):
+        spark.createDataFrame(list(enumerate(rows)), f"{key} long, text string").write.parquet(str(tmp_path / f"{name}.parquet"))
+    for sf_dir in (str(tmp_path), "/root/testdata/sf0.1"):
+        want = _held(spark, sf_dir)
+        assert want and {tuple(r) for r in graphs.citation(spark, sf_dir).pairs.collect()} == want
