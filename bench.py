@@ -41,7 +41,7 @@ def main() -> None:
     road, social = graphs.event_grid(spark, sf_dir), graphs.trade(spark, sf_dir)
     road_blocks = timed("pack_road", lambda: blocked(road, parts=8))
     social_blocks = timed("pack_social", lambda: blocked(social, partition.partition_random(social, 8)))
-    marks, people = seeds.sample_sources(road, 16), seeds.sample_fraction(social, 0.0001, least=8)
+    marks, people = seeds.sample_sources(road, 16), seeds.sample_fraction(social, 0.0001)
 
     # Landmark labels on the road-like graph: the engine, against queries at a time in whole-graph workers.
     own = timed("ll_road_buffered", lambda: fork(road_blocks, marks, Relax(True), Policy.paths()))
@@ -73,7 +73,7 @@ def main() -> None:
     paused = timed("ppr_social_paused", lambda: fork(social_blocks, people, Push(0.15, 1e-5), Policy(pause=YieldPolicy(factor=2))))
     ratios["ppr_social_paused_edges_to_plain"] = round(paused.total("edges") / plain.total("edges"), 3)
     ranks = plain.state.selectExpr("query_id", "v", "num AS p").where("p > 0")
-    timed("ncp_sweep", lambda: apps.community_profile(apps.sweep(social, ranks, 2000)))
+    timed("ncp_sweep", lambda: apps.community_profile(apps.sweep(social, ranks)))
     timed("bc_web_bfs", lambda: apps.betweenness(blocked(graphs.hyperlink(spark, sf_dir), parts=4), seeds.sample_sources(graphs.hyperlink(spark, sf_dir), 16)))
     print(json.dumps({"metric": "total seconds of headline queries", "value": round(sum(took.values()), 2), "unit": "sec", "queries": took, "ratios": ratios, "sf": sf_dir.rstrip("/").rsplit("sf", 1)[-1]}))
 

@@ -314,7 +314,7 @@ sums AS (SELECT p.query_id, p.size, sum(deg) OVER w AS vol, sum(coalesce(k, 0))
 swept AS (SELECT query_id, size, (vol - ins)::DOUBLE / least(vol, (SELECT sum(deg) FROM v) - vol) AS conductance FROM sums WHERE least(vol, (SELECT sum(deg) FROM v) - vol) > 0)"""
 _add("ncp_profile", lambda s, d: apps.community_profile(apps.sweep(graph(s, d, "hyperlink"), _ranks(s, d))).select(F.col("size").cast("long").alias("size"), F.round("conductance", 6).alias("conductance")), _sweep_sql + " SELECT size, round(min(conductance), 6) AS conductance FROM swept GROUP BY size")
 _add("sweep_best", lambda s, d: apps.best_cut(apps.sweep(graph(s, d, "hyperlink"), _ranks(s, d))).select("query_id", F.col("size").cast("long").alias("size"), F.round("conductance", 6).alias("conductance")), _sweep_sql + " SELECT query_id, arg_min(size, (round(conductance, 9), size)) AS size, round(min(conductance), 6) AS conductance FROM swept GROUP BY query_id")
-_add("ncp_pushed", lambda s, d: apps.community_profile(apps.sweep(graph(s, d, "trade"), Q.multi_ppr(blocks(s, d, "trade", 4, "random"), seeds.sample_fraction(graph(s, d, "trade"), 0.0001, least=4), eps=1e-5).where("p > 0"), 400)))
+_add("ncp_pushed", lambda s, d: apps.community_profile(apps.sweep(graph(s, d, "trade"), Q.multi_ppr(blocks(s, d, "trade", 4, "random"), seeds.sample_fraction(graph(s, d, "trade"), 0.0001), eps=1e-5).where("p > 0"))))
 
 # One step of the engine
 

@@ -1,5 +1,6 @@
 import pytest
 
+from manyq import workloads
 from manyq.operators import measures, partition, seeds
 from manyq.operators.blocks import blocked, unpack_blocks
 from manyq.plans import apps, baselines, queries
@@ -134,3 +135,17 @@ def test_partition_plans_cover(spark):
         rows = plan.collect()
         assert sorted(r["id"] for r in rows) == list(range(40)) and {r["part_id"] for r in rows} <= set(range(4))
     assert seeds.sample_sources(g, 5).count() == 5
+
+
+def test_registered_profile_has_all_sizes(spark, monkeypatch):
+    """Every size that 16 pushes reach is in the profile, not the first few hundred."""
+    seen = []
+    swept = workloads.apps.sweep
+    monkeypatch.setattr(workloads.apps, "sweep", lambda g, ranks, *a: seen.append((g, ranks.cache())) or swept(g, seen[0][1], *a))
+    got = workloads.queries()["ncp_pushed"](spark, "/root/testdata/sf0.01")
+    sizes = {r["size"] for r in got.collect()}
+    (g, ranks), = seen
+    reached = [r["count"] for r in ranks.groupBy("query_id").count().collect()]
+    assert len(reached) == 16 and max(reached) > 400
+    # A sweep over all vertices of the graph has no conductance.
+    assert sizes == set(range(1, min(max(reached), g.n_vertices - 1) + 1))
