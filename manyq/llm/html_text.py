@@ -1,11 +1,13 @@
 """Main text of web pages by tag-path ratios.
 
 A page is read into text nodes, each with its root-to-leaf tag path. For every path the length and the punctuation of
-its text are summed and set against its number of nodes; the ratios are smoothed over the nodes in page order, fused
-with the share of text outside links, and held against a threshold from the page's own mean. Two things known of HTML
-weigh in before: paths through elements that never hold the article (menus, headers, footers, side bars, notices,
-adverts, forms, scripts, reader comments; by element, role, class or id) weigh nothing, and where a page marks its
-article, only paths through it count and short ones (titles, short paragraphs) need no ratio unless they are links.
+its text are summed and set against its number of nodes; the ratios are fused with the share of text outside links,
+smoothed over the nodes with text in page order, and held against half of the mean of their logarithms over the page,
+which one long paragraph moves little. Headings, list items and, in a marked article, paragraphs may be short: they also
+stay between or beside selected blocks of their container. Two things known of HTML weigh in: paths through elements
+that seldom hold the article (menus, headers, footers, side bars, notices, adverts, forms, reader comments; by element,
+role, class or id) have a hundredth of their ratio, hidden ones none, and where a page marks its article, only paths
+through it are scored.
 
 Defined cases: null or empty html gives an empty text; pages cut off anywhere are read to their end; nested and unclosed
 elements follow HTML's implied ends. Rows that repeat come back once each. Extra columns are not read.
@@ -14,6 +16,7 @@ elements follow HTML's implied ends. Rows that repeat come back once each. Extra
 from __future__ import annotations
 
 import html
+import math
 import re
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -24,6 +27,8 @@ from pyspark.sql import DataFrame, SparkSession
 from manyq.llm.common import lean_batches, table
 
 # HTML's element kinds.
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+SHORT = HEADINGS | frozenset("li dt dd td th caption figcaption".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style noscript template iframe object svg math head title textarea select canvas audio video noembed noframes xmp".split())
 BLOCK = frozenset(
@@ -41,6 +46,9 @@ MARKS = frozenset(
 )
 CLOSES_P = BLOCK - frozenset("body html caption dd dt legend li optgroup option summary tbody td tfoot th thead tr".split()) | {"p"}
 SIBLINGS = {"li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "option": ("select",), "tr": ("table",), "td": ("tr",), "th": ("tr",)}
+#: The weight of doubtful elements, and the share of the page's mean log ratio that blocks must reach.
+DOUBT, SHARE = 0.01, 0.5
+LISTS = frozenset("ul ol dl menu table tbody thead tfoot tr figure".split())
 
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
 ATTRIBUTE = re.compile(r"""(?:^|\s)(class|id|role|hidden|aria-hidden)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?(?=\s|/|$)""", re.I | re.S)
@@ -53,7 +61,7 @@ class Node:
     path: str
     block: int
     text: str
-    boiler: bool
+    weight: float
     linked: bool
     article: bool
     score: float = 0.0
@@ -63,33 +71,35 @@ class Node:
 class Open:
     tag: str
     path: str
-    boiler: bool
+    weight: float
     linked: bool
     article: bool
 
 
-def _is_boiler(tag: str, attributes: str, inside_article: bool) -> bool:
-    if tag in BOILER or tag == "header" and not inside_article:
-        return True
+def _weight(tag: str, attributes: str, inside_article: bool) -> float:
+    """What an element's ratio is multiplied by."""
+    weight = DOUBT if tag in BOILER or tag == "header" and not inside_article else 1.0
     for m in ATTRIBUTE.finditer(attributes) if attributes else ():
         name, value = m[1].lower(), m[2] or m[3] or m[4] or ""
-        if name == "hidden" or name == "aria-hidden" and value.lower() == "true" or name == "role" and value.lower() in ROLES:
-            return True
+        if name == "hidden" or name == "aria-hidden" and value.lower() == "true":
+            return 0.0
+        if name == "role" and value.lower() in ROLES:
+            weight = DOUBT
         if name in ("class", "id") and tag not in ("html", "body", "main", "article") and not MARKS.isdisjoint(w.lower() for w in WORDS.findall(value)):
-            return True
-    return False
+            weight = DOUBT
+    return weight
 
 
 def nodes_of(page: str) -> list[Node]:
     """The text nodes of a page in order, without those in raw elements (scripts, styles, the head)."""
     nodes: list[Node] = []
-    stack = [Open("", "", False, False, False)]
+    stack = [Open("", "", 1.0, False, False)]
     block, at, n = 0, 0, len(page)
 
     def add(raw: str) -> None:
         if raw and not raw.isspace() or nodes and raw:
             top = stack[-1]
-            nodes.append(Node(top.path, block, html.unescape(raw), top.boiler, top.linked, top.article))
+            nodes.append(Node(top.path, block, html.unescape(raw), top.weight, top.linked, top.article))
 
     def close(until: int) -> None:
         del stack[until:]
@@ -139,48 +149,102 @@ def nodes_of(page: str) -> list[Node]:
                     break
         top = stack[-1]
         article = top.article or tag in ("article", "main") or bool(m[3]) and "main" in m[3] and re.search(r"role\s*=\s*[\"']?main\b", m[3]) is not None
-        boiler = top.boiler or _is_boiler(tag, m[3], article and (top.article or tag not in ("article", "main")))
-        stack.append(Open(tag, f"{top.path}/{tag}", boiler, top.linked or tag == "a", article))
+        weight = min(top.weight, _weight(tag, m[3], article and (top.article or tag not in ("article", "main"))))
+        stack.append(Open(tag, f"{top.path}/{tag}", weight, top.linked or tag == "a", article))
     return nodes
 
 
 def score(nodes: list[Node]) -> float:
     """Give every node the smoothed and fused ratio of its path; return the page's threshold."""
-    sums: dict[str, list[float]] = {}
+    sums: dict[tuple[str, float], list[float]] = {}  # doubtful nodes apart, lest they have the article's ratio
     for x in nodes:
-        own = sums.setdefault(x.path, [0, 0, 0, 0])
+        own = sums.setdefault((x.path, x.weight), [0, 0, 0, 0])
         size = len(x.text.strip())
         own[0] += size
         own[1] += len(PUNCTUATION.findall(x.text))
         own[2] += size > 0
         own[3] += size if x.linked else 0
     ratio = {p: (1 - link / max(1, size)) * (size / max(1, n)) * (1 + punct / max(1, n)) for p, (size, punct, n, link) in sums.items()}
-    plain = [0.0 if x.boiler else ratio[x.path] for x in nodes]
-    for i, x in enumerate(nodes):
-        near = [(0.5, plain[i])] + [(0.25, plain[j]) for j in (i - 1, i + 1) if 0 <= j < len(nodes)]
-        x.score = 0.0 if x.boiler else sum(w * v for w, v in near) / sum(w for w, _ in near)
-    return 0.2 * max((x.score for x in nodes), default=0.0)
+    # White space between elements has no ratio of its own and would only halve its neighbours'.
+    live = [x for x in nodes if x.text.strip()]
+    plain = [x.weight * ratio[x.path, x.weight] for x in live]
+    for i, x in enumerate(live):
+        near = [(0.5, plain[i])] + [(0.25, plain[j]) for j in (i - 1, i + 1) if 0 <= j < len(live)]
+        x.score = sum(w * v for w, v in near) / sum(w for w, _ in near) if x.weight == 1 else plain[i]  # no lift for doubtful ones
+    logs = [math.log1p(x.score) for x in live if not x.linked and x.weight]
+    return math.expm1(SHARE * sum(logs) / len(logs)) if logs else 0.0
+
+
+def _kind(x: Node) -> tuple[str, str] | None:
+    """Of a node in a heading or a list item: that element's tag and the path of what holds the heading or the whole list."""
+    tags = x.path.split("/")
+    for i in range(len(tags) - 1, 0, -1):
+        if tags[i] in SHORT:
+            up = i - 1
+            while up > 0 and tags[up] in LISTS:
+                up -= 1
+            return tags[i], "/".join(tags[: up + 1])
+    return None
 
 
 def main_text(page: str | None) -> str:
     """The article: its blocks in page order, white space inside a block as one blank, joined by newlines."""
-    nodes = [x for x in nodes_of(page or "")]
-    if marked := [x for x in nodes if x.article and not x.boiler]:
-        nodes = marked if any(x.text.strip() for x in marked) else nodes
-    least = score(nodes)
-    blocks: dict[int, list[Node]] = {}
+    nodes = nodes_of(page or "")
+    if any(x.article and x.weight == 1 and x.text.strip() for x in nodes):
+        nodes = [x for x in nodes if x.article]
+    least = max(score(nodes), 1e-9)
+    groups: dict[int, list[Node]] = {}
     for x in nodes:
-        blocks.setdefault(x.block, []).append(x)
+        groups.setdefault(x.block, []).append(x)
+    blocks = [own for _, own in sorted(groups.items()) if any(x.text.strip() for x in own)]
+    chosen = [max(x.score for x in own) >= least for own in blocks]
+    # Of every block, the paths that hold the nearest selected ones before and after it.
+    before, after = [None] * len(blocks), [None] * len(blocks)
+    for order, near in ((range(len(blocks)), before), (range(len(blocks) - 1, -1, -1), after)):
+        last = None
+        for i in order:
+            near[i] = last
+            if chosen[i]:
+                last = f"{_home(blocks[i])}/"
     out = []
-    for _, own in sorted(blocks.items()):
-        live = [x for x in own if not x.boiler]
-        text = " ".join("".join(x.text for x in live).split())
-        plain = any(x.text.strip() and not x.linked for x in live)
-        if text and (plain and live[0].article or max(x.score for x in live) >= max(least, 1e-9)):
+    for i, own in enumerate(blocks):
+        if not chosen[i] and not _kept_short(own, before[i], after[i]):
+            continue
+        if text := " ".join("".join(x.text for x in own if x.score >= least or x.weight == 1).split()):
             out.append(text)
     return "\n".join(out)
 
 
+def _home(own: list[Node]) -> str:
+    """The path of what holds a block."""
+    x = max(own, key=lambda x: x.score)
+    kind = _kind(x)
+    if kind:
+        return kind[1]
+    tags = x.path.split("/")
+    for i in range(len(tags) - 1, 0, -1):
+        if tags[i] in BLOCK:
+            return "/".join(tags[:i] if tags[i] in ("p", "pre", "blockquote") else tags[: i + 1])
+    return ""
+
+
+def _kept_short(own: list[Node], before: str | None, after: str | None) -> bool:
+    """Whether an unselected block is a heading, list item or paragraph that belongs to selected blocks."""
+    first = next(x for x in own if x.text.strip())
+    if first.article and first.weight == 1 and not first.linked and first.path.endswith("/p"):
+        # A paragraph beside selected blocks, in the same element of a marked article.
+        return f"{first.path[:-2]}/" in (before, after)
+    kind = _kind(first)
+    if not kind or min(x.weight for x in own) < 1 or all(x.linked for x in own if x.text.strip()):
+        return False
+    tag, home = kind
+    inside = [near is not None and (f"{home}/".startswith(near) or near.startswith(f"{home}/")) for near in (before, after)]
+    if all(inside) or tag in HEADINGS and inside[1]:
+        return True
+    # At an end of the selected blocks: only where their container is no more than the article.
+    return any(inside) and (first.article or home.count("/") > 2)
+
+
 def extract(pages: DataFrame) -> DataFrame:
     """(page_id, url, text, n_chars) for every page."""
     lean_batches(pages.sparkSession)

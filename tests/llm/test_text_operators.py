@@ -200,6 +200,16 @@ def test_pages(spark):
     assert html_text.extract(rows.where("false")).count() == 0
 
 
+PARA = "Long sentences follow here, with commas, and more words to fill them up."
+
+
+def test_unmarked_pages_keep_headings_and_lists():
+    body = f"<h1>Main title of the page</h1>\n<p>{PARA * 4}</p>\n<h2>Second part</h2>\n<ul>\n<li>first item here</li>\n<li>second item</li>\n</ul>\n<p>{PARA * 40}</p>\n<h3>Third</h3>\n<p>Short one.</p>\n<ol><li>last item</li></ol>"
+    page = f"<html><body>\n<div class=menu><ul><li>Our news</li><li><a href=x>Home</a></li></ul></div>\n<div id=text>\n{body}\n</div>\n<div class=sidebar><ul><li>side one</li></ul></div>\n<div class=footer><p>All rights, everywhere.</p></div></body></html>"
+    want = ["Main title of the page", PARA * 4, "Second part", "first item here", "second item", PARA * 40, "Third", "Short one.", "last item"]
+    assert html_text.main_text(page).split("\n") == want
+
+
 def test_toxicity_held_out(spark, odd_docs, no_docs):
     sf = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
