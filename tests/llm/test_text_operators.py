@@ -210,6 +210,12 @@ def test_unmarked_pages_keep_headings_and_lists():
     assert html_text.main_text(page).split("\n") == want
 
 
+def test_ratios_select_in_marked_articles():
+    """A class name lowers a block's ratio; it does not settle it. Short paragraphs of the article stay."""
+    page = f"<article><h1>Title</h1><p>{PARA * 4}</p><div class=notice><p>{PARA * 12}</p></div><div class=ad>Buy, now.</div><p>{PARA}</p><p>The end</p></article><p>{PARA}</p>"
+    assert html_text.main_text(page).split("\n") == ["Title", PARA * 4, PARA * 12, PARA, "The end"]
+
+
 def test_toxicity_held_out(spark, odd_docs, no_docs):
     sf = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
