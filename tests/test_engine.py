@@ -1,3 +1,6 @@
+import heapq
+import math
+
 import pytest
 
 from manyq import workloads
@@ -149,3 +152,41 @@ def test_registered_profile_has_all_sizes(spark, monkeypatch):
     assert len(reached) == 16 and max(reached) > 400
     # A sweep over all vertices of the graph has no conductance.
     assert sizes == set(range(1, min(max(reached), g.n_vertices - 1) + 1))
+
+
+def _brandes(links: dict, sources: list, weighted: bool) -> dict:
+    score = dict.fromkeys(links, 0.0)
+    for s in sources:
+        dist, done, heap = {s: 0}, [], [(0, s)]
+        while heap:
+            d, u = heapq.heappop(heap)
+            if d > dist[u]:
+                continue
+            done.append(u)
+            for v, w in links[u]:
+                if d + (w if weighted else 1) < dist.get(v, math.inf):
+                    dist[v] = d + (w if weighted else 1)
+                    heapq.heappush(heap, (dist[v], v))
+        order = list(dict.fromkeys(done))
+        before = {v: [u for u, w in links[v] if u in dist and dist[u] + (w if weighted else 1) == dist[v]] for v in order}
+        ways, give = {s: 1.0}, dict.fromkeys(order, 0.0)
+        for v in order[1:]:
+            ways[v] = sum(ways[u] for u in before[v])
+        for v in order[:0:-1]:
+            for u in before[v]:
+                give[u] += ways[u] / ways[v] * (1 + give[v])
+            score[v] += give[v]
+    return {v: x * len(links) / len(sources) for v, x in score.items()}
+
+
+@pytest.mark.parametrize(("query", "weighted"), [("bc_bfs_100", False), ("bc_sssp_100", True)])
+def test_hundred_sources_against_brute_force(spark, query, weighted):
+    sf = "/root/testdata/sf0.001"
+    g, links = workloads.graph(spark, sf, "hyperlink"), {}
+    for r in g.edges.collect():
+        links.setdefault(r["src"], []).append((r["dst"], r["w"]))
+    chosen = [r["src"] for r in seeds.sample_sources(g, 100).collect()]
+    assert len(chosen) == 100
+    want = _brandes(links, chosen, weighted)
+    got = {r["v"]: r["score"] for r in workloads.queries()[query](spark, sf).collect()}
+    assert got.keys() == want.keys() and all(math.isclose(got[v], want[v], abs_tol=0.01) for v in want)
