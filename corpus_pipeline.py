@@ -57,5 +57,5 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     return STAGES[-1][1](spark, docs, sf_dir)
 
 
-#: The learned scorer and the tokenizer are beyond SQL; tests hold each stage against brute force.
+#: The learned scorer and the tokenizer are beyond SQL; tests hold the rows of toxicity, line_dedup and near_dedup against brute force.
 ORACLE_SQL = None
