@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -20,7 +21,8 @@ class BlockedGraph:
     vparts: DataFrame  # id, part_id
     blocks: DataFrame  # part_id, chunk, vids, offsets, dst, dst_part, w
     n_parts: int
-    _cache: dict = field(default_factory=dict)
+    #: Names these blocks to the workers that keep them decoded; never given twice, unlike an id().
+    token: str = field(default_factory=lambda: uuid.uuid4().hex)
 
 
 def pack_blocks(g: Graph, vparts: DataFrame, chunk_edges: int = 2_000_000) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -29,7 +31,7 @@ def shortest_dag(bg: BlockedGraph, lengths: DataFrame, weighted: bool) -> DataFr
     return dag.join(part("src", "u_part"), "src").join(part("dst", "v_part"), "dst").select("query_id", F.col("src").alias("u"), F.col("dst").alias("v"), "u_part", "v_part")
 
 
-def _count_down(dag: DataFrame, nodes: DataFrame, starts: DataFrame, kernel: Countdown, n: int, token: str) -> DataFrame:
+def _count_down(dag: DataFrame, nodes: DataFrame, starts: DataFrame, kernel: Countdown, n: int) -> DataFrame:
     """(query_id, v, total): sums along dag (query_id, u, v, u_part, v_part); nodes (query_id, v, part_id, factor); starts (query_id, v, give)."""
     awaited = dag.groupBy("query_id", "v").agg(F.count("*").alias("aux"))
     state = nodes.join(awaited, ["query_id", "v"], "left").join(starts, ["query_id", "v"], "left")
@@ -37,7 +39,7 @@ def _count_down(dag: DataFrame, nodes: DataFrame, starts: DataFrame, kernel: Cou
     ops = state.where("aux = 0").select("part_id", "bucket", "query_id", "v", F.coalesce("give", F.lit(0.0)).alias("num"), F.lit(0).cast("long").alias("aux"), F.lit(0).cast("long").alias("aux2"), F.lit(0.0).alias("prio"), F.lit(0).cast("long").alias("seq"))
     held = state.select("part_id", "bucket", "query_id", "v", F.lit(0.0).alias("num"), "aux", F.lit(0).cast("long").alias("aux2"), "rest")
     sides = epoch(dag.select(F.col("u_part").alias("part_id"), "query_id", "u", "v", "v_part").unionByName(nodes.select("part_id").distinct().select("part_id", F.lit(-1).alias("query_id"), F.lit(-1).cast("long").alias("u"), F.lit(-1).cast("long").alias("v"), F.lit(-1).alias("v_part"))), "dag")
-    r = run_waves(ops, held, sides, kernel, Policy.fifo(), n, token)
+    r = run_waves(ops, held, sides, kernel, Policy.fifo(), n, uuid.uuid4().hex)
     return r.state.select("query_id", "v", F.col("num").alias("total"))
 
 
@@ -49,11 +51,11 @@ def betweenness(bg: BlockedGraph, sources: DataFrame, weighted: bool = False, sc
     dag = epoch(shortest_dag(bg, lengths, weighted), "dag")
     nodes = lengths.join(bg.vparts.withColumnRenamed("id", "v"), "v").select("query_id", "v", "part_id", F.lit(1.0).alias("factor"))
     starts = sources.select("query_id", F.col("src").alias("v"), F.lit(1.0).alias("give"))
-    ways = epoch(_count_down(dag, nodes, starts, Countdown(), n, f"ways-{id(dag)}"), "ways")
+    ways = epoch(_count_down(dag, nodes, starts, Countdown(), n), "ways")
     back = dag.select("query_id", F.col("v").alias("u"), F.col("u").alias("v"), F.col("v_part").alias("u_part"), F.col("u_part").alias("v_part"))
     weighed = nodes.drop("factor").join(ways.withColumnRenamed("total", "factor"), ["query_id", "v"])
     none = starts.select("query_id", "v", F.lit(0.0).alias("give")).where("false")
-    sums = _count_down(back, weighed, none, Countdown(backward=True), n, f"back-{id(dag)}")
+    sums = _count_down(back, weighed, none, Countdown(backward=True), n)
     own = sums.join(ways.withColumnRenamed("total", "ways"), ["query_id", "v"]).join(sources.select("query_id", F.col("src").alias("v")), ["query_id", "v"], "left_anti")
     factor = bg.graph.n_vertices / n if scale else 1.0
     scores = own.groupBy("v").agg((F.sum(F.col("total") * F.col("ways")) * factor).alias("score"))

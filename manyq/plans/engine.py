@@ -235,4 +235,4 @@ def fork(bg: BlockedGraph, sources: DataFrame, kernel: Kernel, policy: Policy |
     if isinstance(kernel, Walk):
         ops = ops.withColumn("aux", F.explode(F.sequence(F.lit(0), F.lit(kernel.walks - 1)).cast("array<long>"))).withColumn("num", F.col("v").cast("double")).withColumn("aux2", F.lit(0).cast("long"))
     restarts = bg.vparts if isinstance(kernel, Walk) and kernel.restart else None
-    return run_waves(ops, None, bg.blocks, kernel, policy, n, f"{bg.graph.name}-{id(bg)}", restarts, max_waves)
+    return run_waves(ops, None, bg.blocks, kernel, policy, n, bg.token, restarts, max_waves)

@@ -5,7 +5,7 @@ import pytest
 
 from manyq import workloads
 from manyq.operators import measures, partition, seeds
-from manyq.operators.blocks import blocked, unpack_blocks
+from manyq.operators.blocks import BlockedGraph, blocked, unpack_blocks
 from manyq.plans import apps, baselines, queries
 from manyq.plans.engine import fork
 from manyq.plans.kernels import Push, Relax
@@ -37,6 +37,18 @@ def test_two_queries_whatever_the_schedule(spark):
         assert fx.lengths(fork(bg, fx.sources(spark, "AI"), Relax(True), p)) == want
 
 
+def test_blocks_of_dropped_graphs_are_never_reused(spark):
+    """Two graphs of one name, wrapped and dropped by turns: a worker's decoded blocks must not outlive their graph's token."""
+    made = [blocked(graph(spark, pairs, unit=True), parts=2) for pairs in ([(i, i + 1) for i in range(5)], [(0, i) for i in range(1, 6)])]
+    src = spark.createDataFrame([(0, 0)], "query_id int, src long")
+    want = [{i: i for i in range(6)}, {i: min(i, 1) for i in range(6)}]
+    for turn in range(20):
+        m = made[turn % 2]
+        bg = BlockedGraph(m.graph, m.vparts, m.blocks, m.n_parts)
+        assert {r["v"]: r["level"] for r in queries.multi_bfs(bg, src).collect()} == want[turn % 2]
+        del bg
+
+
 def test_priority_schedule_is_not_worse(spark):
     bg = fx.build(spark, *fx.SCHEDULES)
     visits = {}
