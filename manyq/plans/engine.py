@@ -8,28 +8,39 @@ and sent rows come from that one epoch, so sums count once even when tasks are r
 from __future__ import annotations
 
 from collections import OrderedDict
-from collections.abc import Callable, Iterator
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
+import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from manyq.operators.blocks import BlockedGraph
-from manyq.plans.kernels import Kernel, Visit, Walk
+from manyq.plans import vector
+from manyq.plans.kernels import Kernel, Push, Visit, Walk
 from manyq.plans.policy import Pending, Policy
-from manyq.sources.tables import epoch
+from manyq.sources.tables import forget, written
 
 OPS = "part_id int, bucket int, query_id int, v long, num double, aux long, aux2 long, prio double, seq long"
 STATE = "part_id int, bucket int, query_id int, v long, num double, aux long, aux2 long, rest double"
-OUT = "kind string, part_id int, bucket int, query_id int, v long, num double, aux long, aux2 long, rest double, prio double, seq long"
-NAMES = [c.split()[0] for c in OUT.split(", ")]
+#: An epoch: operations and traces are flat rows; state is packed, a row per query, part and visit with what the visit changed.
+FLAT = "kind string, part_id int, bucket int, query_id int, v long, num double, aux long, aux2 long, rest double, prio double, seq long"
+PACKED = "vs array<long>, nums array<double>, auxs array<long>, aux2s array<long>, rests array<double>"
+OUT = f"{FLAT}, {PACKED}"
+NAMES = [c.split()[0] for c in FLAT.split(", ")]
+LISTS = [c.split()[0] for c in PACKED.split(", ")]
+ENTRY = ["v", "num", "aux", "aux2", "rest"]
 TRACE = "wave int, part_id int, queries long, ops_in long, ops_done long, ops_pruned long, ops_kept long, ops_sent long, edges long"
+#: Visits after which a part's state is written whole, and older epochs are let go.
+COMPACT_AFTER = 6
 
 
 @dataclass
 class ForkResult:
-    """state: (query_id, v, num, aux, aux2, rest). trace: a row per part and wave, in the order of waves."""
+    """state: (part_id, query_id, v, num, aux, aux2, rest). trace: a row per part and wave, in the order of waves."""
 
     state: DataFrame
     trace: list[tuple] = field(default_factory=list)
@@ -49,7 +60,7 @@ KEPT_BLOCKS = 16
 
 
 def _side(token: str, part: int, decode: Callable, table: pa.Table):
-    key = (token, part)
+    key = (token, part, decode)
     if key not in _decoded:
         _decoded[key] = decode(part, table)
         if len(_decoded) > KEPT_BLOCKS:
@@ -58,58 +69,150 @@ def _side(token: str, part: int, decode: Callable, table: pa.Table):
     return _decoded[key]
 
 
-def _by_query(table: pa.Table) -> Iterator[tuple[int, list[dict]]]:
-    rows: dict[int, list[dict]] = {}
-    for r in table.select(["kind", "query_id", "v", "num", "aux", "aux2", "rest", "seq"]).to_pylist():
-        rows.setdefault(r["query_id"], []).append(r)
-    yield from sorted(rows.items())
+_ARROW = {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64(), "array<long>": pa.list_(pa.int64()), "array<double>": pa.list_(pa.float64())}
+_SCHEMA = pa.schema([pa.field(n, _ARROW[k]) for n, k in (c.split() for c in OUT.split(", "))])
 
 
-def make_kernel(kernel: Kernel, policy: Policy, token: str, n_queries: int, wave: int) -> Callable[[tuple, pa.Table, pa.Table], pa.Table]:
-    """The cogroup function of one wave: (part, bucket) operations and state against the part's block."""
-    keyed_state = isinstance(kernel, Walk) or kernel.__class__.__name__ == "KShortest"
+def _rows(n: int, **columns) -> pa.Table:
+    """n rows of an epoch; a scalar holds for all of them, what is not given is null."""
+    made = []
+    for f in _SCHEMA:
+        x = columns.get(f.name)
+        if x is None:
+            made.append(pa.nulls(n, f.type))
+        elif isinstance(x, pa.Array):
+            made.append(x)
+        elif isinstance(x, np.ndarray | list):
+            made.append(pa.array(x, f.type))
+        else:
+            made.append(pa.repeat(pa.scalar(x, f.type), n))
+    return pa.Table.from_arrays(made, schema=_SCHEMA)
+
+
+def _state_rows(part: int, bucket: int, wave: int, queries: np.ndarray, entries: dict[str, np.ndarray]) -> pa.Table:
+    """Entries by query, packed: q counts into queries and ascends."""
+    own, first = np.unique(entries["q"], return_index=True)
+    ends = pa.array(np.append(first, len(entries["q"])), pa.int32())
+    lists = {f"{c}s": pa.ListArray.from_arrays(ends, pa.array(entries[c], _ARROW[k])) for c, k in zip(ENTRY, ("long", "double", "long", "long", "double"), strict=True)}
+    return _rows(len(own), kind="state", part_id=part, bucket=bucket, query_id=queries[own].astype(np.int32), seq=wave, **lists)
+
+
+def _entries(rows: pa.Table) -> dict[str, np.ndarray]:
+    """Packed state as arrays, the oldest first: query_id and ENTRY."""
+    if not rows.num_rows:
+        return {"query_id": np.empty(0, np.int64), "v": np.empty(0, np.int64), "num": np.empty(0), "aux": np.empty(0, np.int64), "aux2": np.empty(0, np.int64), "rest": np.empty(0)}
+    rows = rows.sort_by("seq").combine_chunks()
+    out = {}
+    for name, column in zip(ENTRY, LISTS, strict=True):
+        lists = rows[column].chunk(0)
+        out[name] = lists.flatten().to_numpy(zero_copy_only=False)
+        out["query_id"] = np.repeat(rows["query_id"].to_numpy(), pc.list_value_length(lists).to_numpy()).astype(np.int64)
+    return out
+
+
+def _newest(entries: dict[str, np.ndarray], keyed: bool, least: bool) -> dict[str, np.ndarray]:
+    """One entry per query and vertex: the last one, or the least where tasks shared a query."""
+    n = len(entries["v"])
+    age = np.arange(n)
+    names = ["query_id", "v"] + (["aux2"] if keyed else [])
+    by = [age, entries["aux"], entries["num"]] if least else [-age]
+    order = np.lexsort((*by, *[entries[c] for c in reversed(names)]))
+    ordered = {c: x[order] for c, x in entries.items()}
+    head = np.ones(n, bool)
+    if n > 1:
+        head[1:] = np.logical_or.reduce([ordered[c][1:] != ordered[c][:-1] for c in names])
+    return {c: x[head] for c, x in ordered.items()}
+
+
+def _split(table: pa.Table) -> tuple[pa.Table, dict[str, np.ndarray]]:
+    """(operations, state entries) of a task's rows."""
+    is_state = pc.equal(table["kind"], "state")
+    return table.filter(pc.invert(is_state)), _entries(table.filter(is_state))
+
+
+def make_kernel(kernel: Kernel, policy: Policy, token: str, n_queries: int, wave: int, whole: frozenset[int] = frozenset()) -> Callable[[tuple, pa.Table, pa.Table], pa.Table]:
+    """The cogroup function of one wave: (part, bucket) operations and state against the part's block. Parts in `whole` write all their state."""
+    least = not policy.consolidate
+    together = kernel.batch is not None and policy.consolidate and policy.order != "lifo"
+
+    def ops_rows(part: int, bucket: int, to, query: np.ndarray, v, num, aux, aux2) -> pa.Table:
+        prio = np.array([kernel.priority(op) for op in zip(v, num, aux, aux2, strict=True)]) if kernel.__class__.priority not in PLAIN else PLAIN[kernel.__class__.priority] * num
+        return _rows(len(v), kind="op", part_id=to, bucket=bucket, query_id=query.astype(np.int32), v=v, num=num, aux=aux, aux2=aux2, rest=0.0, prio=prio, seq=(wave << 20) + part)
+
+    def batch(part: int, bucket: int, ops: pa.Table, state: dict[str, np.ndarray], right: pa.Table) -> tuple[list[pa.Table], list[int]]:
+        graph = _side(token, part, vector.ArrayGraph, right)
+        ids = ops["query_id"].to_numpy().astype(np.int64)
+        asked = np.unique(ids)
+        counts, out = [len(asked), len(ids), 0, 0, 0, 0, 0], []
+        slab = max(1, vector.SLAB // max(1, graph.size))
+        own = {c: ops[c].to_numpy() for c in ("v", "num", "aux")}
+        for lo in range(0, len(asked), slab):
+            queries = asked[lo : lo + slab]
+            part_of = lambda q, x, queries=queries: {"q": np.searchsorted(queries, q[m]), **{c: y[m] for c, y in x.items()}} if (m := np.isin(q, queries)) is not None else {}
+            b = vector.Batch(graph, queries, part_of(ids, own), part_of(state["query_id"], {c: state[c] for c in ("v", "num", "aux", "rest")}), policy, graph.edges / max(1, n_queries))
+            kernel.batch(kernel, b)
+            zeros = lambda x: np.zeros(len(x["v"]), np.int64)
+            out.append(_state_rows(part, bucket, wave, queries, b.changed | {"aux2": zeros(b.changed)}))
+            out.append(ops_rows(part, bucket, part, queries[b.keep["q"]], b.keep["v"], b.keep["num"], b.keep["aux"], zeros(b.keep)))
+            out.append(ops_rows(part, bucket, b.send["to"].astype(np.int32), queries[b.send["q"]], b.send["v"], b.send["num"], b.send["aux"], zeros(b.send)))
+            for i, x in enumerate((b.done, b.pruned, len(b.keep["v"]), len(b.send["v"]), b.edges)):
+                counts[i + 2] += x
+        return out, counts
+
+    def one_by_one(part: int, bucket: int, ops: pa.Table, state: dict[str, np.ndarray], right: pa.Table) -> tuple[list[pa.Table], list[int]]:
+        graph = _side(token, part, kernel.sides, right)
+        own: dict[int, list] = {}
+        for q, *op in sorted(zip(*(ops[c].to_pylist() for c in ("query_id", "seq", "v", "num", "aux", "aux2")), strict=True)):
+            own.setdefault(q, []).append(tuple(op[1:]))
+        held: dict[int, dict] = {q: {} for q in own}
+        for q, v, *s in zip(*(state[c].tolist() for c in ("query_id", "v", "num", "aux", "aux2", "rest")), strict=True):
+            if q in held:
+                held[q][(v, s[2]) if kernel.keyed else v] = tuple(s)
+        counts = [len(own), ops.num_rows, 0, 0, 0, 0, 0]
+        changed: list[tuple] = []
+        kept: list[tuple] = []
+        sent: list[tuple] = []
+        queries = np.array(sorted(own), np.int64)
+        for i, query in enumerate(queries.tolist()):
+            visit = Visit(query, graph, held[query], own[query], policy, graph.edges / max(1, n_queries))
+            kernel.run(visit)
+            for j, x in enumerate((visit.done, visit.pruned, len(visit.keep), len(visit.send), visit.edges)):
+                counts[j + 2] += x
+            changed += [(i, k[0] if isinstance(k, tuple) else k, *visit.state[k]) for k in visit.changed]
+            kept += [(part, i, *op) for op in visit.keep]
+            sent += [(to, i, v, *op) for (to, v, *_), op in visit.send.items()]
+        kinds = (np.int64, np.int64, np.float64, np.int64, np.int64, np.float64)
+        entries = {c: np.array(x, k) for c, x, k in zip(("q", *ENTRY), zip(*changed, strict=True) if changed else [[]] * 6, kinds, strict=True)}
+        out = [_state_rows(part, bucket, wave, queries, entries)]
+        rows = kept + sent
+        if rows:
+            to, q, v, num, aux, aux2 = (np.array(x, k) for x, k in zip(zip(*rows, strict=True), (np.int32, np.int64, np.int64, np.float64, np.int64, np.int64), strict=True))
+            out.append(ops_rows(part, bucket, to, queries[q], v, num, aux, aux2))
+        return out, counts
 
     def run(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
         part, bucket = (int(k.as_py()) for k in key)
         if not left.num_rows:
-            return pa.Table.from_arrays([pa.array([], f.type) for f in _SCHEMA], schema=_SCHEMA)
-        graph = _side(token, part, kernel.sides, right)
-        out: list[list] = [[] for _ in NAMES]
-        edges = done = pruned = kept = sent = took = queries = 0
-        seq = wave << 40 | part << 20
-
-        def emit(kind: str, to: int, query: int, v: int, num: float, aux: int, aux2: int, rest: float = 0.0, prio: float = 0.0) -> None:
-            nonlocal seq
-            seq += 1
-            for column, value in zip(out, (kind, to, bucket, query, v, float(num), int(aux), int(aux2), float(rest), float(prio), seq), strict=True):
-                column.append(value)
-
-        for query, rows in _by_query(left):
-            state = {((r["v"], r["aux2"]) if keyed_state else r["v"]): (r["num"], r["aux"], r["aux2"], r["rest"]) for r in rows if r["kind"] == "state"}
-            ops = [(r["v"], r["num"], r["aux"], r["aux2"]) for r in sorted((r for r in rows if r["kind"] == "op"), key=lambda r: (r["seq"], r["v"], r["num"]))]
-            visit = Visit(query, graph, state, ops, policy, graph.edges / max(1, n_queries))
-            if ops:
-                kernel.run(visit)
-                queries, took = queries + 1, took + len(ops)
-            edges, done, pruned = edges + visit.edges, done + visit.done, pruned + visit.pruned
-            kept, sent = kept + len(visit.keep), sent + len(visit.send)
-            # All state goes along, changed or not: the newest epoch then has all of a part's.
-            for v, s in visit.state.items():
-                emit("state", part, query, v[0] if isinstance(v, tuple) else v, *s)
-            for op in visit.keep:
-                emit("op", part, query, *op, prio=kernel.priority(op))
-            for (to, v, *_), op in visit.send.items():
-                emit("op", to, query, v, *op, prio=kernel.priority((v, *op)))
-        if not queries:
-            return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(out, _SCHEMA, strict=True)], schema=_SCHEMA)
-        emit("trace", part, queries, took, done, pruned, kept, rest=sent, prio=edges)
-        return pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(out, _SCHEMA, strict=True)], schema=_SCHEMA)
+            return _rows(0)
+        ops, state = _split(left)
+        if least:
+            state = _newest(state, kernel.keyed, True)
+        out, counts = [], None
+        if ops.num_rows:
+            out, counts = (batch if together else one_by_one)(part, bucket, ops, state, right)
+            queries, took, done, pruned, kept, sent, edges = counts
+            out.append(_rows(1, kind="trace", part_id=part, bucket=bucket, query_id=queries, v=took, num=float(done), aux=pruned, aux2=kept, rest=float(sent), prio=float(edges), seq=0))
+        if part in whole:  # older epochs are let go: all that is still true of them is written again, as older than this visit
+            old = _newest(state, kernel.keyed, False)
+            ids, q = np.unique(old.pop("query_id"), return_inverse=True)
+            out.append(_state_rows(part, bucket, wave - 1, ids, old | {"q": q}))
+        return pa.concat_tables(out) if out else _rows(0)
 
     return run
 
 
-_ARROW = {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64()}
-_SCHEMA = pa.schema([pa.field(n, _ARROW[k]) for n, k in (c.split() for c in OUT.split(", "))])
+#: Priorities that are a factor of an operation's value; any other is asked for each operation.
+PLAIN = {Kernel.priority: 1.0, Push.priority: -1.0}
 
 
 def _combined(ops: DataFrame, kernel: Kernel) -> DataFrame:
@@ -133,7 +236,7 @@ def init_ops(kernel: Kernel, sources: DataFrame, vparts: DataFrame, buckets: int
     )
 
 
-def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel: Kernel, policy: Policy, n_queries: int, token: str, vparts: DataFrame | None = None, max_waves: int = 20_000) -> ForkResult:
+def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel: Kernel, policy: Policy, n_queries: int, token: str, vparts: DataFrame | None = None, max_waves: int = 20_000, most_slots: int = 20_000) -> ForkResult:
     """Waves until no operation is left; raises after max_waves, never returns a part of the answer.
 
     ops and state as in OPS and STATE; sides: the rows that the kernel's decoder reads, with part_id.
@@ -141,14 +244,21 @@ def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel:
     spark = sides.sparkSession
     if not policy.consolidate and (kernel.combine != "min" or kernel.append_only):
         raise ValueError("only operations that merge by minimum may be split among tasks")
-    empty = spark.createDataFrame([], OUT)
-    buffer = epoch(ops.select(F.lit("op").alias("kind"), *[F.col(c) if c in ops.columns else F.lit(0.0).alias(c) for c in NAMES[1:]]), "ops")
+    none = lambda frame, names: [F.col(c) if c in frame.columns else F.lit(None).alias(c) for c in names]
+    filled = lambda frame: frame.to(StructType.fromDDL(OUT))
+    first = filled(ops.select(F.lit("op").alias("kind"), *none(ops, NAMES[1:] + LISTS)))
     if state is not None:
-        buffer = epoch(buffer.unionByName(state.select(F.lit("state").alias("kind"), *[F.col(c) if c in state.columns else (F.lit(0).cast("long") if c == "seq" else F.lit(0.0)).alias(c) for c in NAMES[1:]])), "ops")
-    at_part: dict[int, DataFrame] = {}  # the epoch that has a part's state
+        listed = state.groupBy("part_id", "bucket", "query_id").agg(F.collect_list(F.struct(*none(state, ENTRY))).alias("x"))
+        packed = listed.select(F.lit("state").alias("kind"), "part_id", "bucket", "query_id", F.lit(0).cast("long").alias("seq"), *[F.col("x")[c].alias(to) for c, to in zip(ENTRY, LISTS, strict=True)])
+        for c, to in zip(ENTRY, LISTS, strict=True):
+            if c not in state.columns:
+                packed = packed.withColumn(to, F.transform(to, lambda x: F.lit(0)))
+        first = first.unionByName(filled(packed.select(*none(packed, NAMES + LISTS))))
+    buffer, path = written(first, "ops")
+    epochs: dict[int, tuple[DataFrame, str]] = {0: (buffer, path)}
+    held: dict[int, list[int]] = {}  # the epochs that have a part's state
     if state is not None:
-        at_part = dict.fromkeys([r[0] for r in state.select("part_id").distinct().collect()], buffer)  # a row per part
-    results: list[DataFrame] = []
+        held = {r[0]: [0] for r in state.select("part_id").distinct().collect()}  # a row per part
     trace: list[tuple] = []
 
     def survey(df: DataFrame, wave: int) -> list[Pending]:
@@ -157,19 +267,19 @@ def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel:
         for r in groups.collect():  # two rows per part
             if r["kind"] == "op":
                 pending.append(Pending(r["part_id"], r["best"], r["oldest"], r["n"]))
-            elif r["kind"] == "trace":
+            else:
                 trace.append((wave, r["part_id"], r["queries"], r["v"], int(r["num"]), r["aux"], r["aux2"], int(r["rest"]), int(r["prio"])))
         return sorted(pending, key=lambda p: p.part_id)
 
     def states_of(parts: list[int]) -> DataFrame | None:
-        """The newest state of parts: each epoch is read for the parts it is newest for."""
-        newest: dict[int, tuple[DataFrame, list[int]]] = {}
+        """All packed state of parts that is not yet replaced: each epoch is read for the parts that still need it."""
+        needed: dict[int, list[int]] = {}
         for p in parts:
-            if p in at_part:
-                newest.setdefault(id(at_part[p]), (at_part[p], []))[1].append(p)
-        frames = [df.where((F.col("kind") == "state") & F.col("part_id").isin(own)) for df, own in newest.values()]
+            for e in held.get(p, ()):
+                needed.setdefault(e, []).append(p)
         out = None
-        for f in frames:
+        for e, own in sorted(needed.items()):
+            f = epochs[e][0].where((F.col("kind") == "state") & F.col("part_id").isin(own))
             out = f if out is None else out.unionByName(f)
         return out
 
@@ -187,49 +297,62 @@ def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel:
         split = max(1, policy.buckets)
         if not policy.consolidate:
             active = active.withColumn("bucket", F.pmod(F.xxhash64("query_id", "v"), F.lit(split)).cast("int"))
-        # One exchange on the parts serves the combination and the cogroup.
+        # One exchange on the parts serves the combination and the cogroup; the number of slots is given, as a merged one would run parts in turn.
         keys = ["part_id"] if split == 1 else ["part_id", "bucket"]
-        work = _combined(active.repartition(*keys).drop("kind", "rest"), kernel).withColumn("kind", F.lit("op")).withColumn("rest", F.lit(0.0)).select(*NAMES)
+        slots = min(2 * len(chosen) * split, most_slots)
+        # The rows of this wave, operations combined; what old state has goes along.
+        work = _combined(active.drop("kind", "rest", *LISTS).repartition(slots, *keys), kernel).withColumn("kind", F.lit("op"))
+        work = filled(work.select(*none(work, NAMES + LISTS)))
         old = None if kernel.append_only else states_of(chosen)
         if old is not None:
             if not policy.consolidate:
-                old = old.drop("bucket").withColumn("bucket", F.explode(F.sequence(F.lit(0), F.lit(split - 1)))).select(*NAMES)
-            work = work.unionByName(old.select(*NAMES))
-        blocks = sides if everything else sides.where(F.col("part_id").isin(chosen))
+                old = old.withColumn("bucket", F.explode(F.sequence(F.lit(0), F.lit(split - 1))))
+            work = work.unionByName(old.select(*NAMES, *LISTS))
+        blocks = sides.where(F.col("part_id").isin(chosen))
         blocks = blocks.withColumn("bucket", F.lit(0) if split == 1 else F.explode(F.sequence(F.lit(0), F.lit(split - 1))))
-        run = make_kernel(kernel, policy, token, n_queries, wave)
-        out = work.groupBy("part_id", "bucket").cogroup(blocks.groupBy("part_id", "bucket")).applyInArrow(run, OUT)
+        whole = frozenset(p for p in chosen if len(held.get(p, ())) >= COMPACT_AFTER) if policy.consolidate and not kernel.append_only else frozenset()
+        run = make_kernel(kernel, policy, token, n_queries, wave, whole)
+        out = work.repartition(slots, *keys).groupBy("part_id", "bucket").cogroup(blocks.repartition(slots, *keys).groupBy("part_id", "bucket")).applyInArrow(run, OUT)
         if vparts is not None:  # walks that go home do not know where home is
             home = vparts.select(F.col("id").alias("_v"), F.col("part_id").alias("_part"))
-            out = out.join(home, (F.col("part_id") == -1) & (F.col("v") == F.col("_v")), "left").withColumn("part_id", F.coalesce("_part", "part_id")).select(*NAMES)
-        if not policy.consolidate:  # of the tasks' states of one vertex the best is true; all other rows stay as they are
-            is_state = F.col("kind") == "state"
-            apart = [F.when(is_state, 0).otherwise(F.col(c)).alias(f"_{c}") for c in ("bucket", "seq")]
-            least = F.min(F.struct("num", "aux", "bucket", "aux2", "rest", "prio", "seq")).alias("s")
-            out = out.groupBy("kind", "part_id", "query_id", "v", *apart).agg(least).select("kind", "part_id", "s.bucket", "query_id", "v", *[f"s.{c}" for c in NAMES[5:]])
+            out = out.join(home, (F.col("part_id") == -1) & (F.col("v") == F.col("_v")), "left").withColumn("part_id", F.coalesce("_part", "part_id")).select(*NAMES, *LISTS)
         if waiting is not None:
-            out = out.unionByName(waiting.select(*NAMES))
-        buffer = epoch(out, f"wave{wave}")
-        if kernel.append_only:
-            results.append(buffer.where("kind = 'state'"))
-        else:
-            at_part.update(dict.fromkeys(chosen, buffer))
+            out = out.unionByName(waiting.select(*NAMES, *LISTS))
+        buffer, path = written(out, f"wave{wave}")
+        epochs[wave] = (buffer, path)
+        for p in chosen:
+            held[p] = ([] if p in whole else held.get(p, [])) + [wave]
+        used = {e for own in held.values() for e in own} | {wave}
+        for e in [e for e in epochs if e not in used]:
+            forget(spark, epochs.pop(e)[1])
         pending = survey(buffer, wave)
-    if kernel.append_only:
-        final = None
-        for r in results:
-            final = r if final is None else final.unionByName(r)
-    else:
-        final = states_of(sorted(at_part))
-    return ForkResult((final if final is not None else empty).select("part_id", "query_id", "v", "num", "aux", "aux2", "rest"), trace, wave)
+    return ForkResult(_flat(states_of(sorted(held)), kernel, policy, held, spark), trace, wave)
+
+
+def _flat(packed: DataFrame | None, kernel: Kernel, policy: Policy, held: dict[int, list[int]], spark: SparkSession) -> DataFrame:
+    """Packed state as rows (part_id, query_id, v, num, aux, aux2, rest), the newest of each."""
+    kinds = dict(c.split() for c in FLAT.split(", "))
+    columns = ", ".join(f"{c} {kinds[c]}" for c in ("part_id", "query_id", *ENTRY))
+    if packed is None:
+        return spark.createDataFrame([], columns)
+    if kernel.append_only or policy.consolidate and all(len(own) == 1 for own in held.values()):
+        zipped = F.arrays_zip(*[F.col(to).alias(c) for c, to in zip(ENTRY, LISTS, strict=True)])
+        return packed.select("part_id", "query_id", F.inline(zipped)).toDF("part_id", "query_id", *ENTRY)
+    keyed, least = kernel.keyed, not policy.consolidate
+
+    def merge(key: tuple, rows: pa.Table) -> pa.Table:
+        last = _newest(_entries(rows), keyed, least)
+        return pa.table({"part_id": pa.repeat(pa.scalar(key[0].as_py(), pa.int32()), len(last["v"])), "query_id": last["query_id"].astype(np.int32), **{c: last[c] for c in ENTRY}})
+
+    return packed.select("part_id", "query_id", "seq", *LISTS).groupBy("part_id", "query_id").applyInArrow(merge, columns)
 
 
 def fork(bg: BlockedGraph, sources: DataFrame, kernel: Kernel, policy: Policy | None = None, max_waves: int = 20_000) -> ForkResult:
     """One query of the kernel's kind from each source (query_id, src)."""
     policy = policy or Policy()
-    n = sources.count()
-    known = bg.vparts.join(F.broadcast(sources), F.col("id") == F.col("src"), "left_semi")
-    if known.count() < sources.select("src").distinct().count():
+    at = bg.vparts.join(F.broadcast(sources), F.col("id") == F.col("src"), "right")
+    n, known = at.agg(F.count("*"), F.count("id")).first()
+    if known < n:
         raise ValueError("a source is no vertex of the graph")
     ops = init_ops(kernel, sources, bg.vparts, policy.buckets if policy.consolidate else 1)
     if isinstance(kernel, Walk):

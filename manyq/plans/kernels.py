@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import heapq
 from collections import deque
+from collections.abc import Callable
 from dataclasses import dataclass, field
 from typing import Any
 
@@ -15,7 +16,9 @@ import numpy as np
 import pyarrow as pa
 
 from manyq.functions.ids import step_choice
+from manyq.plans import vector
 from manyq.plans.policy import Policy
+from manyq.plans.vector import Batch
 
 Op = tuple[int, float, int, int]
 
@@ -73,7 +76,11 @@ class Kernel:
     larger_first = False
     #: State rows are results only and need not come back.
     append_only = False
+    #: A vertex has several state rows, told apart by aux2.
+    keyed = False
     sides = LocalGraph
+    #: Runs all queries of a part together on arrays, where the policy has one task per query and part.
+    batch: Callable[[Any, Batch], None] | None = None
 
     def priority(self, op: Op) -> float:
         """Smaller is better; of operations in a buffer, for the order of parts."""
@@ -89,6 +96,8 @@ class Kernel:
 class Relax(Kernel):
     """Shortest lengths: levels where edges count one, else sums of weights. aux: the least predecessor of a shortest way."""
 
+    batch = staticmethod(vector.relax)
+
     def __init__(self, weighted: bool, cutoff: float | None = None):
         self.weighted, self.cutoff = weighted, cutoff
 
@@ -149,6 +158,7 @@ class Push(Kernel):
 
     combine = "sum"
     larger_first = True
+    batch = staticmethod(vector.push)
 
     def __init__(self, alpha: float = 0.15, eps: float = 1e-5, lazy: bool = False):
         self.alpha, self.eps, self.lazy = alpha, eps, lazy
@@ -292,7 +302,7 @@ class Walk(Kernel):
     """
 
     combine = "none"
-    append_only = True
+    append_only = keyed = True
 
     def __init__(self, length: int, walks: int, restart: float = 0.0, bias: str = "uniform", seed: int = 0):
         self.length, self.walks, self.restart, self.bias, self.seed = length, walks, int(round(1000 * restart)), bias, seed
@@ -333,6 +343,7 @@ class KShortest(Kernel):
     """The k shortest lengths of walks from the source, as multisets. State keys are (v, rank); aux2 is the rank."""
 
     combine = "none"
+    keyed = True
 
     def __init__(self, k: int, weighted: bool = True):
         self.k, self.weighted = k, weighted

@@ -31,13 +31,18 @@ def shared_folder(spark: SparkSession) -> str:
     return root
 
 
-def epoch(df: DataFrame, label: str) -> DataFrame:
-    """Write df to the shared folder and read it again: a wave's single committed output, and the end of its lineage."""
+def written(df: DataFrame, label: str) -> tuple[DataFrame, str]:
+    """df written to the shared folder and read again, and the folder: for those who drop it when it is not needed any more."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/manyq/{label}-{uuid.uuid4().hex}"
     _written.append((spark, path))
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return spark.read.schema(df.schema).parquet(path), path
+
+
+def epoch(df: DataFrame, label: str) -> DataFrame:
+    """Write df to the shared folder and read it again: a wave's single committed output, and the end of its lineage."""
+    return written(df, label)[0]
 
 
 def forget(spark: SparkSession, path: str) -> None:
