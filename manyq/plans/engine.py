@@ -14,7 +14,8 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession
+from pyspark import StorageLevel
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
@@ -22,11 +23,12 @@ from manyq.operators.blocks import BlockedGraph
 from manyq.plans import vector
 from manyq.plans.kernels import Kernel, Push, Visit, Walk
 from manyq.plans.policy import Pending, Policy
-from manyq.sources.tables import forget, written
+from manyq.sources.tables import epoch, forget, written
 
 OPS = "part_id int, bucket int, query_id int, v long, num double, aux long, aux2 long, prio double, seq long"
 STATE = "part_id int, bucket int, query_id int, v long, num double, aux long, aux2 long, rest double"
-#: An epoch: operations and traces are flat rows; state is packed, a row per query, part and visit with what the visit changed.
+#: An epoch. Operations and state are packed: a row per part, query and visit, with its entries in lists; v counts an operations row's entries.
+#: 'pend' and 'trace' rows tell the driver what a visit sent and did.
 FLAT = "kind string, part_id int, bucket int, query_id int, v long, num double, aux long, aux2 long, rest double, prio double, seq long"
 PACKED = "vs array<long>, nums array<double>, auxs array<long>, aux2s array<long>, rests array<double>"
 OUT = f"{FLAT}, {PACKED}"
@@ -89,25 +91,39 @@ def _rows(n: int, **columns) -> pa.Table:
     return pa.Table.from_arrays(made, schema=_SCHEMA)
 
 
+def _packed(kind: str, ends: np.ndarray, entries: dict[str, np.ndarray], **columns) -> pa.Table:
+    """One row for each range of entries; ends: where ranges end, after a leading zero."""
+    ends = pa.array(ends, pa.int32())
+    lists = {f"{c}s": pa.ListArray.from_arrays(ends, pa.array(entries[c], _ARROW[k])) for c, k in zip(ENTRY, ("long", "double", "long", "long", "double"), strict=True)}
+    return _rows(len(ends) - 1, kind=kind, **columns, **lists)
+
+
 def _state_rows(part: int, bucket: int, wave: int, queries: np.ndarray, entries: dict[str, np.ndarray]) -> pa.Table:
-    """Entries by query, packed: q counts into queries and ascends."""
+    """Entries by query: q counts into queries and ascends."""
     own, first = np.unique(entries["q"], return_index=True)
-    ends = pa.array(np.append(first, len(entries["q"])), pa.int32())
-    lists = {f"{c}s": pa.ListArray.from_arrays(ends, pa.array(entries[c], _ARROW[k])) for c, k in zip(ENTRY, ("long", "double", "long", "long", "double"), strict=True)}
-    return _rows(len(own), kind="state", part_id=part, bucket=bucket, query_id=queries[own].astype(np.int32), seq=wave, **lists)
+    return _packed("state", np.append(first, len(entries["q"])), entries, part_id=part, bucket=bucket, query_id=queries[own].astype(np.int32), seq=wave)
+
+
+def _op_rows(bucket: int, to: np.ndarray, query: np.ndarray, entries: dict[str, np.ndarray], prio: np.ndarray, seq: int) -> pa.Table:
+    """Operations by part and query."""
+    order = np.lexsort((query, to))
+    to, query = to[order], query[order]
+    first = np.flatnonzero(np.append(True, (to[1:] != to[:-1]) | (query[1:] != query[:-1])))
+    ends = np.append(first, len(to))
+    sorted_ = {c: entries[c][order] for c in ENTRY[:-1]} | {"rest": np.zeros(len(to))}
+    return _packed("op", ends, sorted_, part_id=to[first].astype(np.int32), bucket=bucket, query_id=query[first].astype(np.int32), v=np.diff(ends), prio=np.minimum.reduceat(prio[order], first), seq=seq)
 
 
 def _entries(rows: pa.Table) -> dict[str, np.ndarray]:
-    """Packed state as arrays, the oldest first: query_id and ENTRY."""
+    """Packed rows as arrays, the oldest first: query_id, seq and ENTRY."""
     if not rows.num_rows:
-        return {"query_id": np.empty(0, np.int64), "v": np.empty(0, np.int64), "num": np.empty(0), "aux": np.empty(0, np.int64), "aux2": np.empty(0, np.int64), "rest": np.empty(0)}
+        none = np.empty(0, np.int64)
+        return {"query_id": none, "seq": none, "v": none, "num": np.empty(0), "aux": none, "aux2": none, "rest": np.empty(0)}
     rows = rows.sort_by("seq").combine_chunks()
-    out = {}
-    for name, column in zip(ENTRY, LISTS, strict=True):
-        lists = rows[column].chunk(0)
-        out[name] = lists.flatten().to_numpy(zero_copy_only=False)
-        out["query_id"] = np.repeat(rows["query_id"].to_numpy(), pc.list_value_length(lists).to_numpy()).astype(np.int64)
-    return out
+    lists = {c: rows[to].chunk(0) for c, to in zip(ENTRY, LISTS, strict=True)}
+    sizes = pc.list_value_length(lists["v"]).to_numpy()
+    keys = {c: np.repeat(rows[c].to_numpy(), sizes).astype(np.int64) for c in ("query_id", "seq")}
+    return keys | {c: x.flatten().to_numpy(zero_copy_only=False) for c, x in lists.items()}
 
 
 def _newest(entries: dict[str, np.ndarray], keyed: bool, least: bool) -> dict[str, np.ndarray]:
@@ -124,10 +140,10 @@ def _newest(entries: dict[str, np.ndarray], keyed: bool, least: bool) -> dict[st
     return {c: x[head] for c, x in ordered.items()}
 
 
-def _split(table: pa.Table) -> tuple[pa.Table, dict[str, np.ndarray]]:
-    """(operations, state entries) of a task's rows."""
+def _split(table: pa.Table) -> tuple[dict[str, np.ndarray], dict[str, np.ndarray]]:
+    """(operations, state) of a task's rows."""
     is_state = pc.equal(table["kind"], "state")
-    return table.filter(pc.invert(is_state)), _entries(table.filter(is_state))
+    return _entries(table.filter(pc.invert(is_state))), _entries(table.filter(is_state))
 
 
 def make_kernel(kernel: Kernel, policy: Policy, token: str, n_queries: int, wave: int, whole: frozenset[int] = frozenset()) -> Callable[[tuple, pa.Table, pa.Table], pa.Table]:
@@ -135,42 +151,47 @@ def make_kernel(kernel: Kernel, policy: Policy, token: str, n_queries: int, wave
     least = not policy.consolidate
     together = kernel.batch is not None and policy.consolidate and policy.order != "lifo"
 
-    def ops_rows(part: int, bucket: int, to, query: np.ndarray, v, num, aux, aux2) -> pa.Table:
-        prio = np.array([kernel.priority(op) for op in zip(v, num, aux, aux2, strict=True)]) if kernel.__class__.priority not in PLAIN else PLAIN[kernel.__class__.priority] * num
-        return _rows(len(v), kind="op", part_id=to, bucket=bucket, query_id=query.astype(np.int32), v=v, num=num, aux=aux, aux2=aux2, rest=0.0, prio=prio, seq=(wave << 20) + part)
+    def op_rows(part: int, bucket: int, to: np.ndarray, query: np.ndarray, entries: dict[str, np.ndarray]) -> list[pa.Table]:
+        if not len(to):
+            return []
+        factor = PLAIN.get(kernel.__class__.priority)
+        prio = factor * entries["num"] if factor else np.array([kernel.priority(op) for op in zip(*(entries[c].tolist() for c in ENTRY[:-1]), strict=True)], float)
+        return [_op_rows(bucket, to, query, entries, prio, (wave << 20) + part)]
 
-    def batch(part: int, bucket: int, ops: pa.Table, state: dict[str, np.ndarray], right: pa.Table) -> tuple[list[pa.Table], list[int]]:
+    def batch(part: int, bucket: int, ops: dict[str, np.ndarray], state: dict[str, np.ndarray], right: pa.Table) -> tuple[list[pa.Table], list[int]]:
         graph = _side(token, part, vector.ArrayGraph, right)
-        ids = ops["query_id"].to_numpy().astype(np.int64)
-        asked = np.unique(ids)
-        counts, out = [len(asked), len(ids), 0, 0, 0, 0, 0], []
+        asked = np.unique(ops["query_id"])
+        counts, out = [len(asked), len(ops["v"]), 0, 0, 0, 0, 0], []
         slab = max(1, vector.SLAB // max(1, graph.size))
-        own = {c: ops[c].to_numpy() for c in ("v", "num", "aux")}
+
+        def of(entries: dict[str, np.ndarray], queries: np.ndarray) -> dict[str, np.ndarray]:
+            own = np.isin(entries["query_id"], queries)
+            return {"q": np.searchsorted(queries, entries["query_id"][own])} | {c: entries[c][own] for c in ENTRY}
+
         for lo in range(0, len(asked), slab):
             queries = asked[lo : lo + slab]
-            part_of = lambda q, x, queries=queries: {"q": np.searchsorted(queries, q[m]), **{c: y[m] for c, y in x.items()}} if (m := np.isin(q, queries)) is not None else {}
-            b = vector.Batch(graph, queries, part_of(ids, own), part_of(state["query_id"], {c: state[c] for c in ("v", "num", "aux", "rest")}), policy, graph.edges / max(1, n_queries))
+            b = vector.Batch(graph, queries, of(ops, queries), of(state, queries), policy, graph.edges / max(1, n_queries))
             kernel.batch(kernel, b)
-            zeros = lambda x: np.zeros(len(x["v"]), np.int64)
-            out.append(_state_rows(part, bucket, wave, queries, b.changed | {"aux2": zeros(b.changed)}))
-            out.append(ops_rows(part, bucket, part, queries[b.keep["q"]], b.keep["v"], b.keep["num"], b.keep["aux"], zeros(b.keep)))
-            out.append(ops_rows(part, bucket, b.send["to"].astype(np.int32), queries[b.send["q"]], b.send["v"], b.send["num"], b.send["aux"], zeros(b.send)))
+            for x in (b.changed, b.keep, b.send):
+                x["aux2"] = np.zeros(len(x["v"]), np.int64)
+            out.append(_state_rows(part, bucket, wave, queries, b.changed))
+            out += op_rows(part, bucket, np.full(len(b.keep["v"]), part), queries[b.keep["q"]], b.keep)
+            out += op_rows(part, bucket, b.send["to"], queries[b.send["q"]], b.send)
             for i, x in enumerate((b.done, b.pruned, len(b.keep["v"]), len(b.send["v"]), b.edges)):
                 counts[i + 2] += x
         return out, counts
 
-    def one_by_one(part: int, bucket: int, ops: pa.Table, state: dict[str, np.ndarray], right: pa.Table) -> tuple[list[pa.Table], list[int]]:
+    def one_by_one(part: int, bucket: int, ops: dict[str, np.ndarray], state: dict[str, np.ndarray], right: pa.Table) -> tuple[list[pa.Table], list[int]]:
         graph = _side(token, part, kernel.sides, right)
         own: dict[int, list] = {}
-        for q, *op in sorted(zip(*(ops[c].to_pylist() for c in ("query_id", "seq", "v", "num", "aux", "aux2")), strict=True)):
+        for q, *op in sorted(zip(*(ops[c].tolist() for c in ("query_id", "seq", "v", "num", "aux", "aux2")), strict=True)):
             own.setdefault(q, []).append(tuple(op[1:]))
         held: dict[int, dict] = {q: {} for q in own}
-        for q, v, *s in zip(*(state[c].tolist() for c in ("query_id", "v", "num", "aux", "aux2", "rest")), strict=True):
+        for q, v, *s in zip(*(state[c].tolist() for c in ("query_id", *ENTRY)), strict=True):
             if q in held:
                 held[q][(v, s[2]) if kernel.keyed else v] = tuple(s)
-        counts = [len(own), ops.num_rows, 0, 0, 0, 0, 0]
+        counts = [len(own), len(ops["v"]), 0, 0, 0, 0, 0]
         changed: list[tuple] = []
-        kept: list[tuple] = []
         sent: list[tuple] = []
         queries = np.array(sorted(own), np.int64)
         for i, query in enumerate(queries.tolist()):
@@ -179,17 +200,21 @@ def make_kernel(kernel: Kernel, policy: Policy, token: str, n_queries: int, wave
             for j, x in enumerate((visit.done, visit.pruned, len(visit.keep), len(visit.send), visit.edges)):
                 counts[j + 2] += x
             changed += [(i, k[0] if isinstance(k, tuple) else k, *visit.state[k]) for k in visit.changed]
-            kept += [(part, i, *op) for op in visit.keep]
-            sent += [(to, i, v, *op) for (to, v, *_), op in visit.send.items()]
+            sent += [(part, query, *op) for op in visit.keep] + [(to, query, v, *op) for (to, v, *_), op in visit.send.items()]
         kinds = (np.int64, np.int64, np.float64, np.int64, np.int64, np.float64)
-        entries = {c: np.array(x, k) for c, x, k in zip(("q", *ENTRY), zip(*changed, strict=True) if changed else [[]] * 6, kinds, strict=True)}
-        out = [_state_rows(part, bucket, wave, queries, entries)]
-        rows = kept + sent
-        if rows:
-            to, q, v, num, aux, aux2 = (np.array(x, k) for x, k in zip(zip(*rows, strict=True), (np.int32, np.int64, np.int64, np.float64, np.int64, np.int64), strict=True))
-            out.append(ops_rows(part, bucket, to, queries[q], v, num, aux, aux2))
+        columns = lambda rows, names: {c: np.array(x, k) for c, x, k in zip(names, zip(*rows, strict=True) if rows else [[]] * len(names), kinds, strict=False)}
+        out = [_state_rows(part, bucket, wave, queries, columns(changed, ("q", *ENTRY)))]
+        if sent:
+            to, query, *values = zip(*sent, strict=True)
+            entries = {c: np.array(x, k) for c, x, k in zip(ENTRY[:-1], values, kinds[1:], strict=False)}
+            out += op_rows(part, bucket, np.array(to, np.int64), np.array(query, np.int64), entries)
         return out, counts
 
+    def pending_rows(out: list[pa.Table]) -> pa.Table:
+        """What is sent or kept, a row per part: best priority, age, number."""
+        ops = pa.concat_tables(out).filter(pc.field("kind") == "op").group_by("part_id").aggregate([("prio", "min"), ("seq", "min"), ("v", "sum")])
+        return _rows(ops.num_rows, kind="pend", part_id=ops["part_id"].combine_chunks(), prio=ops["prio_min"].combine_chunks(), seq=ops["seq_min"].combine_chunks(), v=ops["v_sum"].combine_chunks())
+
     def run(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
         part, bucket = (int(k.as_py()) for k in key)
         if not left.num_rows:
@@ -198,12 +223,14 @@ def make_kernel(kernel: Kernel, policy: Policy, token: str, n_queries: int, wave
         if least:
             state = _newest(state, kernel.keyed, True)
         out, counts = [], None
-        if ops.num_rows:
+        if len(ops["v"]):
             out, counts = (batch if together else one_by_one)(part, bucket, ops, state, right)
             queries, took, done, pruned, kept, sent, edges = counts
+            out.append(pending_rows(out))
             out.append(_rows(1, kind="trace", part_id=part, bucket=bucket, query_id=queries, v=took, num=float(done), aux=pruned, aux2=kept, rest=float(sent), prio=float(edges), seq=0))
         if part in whole:  # older epochs are let go: all that is still true of them is written again, as older than this visit
             old = _newest(state, kernel.keyed, False)
+            del old["seq"]
             ids, q = np.unique(old.pop("query_id"), return_inverse=True)
             out.append(_state_rows(part, bucket, wave - 1, ids, old | {"q": q}))
         return pa.concat_tables(out) if out else _rows(0)
@@ -215,7 +242,7 @@ def make_kernel(kernel: Kernel, policy: Policy, token: str, n_queries: int, wave
 PLAIN = {Kernel.priority: 1.0, Push.priority: -1.0}
 
 
-def _combined(ops: DataFrame, kernel: Kernel) -> DataFrame:
+def combined(ops: DataFrame, kernel: Kernel) -> DataFrame:
     """Operations of one query on one vertex as one, the first of equals; the earliest creation counts for its age."""
     keys = ["part_id", "bucket", "query_id", "v"]
     if kernel.combine == "none":
@@ -228,7 +255,10 @@ def _combined(ops: DataFrame, kernel: Kernel) -> DataFrame:
 
 def init_ops(kernel: Kernel, sources: DataFrame, vparts: DataFrame, buckets: int = 1) -> DataFrame:
     """Every query as an operation at its source's part."""
-    at = vparts.join(F.broadcast(sources), vparts["id"] == sources["src"])  # sources are a batch of queries
+    return _init(kernel, vparts.join(F.broadcast(sources), vparts["id"] == sources["src"]), buckets)  # sources are a batch of queries
+
+
+def _init(kernel: Kernel, at: DataFrame, buckets: int) -> DataFrame:
     v, num, aux, aux2 = kernel.start(0, 0)
     return at.select(
         "part_id", F.pmod("query_id", F.lit(buckets)).cast("int").alias("bucket"), "query_id", F.col("src").alias("v"), F.lit(float(num)).alias("num"),
@@ -236,7 +266,7 @@ def init_ops(kernel: Kernel, sources: DataFrame, vparts: DataFrame, buckets: int
     )
 
 
-def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel: Kernel, policy: Policy, n_queries: int, token: str, vparts: DataFrame | None = None, max_waves: int = 20_000, most_slots: int = 20_000) -> ForkResult:
+def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel: Kernel, policy: Policy, n_queries: int, token: str, max_waves: int = 20_000, most_slots: int = 20_000) -> ForkResult:
     """Waves until no operation is left; raises after max_waves, never returns a part of the answer.
 
     ops and state as in OPS and STATE; sides: the rows that the kernel's decoder reads, with part_id.
@@ -244,32 +274,41 @@ def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel:
     spark = sides.sparkSession
     if not policy.consolidate and (kernel.combine != "min" or kernel.append_only):
         raise ValueError("only operations that merge by minimum may be split among tasks")
-    none = lambda frame, names: [F.col(c) if c in frame.columns else F.lit(None).alias(c) for c in names]
-    filled = lambda frame: frame.to(StructType.fromDDL(OUT))
-    first = filled(ops.select(F.lit("op").alias("kind"), *none(ops, NAMES[1:] + LISTS)))
+    def packed(frame: DataFrame, kind: str) -> DataFrame:
+        """Flat rows in the form of an epoch."""
+        value = [(F.col(c) if c in frame.columns else F.lit(0).cast(k)).alias(c) for c, k in zip(ENTRY, ("long", "double", "long", "long", "double"), strict=True)]
+        age = [F.min(c).alias(c) if c in frame.columns else F.lit(0).alias(c) for c in ("prio", "seq")]
+        rows = frame.groupBy("part_id", "bucket", "query_id").agg(F.collect_list(F.struct(*value)).alias("x"), *age)
+        return rows.select(F.lit(kind).alias("kind"), "*", F.size("x").cast("long").alias("v"), *[F.lit(0).alias(c) for c in ("num", "aux", "aux2", "rest")], *[F.col("x")[c].alias(to) for c, to in zip(ENTRY, LISTS, strict=True)]).to(StructType.fromDDL(OUT))
+
+    first = packed(ops, "op")
     if state is not None:
-        listed = state.groupBy("part_id", "bucket", "query_id").agg(F.collect_list(F.struct(*none(state, ENTRY))).alias("x"))
-        packed = listed.select(F.lit("state").alias("kind"), "part_id", "bucket", "query_id", F.lit(0).cast("long").alias("seq"), *[F.col("x")[c].alias(to) for c, to in zip(ENTRY, LISTS, strict=True)])
-        for c, to in zip(ENTRY, LISTS, strict=True):
-            if c not in state.columns:
-                packed = packed.withColumn(to, F.transform(to, lambda x: F.lit(0)))
-        first = first.unionByName(filled(packed.select(*none(packed, NAMES + LISTS))))
+        first = first.unionByName(packed(state, "state"))
     buffer, path = written(first, "ops")
     epochs: dict[int, tuple[DataFrame, str]] = {0: (buffer, path)}
     held: dict[int, list[int]] = {}  # the epochs that have a part's state
     if state is not None:
         held = {r[0]: [0] for r in state.select("part_id").distinct().collect()}  # a row per part
     trace: list[tuple] = []
-
-    def survey(df: DataFrame, wave: int) -> list[Pending]:
-        groups = df.where("kind <> 'state'").groupBy("kind", "part_id").agg(F.min("prio").alias("best"), F.min("seq").alias("oldest"), F.count("*").alias("n"), F.sum("query_id").alias("queries"), *[F.sum(c).alias(c) for c in ("v", "num", "aux", "aux2", "rest", "prio")])
-        pending = []
-        for r in groups.collect():  # two rows per part
-            if r["kind"] == "op":
-                pending.append(Pending(r["part_id"], r["best"], r["oldest"], r["n"]))
+    pending: dict[int, Pending] = {}
+    split = max(1, policy.buckets)
+    keys = ["part_id", "bucket"]  # both: Spark takes two sides as dealt alike only by all keys of the grouping
+    # Blocks are dealt to the executors once; every wave sends them its operations. A lost one is read again from storage.
+    slots = min(2 * sides.select("part_id").distinct().count() * split, most_slots)
+    dealt = sides.withColumn("bucket", F.lit(0) if split == 1 else F.explode(F.sequence(F.lit(0), F.lit(split - 1)))).repartition(slots, *keys).persist(StorageLevel.MEMORY_AND_DISK)
+
+    def survey(df: DataFrame, wave: int) -> None:
+        """The buffers as they are after a wave: what tasks report of their sendings, a row per pair of adjacent parts."""
+        if wave:
+            rows = df.where("kind IN ('pend', 'trace')").select(*NAMES).collect()
+        else:
+            rows = df.where("kind = 'op'").groupBy(F.lit("pend").alias("kind"), "part_id").agg(F.min("prio").alias("prio"), F.min("seq").alias("seq"), F.sum("v").alias("v")).collect()
+        for r in rows:
+            if r["kind"] == "trace":
+                trace.append((wave, r["part_id"], r["query_id"], r["v"], int(r["num"]), r["aux"], r["aux2"], int(r["rest"]), int(r["prio"])))
             else:
-                trace.append((wave, r["part_id"], r["queries"], r["v"], int(r["num"]), r["aux"], r["aux2"], int(r["rest"]), int(r["prio"])))
-        return sorted(pending, key=lambda p: p.part_id)
+                p = pending.get(r["part_id"])
+                pending[r["part_id"]] = Pending(r["part_id"], r["prio"], r["seq"], r["v"]) if p is None else Pending(p.part_id, min(p.best, r["prio"]), min(p.oldest, r["seq"]), p.ops + r["v"])
 
     def states_of(parts: list[int]) -> DataFrame | None:
         """All packed state of parts that is not yet replaced: each epoch is read for the parts that still need it."""
@@ -284,38 +323,28 @@ def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel:
         return out
 
     wave = 0
-    pending = survey(buffer, 0)
+    survey(buffer, 0)
     while pending:
         wave += 1
         if wave > max_waves:
             raise RuntimeError(f"operations left after {max_waves} waves")
-        chosen = policy.choose(pending, wave)
+        chosen = policy.choose(sorted(pending.values(), key=lambda p: p.part_id), wave)
         everything = len(chosen) == len(pending)
         active = buffer.where(F.col("kind") == "op")
         waiting = None if everything else active.where(~F.col("part_id").isin(chosen))
         active = active if everything else active.where(F.col("part_id").isin(chosen))
-        split = max(1, policy.buckets)
         if not policy.consolidate:
-            active = active.withColumn("bucket", F.pmod(F.xxhash64("query_id", "v"), F.lit(split)).cast("int"))
-        # One exchange on the parts serves the combination and the cogroup; the number of slots is given, as a merged one would run parts in turn.
-        keys = ["part_id"] if split == 1 else ["part_id", "bucket"]
-        slots = min(2 * len(chosen) * split, most_slots)
-        # The rows of this wave, operations combined; what old state has goes along.
-        work = _combined(active.drop("kind", "rest", *LISTS).repartition(slots, *keys), kernel).withColumn("kind", F.lit("op"))
-        work = filled(work.select(*none(work, NAMES + LISTS)))
+            flat = active.select("part_id", "query_id", "prio", "seq", F.inline(_zipped())).withColumn("bucket", F.pmod(F.xxhash64("query_id", "v"), F.lit(split)).cast("int"))
+            active = packed(flat, "op")
+        work = active.select(*NAMES, *LISTS)
         old = None if kernel.append_only else states_of(chosen)
         if old is not None:
             if not policy.consolidate:
                 old = old.withColumn("bucket", F.explode(F.sequence(F.lit(0), F.lit(split - 1))))
             work = work.unionByName(old.select(*NAMES, *LISTS))
-        blocks = sides.where(F.col("part_id").isin(chosen))
-        blocks = blocks.withColumn("bucket", F.lit(0) if split == 1 else F.explode(F.sequence(F.lit(0), F.lit(split - 1))))
         whole = frozenset(p for p in chosen if len(held.get(p, ())) >= COMPACT_AFTER) if policy.consolidate and not kernel.append_only else frozenset()
         run = make_kernel(kernel, policy, token, n_queries, wave, whole)
-        out = work.repartition(slots, *keys).groupBy("part_id", "bucket").cogroup(blocks.repartition(slots, *keys).groupBy("part_id", "bucket")).applyInArrow(run, OUT)
-        if vparts is not None:  # walks that go home do not know where home is
-            home = vparts.select(F.col("id").alias("_v"), F.col("part_id").alias("_part"))
-            out = out.join(home, (F.col("part_id") == -1) & (F.col("v") == F.col("_v")), "left").withColumn("part_id", F.coalesce("_part", "part_id")).select(*NAMES, *LISTS)
+        out = work.repartition(slots, *keys).groupBy("part_id", "bucket").cogroup(dealt.groupBy("part_id", "bucket")).applyInArrow(run, OUT)
         if waiting is not None:
             out = out.unionByName(waiting.select(*NAMES, *LISTS))
         buffer, path = written(out, f"wave{wave}")
@@ -325,10 +354,17 @@ def run_waves(ops: DataFrame, state: DataFrame | None, sides: DataFrame, kernel:
         used = {e for own in held.values() for e in own} | {wave}
         for e in [e for e in epochs if e not in used]:
             forget(spark, epochs.pop(e)[1])
-        pending = survey(buffer, wave)
+        for p in chosen:
+            del pending[p]
+        survey(buffer, wave)
+    dealt.unpersist()
     return ForkResult(_flat(states_of(sorted(held)), kernel, policy, held, spark), trace, wave)
 
 
+def _zipped() -> Column:
+    return F.arrays_zip(*[F.col(to).alias(c) for c, to in zip(ENTRY, LISTS, strict=True)])
+
+
 def _flat(packed: DataFrame | None, kernel: Kernel, policy: Policy, held: dict[int, list[int]], spark: SparkSession) -> DataFrame:
     """Packed state as rows (part_id, query_id, v, num, aux, aux2, rest), the newest of each."""
     kinds = dict(c.split() for c in FLAT.split(", "))
@@ -336,8 +372,7 @@ def _flat(packed: DataFrame | None, kernel: Kernel, policy: Policy, held: dict[i
     if packed is None:
         return spark.createDataFrame([], columns)
     if kernel.append_only or policy.consolidate and all(len(own) == 1 for own in held.values()):
-        zipped = F.arrays_zip(*[F.col(to).alias(c) for c, to in zip(ENTRY, LISTS, strict=True)])
-        return packed.select("part_id", "query_id", F.inline(zipped)).toDF("part_id", "query_id", *ENTRY)
+        return packed.select("part_id", "query_id", F.inline(_zipped())).toDF("part_id", "query_id", *ENTRY)
     keyed, least = kernel.keyed, not policy.consolidate
 
     def merge(key: tuple, rows: pa.Table) -> pa.Table:
@@ -350,12 +385,12 @@ def _flat(packed: DataFrame | None, kernel: Kernel, policy: Policy, held: dict[i
 def fork(bg: BlockedGraph, sources: DataFrame, kernel: Kernel, policy: Policy | None = None, max_waves: int = 20_000) -> ForkResult:
     """One query of the kernel's kind from each source (query_id, src)."""
     policy = policy or Policy()
-    at = bg.vparts.join(F.broadcast(sources), F.col("id") == F.col("src"), "right")
+    at = epoch(bg.vparts.join(F.broadcast(sources), F.col("id") == F.col("src"), "right").select("part_id", "query_id", "src", "id"), "sources")  # a batch of queries
     n, known = at.agg(F.count("*"), F.count("id")).first()
     if known < n:
         raise ValueError("a source is no vertex of the graph")
-    ops = init_ops(kernel, sources, bg.vparts, policy.buckets if policy.consolidate else 1)
-    if isinstance(kernel, Walk):
-        ops = ops.withColumn("aux", F.explode(F.sequence(F.lit(0), F.lit(kernel.walks - 1)).cast("array<long>"))).withColumn("num", F.col("v").cast("double")).withColumn("aux2", F.lit(0).cast("long"))
-    restarts = bg.vparts if isinstance(kernel, Walk) and kernel.restart else None
-    return run_waves(ops, None, bg.blocks, kernel, policy, n, bg.token, restarts, max_waves)
+    ops = _init(kernel, at, policy.buckets if policy.consolidate else 1)
+    if isinstance(kernel, Walk):  # a walk knows the part that it started in
+        walk = F.explode(F.sequence(F.lit(0), F.lit(kernel.walks - 1)).cast("array<long>"))
+        ops = ops.withColumn("aux", walk).withColumn("aux", F.col("aux") + F.shiftleft(F.col("part_id").cast("long"), 32)).withColumn("num", F.col("v").cast("double")).withColumn("aux2", F.lit(0).cast("long"))
+    return run_waves(ops, None, bg.blocks, kernel, policy, n, bg.token, max_waves)

@@ -298,7 +298,8 @@ class Token(Kernel):
 class Walk(Kernel):
     """Random walks. An operation: walk aux stands at v after aux2 steps. State rows are the visits, (walk, step) in aux and aux2.
 
-    bias: 'uniform', or 'weight' for steps in proportion to weights. restart: the chance, in parts of 1000, to go home; num holds the source.
+    bias: 'uniform', or 'weight' for steps in proportion to weights. restart: the chance, in parts of 1000, to go home; num holds
+    the source, and the bits of aux above the 32nd the source's part.
     """
 
     combine = "none"
@@ -312,7 +313,8 @@ class Walk(Kernel):
 
     def run(self, visit: Visit) -> None:
         graph = visit.graph
-        for v, home, walk, step in visit.ops:
+        for v, home, token, step in visit.ops:
+            walk = token & 0xFFFFFFFF
             while True:
                 visit.done += 1
                 visit.state[v, walk, step] = (home, walk, step, 0.0)
@@ -321,7 +323,10 @@ class Walk(Kernel):
                     break
                 step += 1
                 if self.restart and step_choice(visit.query, walk, step, 1000, self.seed + 1) < self.restart and v != int(home):
-                    visit.send[(-1, int(home), walk)] = (home, walk, step)
+                    if token >> 32 == graph.part:
+                        v = int(home)
+                        continue
+                    visit.send[(token >> 32, int(home), walk)] = (home, token, step)
                     break
                 a, b = graph.range[v]
                 if a == b:
@@ -334,7 +339,7 @@ class Walk(Kernel):
                     i = a + int(np.searchsorted(sums, step_choice(visit.query, walk, step, int(sums[-1]), self.seed), "right"))
                 u, place = graph.dst[i], graph.dst_part[i]
                 if place != graph.part:
-                    visit.send[(place, u, walk)] = (home, walk, step)
+                    visit.send[(place, u, walk)] = (home, token, step)
                     break
                 v = u
 

@@ -49,7 +49,7 @@ class ArrayGraph:
         self.to[~away] = np.searchsorted(self.ids[: self.own], dst[~away])
         self.to[away] = self.own + np.searchsorted(ghosts, dst[away])
         self.size = len(self.ids)
-        self.least = float(self.w.min()) if len(self.w) else 1.0
+        self.step = float(self.w.mean()) if len(self.w) else 1.0
 
     def local(self, v: np.ndarray) -> np.ndarray:
         return np.searchsorted(self.ids[: self.own], v)
@@ -110,7 +110,7 @@ class _Pauses:
 
 
 def relax(kernel: Relax, b: Batch) -> None:
-    """Shortest lengths: the open entries within the least weight of their query's best one are final, and are followed together."""
+    """Shortest lengths: the open entries within a mean weight of their query's best one are followed together, as in a queue of buckets."""
     g, n = b.graph, len(b.queries)
     dist = np.full(n * g.size, np.inf)
     pred = np.full(n * g.size, NONE)
@@ -118,7 +118,7 @@ def relax(kernel: Relax, b: Batch) -> None:
     dist[at], pred[at] = b.state["num"], b.state["aux"]
     open_ = np.zeros(n * g.size, bool)
     open_[at] = b.state["rest"] > 0  # left open by an earlier visit
-    touched = [at[b.state["rest"] > 0]]
+    touched = open_.copy()
     limit = np.inf if kernel.cutoff is None else kernel.cutoff
 
     def improve(f: np.ndarray, num: np.ndarray, aux: np.ndarray) -> np.ndarray:
@@ -133,25 +133,20 @@ def relax(kernel: Relax, b: Batch) -> None:
             f, num, aux = f[head], num[head], aux[head]
         shorter = num < dist[f]
         dist[f], pred[f] = num, aux
-        touched.append(f)
+        touched[f] = True
         return f[shorter]
 
     fresh = improve(b.flat(b.ops), b.ops["num"], b.ops["aux"])
-    b.pruned += len(b.ops["q"]) - len(touched[-1])
+    b.pruned += len(b.ops["q"]) - len(fresh)
     open_[fresh] = True
     todo = np.flatnonzero(open_)
     pauses = _Pauses(b, False)
-    width = g.least if kernel.weighted else 1.0
+    width = g.step if kernel.weighted else 1.0
     while len(todo):
         q, d = todo // g.size, dist[todo]
-        if b.policy.order == "priority":
-            best = np.full(n, np.inf)
-            np.minimum.at(best, q, d)
-            take = d < best[q] + width
-        else:
-            best = np.full(n, np.inf)
-            np.minimum.at(best, q, d)
-            take = np.ones(len(todo), bool)
+        best = np.full(n, np.inf)
+        np.minimum.at(best, q, d)
+        take = d < best[q] + width if b.policy.order == "priority" else np.ones(len(todo), bool)
         if pauses.test is not None or np.isnan(pauses.first).any():
             pauses.ask(best, best < np.inf)
             take &= ~pauses.stopped[q]
@@ -168,12 +163,11 @@ def relax(kernel: Relax, b: Batch) -> None:
             near = num <= limit
             which, f, num = which[near], f[near], num[near]
         fresh = improve(f, num, g.ids[u][which])
-        fresh = fresh[(fresh % g.size < g.own)]
-        fresh = fresh[~open_[fresh]]
+        fresh = fresh[(fresh % g.size < g.own) & ~open_[fresh]]
         open_[fresh] = True
         todo = np.concatenate([todo[~take], fresh])
     b.edges, b.done = int(pauses.edges.sum()), int(pauses.done.sum())
-    touched = np.unique(np.concatenate(touched))
+    touched = np.flatnonzero(touched)
     own = touched % g.size < g.own
     f = touched[own]
     q, v = b.named(f)
