@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from manyq.llm.arrow import random_table, slabs, text_bytes
-from manyq.llm.common import lean_batches, materialise, table
+from manyq.llm.common import ascii_lower, lean_batches, materialise, table, whole_text
 
 #: Mean, least and most bytes of a chunk. The least covers the rolling window, so that a cut depends on its own chunk alone.
 MEAN_BITS, LEAST, MOST = 11, 512, 16384
@@ -147,9 +147,10 @@ def find_copies(docs: DataFrame, digest: Digest = _digest) -> DataFrame:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """docs without the copies that find_copies drops."""
-    dropped = find_copies(docs).where(~F.col("kept") & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("manyq__gone")).distinct()
-    return docs.join(dropped, F.col("doc_id") == F.col("manyq__gone"), "left_anti")
+    """docs without the rows that find_copies drops: a row is told by doc_id and text, so texts that share a doc_id do not fall with one another."""
+    gone = find_copies(docs).where(~F.col("kept")).select(F.col("doc_id").alias("manyq__gone"), F.col("text_sha256").alias("manyq__sha")).distinct()
+    same = docs["doc_id"].eqNullSafe(F.col("manyq__gone")) & (F.sha2(ascii_lower(whole_text(docs["text"])), 256) == F.col("manyq__sha"))
+    return docs.join(gone, same, "left_anti")
 
 
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

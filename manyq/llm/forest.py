@@ -71,10 +71,20 @@ def grow_forest(sample: np.ndarray, trees: int, leaf_rows: int, seed: int = 17)
     return [grow(sample, leaf_rows, np.random.default_rng([seed, t])) for t in range(trees)]
 
 
-def probe(forest: list[Tree], counts: list[np.ndarray], x: np.ndarray, rows: int) -> list[tuple[int, int]]:
-    """The (tree, leaf) pairs that one query looks into: nearest first over all trees, until they hold `rows` rows.
+def leaf_members(forest: list[Tree], sample: np.ndarray) -> list[list[np.ndarray]]:
+    """Of each tree and leaf, the sample's rows that lie in it."""
+    out = []
+    for tree in forest:
+        leaf = tree.leaf_of(sample)
+        order = np.argsort(leaf, kind="stable")
+        out.append(np.split(order, np.searchsorted(leaf[order], np.arange(1, tree.leaves))))
+    return out
+
 
-    counts: of each tree, the rows in each leaf. A place's distance is the largest margin by which the way to it was wrong.
+def probe(forest: list[Tree], members: list[list[np.ndarray]], x: np.ndarray, rows: int) -> tuple[list[tuple[int, int]], np.ndarray]:
+    """The (tree, leaf) pairs that one query looks into, nearest first over all trees, until they hold `rows` distinct rows of the sample; and which rows.
+
+    A place's distance is the largest margin by which the way to it was wrong. A leaf whose sample rows are all seen is looked into like any other.
     """
     queue: list[tuple[float, int, int]] = []
     sides = [t.normals @ x - t.offsets for t in forest]
@@ -82,6 +92,7 @@ def probe(forest: list[Tree], counts: list[np.ndarray], x: np.ndarray, rows: int
         queue.append((0.0, t, 0 if len(tree.normals) else -1))
     heapq.heapify(queue)
     out, held = [], 0
+    reached = np.zeros(sum(map(len, members[0])), bool)
     while queue and held < rows:
         wrong, t, node = heapq.heappop(queue)
         while node >= 0:
@@ -90,7 +101,8 @@ def probe(forest: list[Tree], counts: list[np.ndarray], x: np.ndarray, rows: int
             near, far = (yes, no) if side > 0 else (no, yes)
             heapq.heappush(queue, (max(wrong, abs(float(side))), t, far))
             node = near
-        if n := int(counts[t][-node - 1]):
-            out.append((t, -node - 1))
-            held += n
-    return out
+        own = members[t][-node - 1]
+        held += len(own) - int(reached[own].sum())
+        reached[own] = True
+        out.append((t, -node - 1))
+    return out, reached

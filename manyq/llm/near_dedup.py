@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from manyq.llm.arrow import NOT_BLANK, Words, give_back, mix, random_table, slabs, text_bytes
-from manyq.llm.common import lean_batches, materialise, table
+from manyq.llm.common import lean_batches, materialise, table, whole_text
 from manyq.llm.components import components
 
 HALVES = 9
@@ -233,9 +233,11 @@ def find_groups(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame
 
 
 def keep_least(docs: DataFrame, words: int = 5, percent: int = 80) -> DataFrame:
-    """docs without those that link to a document of a smaller doc_id in their component."""
-    gone = find_groups(docs, words, percent).where(~F.col("kept")).select(F.col("doc_id").alias("manyq__gone")).hint("shuffle_hash")
-    return docs.join(gone, F.col("doc_id") == F.col("manyq__gone"), "left_anti")
+    """docs without those that link to a document of a smaller doc_id in their component. A doc_id that several texts share names no one document: its rows stay."""
+    gone = find_groups(docs, words, percent).where(~F.col("kept")).select("doc_id")
+    own = docs.select("doc_id", F.xxhash64(whole_text(F.col("text"))).alias("h")).join(gone.hint("shuffle_hash"), "doc_id", "left_semi")
+    sure = own.groupBy(F.col("doc_id").alias("manyq__gone")).agg(F.min("h").alias("least"), F.max("h").alias("most")).where("least = most").select("manyq__gone").hint("shuffle_hash")
+    return docs.join(sure, F.col("doc_id") == F.col("manyq__gone"), "left_anti")
 
 
 def op5_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,14 +3,18 @@
 The measure is the largest inner product. As trees split by direction, vectors are first lengthened by one component
 that gives all of them one norm (queries get zero there), which keeps the order of inner products. The trees are grown on
 at most `fit_rows` rows, taken by the order of a hash of vec_id; every row is then indexed, once in each tree. A query
-walks all trees through one priority queue, nearest places first, until the leaves it has reached hold `share` of all
-rows; the leaves' rows are scored exactly, in double precision, and the best of all leaves returned. A leaf returns only
+walks all trees through one priority queue, nearest places first, until the leaves it has reached hold `share` of the
+distinct rows (estimated on the sample); the leaves' rows are scored exactly, in double precision, and the best of all
+leaves returned. A row that several of the query's leaves hold counts in the first tree that does, so `looked`, the number
+of rows a query was compared with, is a number of distinct rows. Trees split tables of any size: a leaf is meant to hold a
+24th of the rows, and never more than 6144. A leaf returns only
 rows that reach the query's k-th best score among those rows of the growing sample that the query's own leaves hold: the
 best of all leaves do, and so many rows do in any case.
 
 Leaves meet queries in cogroups of bounded size: a leaf with many rows or many queries (copies of one vector) is cut into
 chunks of both. `share` trades cost for recall: vectors without structure, such as most of the tests' tables, have no
-near neighbours to find quickly, and recall above 0.9 needs about half of all rows looked at; structured ones need little.
+near neighbours to find quickly, and recall above 0.9 needs more than half of all rows looked at; structured ones need
+little. `exact` is the full scan.
 
 Defined cases: vectors that are null, empty, zero, of another dimension than most, or hold null or non-finite components
 take no part, neither do rows without vec_id. Rows that repeat a vec_id are one candidate, with its best score; a query's
@@ -28,7 +32,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from manyq.llm.common import table
-from manyq.llm.forest import Tree, grow_forest, probe
+from manyq.llm.forest import Tree, grow_forest, leaf_members, probe
 
 CHUNK = 8192
 
@@ -61,12 +65,13 @@ def kth_best(rough: np.ndarray, k: int) -> np.ndarray:
     return np.partition(rough, rough.shape[1] - k, axis=1)[:, rough.shape[1] - k] if rough.shape[1] >= k else np.full(len(rough), -np.inf)
 
 
-def best_of(queries: np.ndarray, query_ids: np.ndarray, known: np.ndarray, rows: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def best_of(queries: np.ndarray, query_ids: np.ndarray, known: np.ndarray, rows: np.ndarray, ids: np.ndarray, k: int, covered: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(query index, row index, score) of each query's k best rows, ties to the smaller id; the query's own id is left out.
 
-    known: a score that k rows of the table are known to reach; rows below it are left out.
+    known: a score that k rows of the table are known to reach; rows below it are left out. covered: pairs that another leaf scores.
     """
     rough = queries @ rows.T
+    rough[covered] = -np.inf
     rough[query_ids[:, None] == ids[None, :]] = -np.inf
     least = np.maximum(kth_best(rough, k), known)
     slack = 1e-9 * (1 + np.abs(np.where(np.isfinite(least), least, 0)))
@@ -94,13 +99,13 @@ def _dealt(tree: np.ndarray, leaf: np.ndarray, parts_v: list[np.ndarray], parts_
     return nv, nq
 
 
-def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_rows: int = 6144, share: float = 1.2, fit_rows: int = 20_000) -> DataFrame:
-    """(query_id, rank, vec_id, score) of the k best found for each usable row that is_query (a condition on vec_id) holds for."""
+def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_rows: int | None = None, share: float = 0.74, fit_rows: int = 20_000) -> DataFrame:
+    """(query_id, rank, vec_id, score, looked) of the k best found for each usable row that is_query (a condition on vec_id) holds for."""
     spark = rows.sparkSession
     good = usable(rows)
     kind = rows.schema["vec_id"].dataType.simpleString()
     total, norm2 = good.agg(F.count("*"), F.max(_norm2("vector"))).first()
-    schema = f"query_id {kind}, rank int, vec_id {kind}, score double"
+    schema = f"query_id {kind}, rank int, vec_id {kind}, score double, looked long"
     if not total:
         return spark.createDataFrame([], schema)
     chosen = good.orderBy(F.xxhash64("vec_id"), "vec_id").limit(fit_rows).select("vec_id", "vector").collect()
@@ -109,9 +114,13 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_
     _, once = np.unique(np.array([r["vec_id"] for r in chosen], np.int64), return_index=True)
     seen_ids, seen = np.array([r["vec_id"] for r in chosen], np.int64)[once], sample[once, :-1].T.copy()
     # The forest's size is bounded by the sample; leaves of larger tables are cut into chunks.
-    forest: list[Tree] = grow_forest(sample, trees, max(16, leaf_rows * len(sample) // total))
-    seen_leaf = [t.leaf_of(sample[once]) for t in forest]
-    budget = int(share * total)
+    if leaf_rows is None:
+        leaf_rows = min(6144, max(16, total // 24))
+    forest: list[Tree] = grow_forest(sample, trees, max(8, leaf_rows * len(sample) // total))
+    members = leaf_members(forest, sample[once])
+    # Small tables are looked through, so that k candidates are found wherever there are as many.
+    wanted = int(np.ceil(max(share, min(1.0, 8 * k / total)) * len(once)))
+    first_leaf = np.cumsum([0, *[t.leaves for t in forest]])
 
     def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -128,16 +137,16 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_
 
     counts = tally(good.mapInArrow(leaves, "tree int, leaf int, n long"))
 
-    def ways(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray, np.ndarray]]:
+    def ways(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray, np.ndarray, list[np.ndarray]]]:
         for b in batches:
             x = _matrix(b.column(1)).astype(np.float64)
-            found = [probe(forest, counts, np.append(v, 0.0), budget) for v in x]
+            found, reached = zip(*[probe(forest, members, np.append(v, 0.0), wanted) for v in x], strict=True) if len(x) else ((), ())
             at = np.repeat(np.arange(len(x)), [len(f) for f in found])
             flat = np.array([p for f in found for p in f], np.int64).reshape(-1, 2)
-            yield b, at, flat[:, 0], flat[:, 1]
+            yield b, at, flat[:, 0], flat[:, 1], reached
 
     def asked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, _, tree, leaf in ways(batches):
+        for _, _, tree, leaf, _ in ways(batches):
             both, n = np.unique(np.stack([tree, leaf], 1), axis=0, return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(both[:, 0].astype(np.int32)), pa.array(both[:, 1].astype(np.int32)), pa.array(n)], ["tree", "leaf", "n"])
 
@@ -146,7 +155,7 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_
     parts_v = [np.maximum(1, -(-c // CHUNK)) for c in counts]
     parts_q = [np.maximum(1, -(-a // CHUNK)) for a in asks]
 
-    def copies(b: pa.RecordBatch, at: np.ndarray, tree: np.ndarray, leaf: np.ndarray, is_row: bool, known: np.ndarray) -> pa.RecordBatch:
+    def copies(b: pa.RecordBatch, at: np.ndarray, tree: np.ndarray, leaf: np.ndarray, is_row: bool, known: np.ndarray, marks: np.ndarray) -> pa.RecordBatch:
         """Each row to its own chunk of rows (or queries) and to all chunks of the other side."""
         nv, nq = _dealt(tree, leaf, parts_v, parts_q)
         own, other = (nv, nq) if is_row else (nq, nv)
@@ -157,52 +166,62 @@ def search(rows: DataFrame, is_query: Column, k: int = 20, trees: int = 6, leaf_
         v, q = (mine[to], theirs) if is_row else (theirs, mine[to])
         columns = [pa.array(a.astype(np.int32)) for a in (tree[to], leaf[to], v, q)]
         take = pa.array(at[to])
-        return pa.RecordBatch.from_arrays([*columns, b.column(0).take(take), b.column(1).take(take), pa.array(known[at[to]])], ["tree", "leaf", "v", "q", "id", "vector", "known"])
+        return pa.RecordBatch.from_arrays([*columns, b.column(0).take(take), b.column(1).take(take), pa.array(known[at[to]]), pa.array([m.tobytes() for m in marks], pa.binary()).take(take)], ["tree", "leaf", "v", "q", "id", "vector", "known", "marks"])
 
     def index(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             x = _lengthened(_matrix(b.column(1)), norm2)
-            for t, tree in enumerate(forest):
-                leaf = tree.leaf_of(x)
+            codes = np.stack([t.leaf_of(x) for t in forest], 1).astype(np.int32)
+            for t in range(len(forest)):
+                leaf = codes[:, t]
                 live = np.flatnonzero(asks[t][leaf] > 0)
-                yield copies(b, live, np.full(len(live), t), leaf[live], True, np.zeros(len(x)))
+                yield copies(b, live, np.full(len(live), t), leaf[live], True, np.zeros(len(x)), codes)
 
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b, at, tree, leaf in ways(batches):
+        for b, at, tree, leaf, reached in ways(batches):
             x, ids = _matrix(b.column(1)).astype(np.float64), b.column(0).to_numpy()
             known = np.empty(len(x))
             for lo in range(0, len(x), 256):
                 rough = x[lo : lo + 256] @ seen
-                reached = np.zeros(rough.shape, bool)
-                for t, tree_ in enumerate(forest):
-                    own = (at >= lo) & (at < lo + 256) & (tree == t)
-                    looked = np.zeros((len(rough), tree_.leaves), bool)
-                    looked[at[own] - lo, leaf[own]] = True
-                    reached |= looked[:, seen_leaf[t]]
-                rough[~reached | (ids[lo : lo + 256, None] == seen_ids[None, :])] = -np.inf
+                rough[~np.array(reached[lo : lo + 256]) | (ids[lo : lo + 256, None] == seen_ids[None, :])] = -np.inf
                 known[lo : lo + 256] = kth_best(rough, k)
-            yield copies(b, at, tree, leaf, False, known)
-
-    def score(left: pa.Table, right: pa.Table) -> pa.Table:
-        ask_ids, ids = left["id"].to_numpy(), right["id"].to_numpy()
-        empty, known = not len(ask_ids) or not len(ids), left["known"].to_numpy()
-        x, y = (np.zeros((len(i), 1)) if empty else _matrix(t["vector"].combine_chunks()).astype(np.float64) for t, i in ((left, ask_ids), (right, ids)))
-        parts = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))] if empty else []
-        for rows_ in [] if empty else _layers(ids):  # rows that share a vec_id must not take each other's places
+            looked = np.zeros((len(x), first_leaf[-1]), bool)
+            looked[at, first_leaf[tree] + leaf] = True
+            yield copies(b, at, tree, leaf, False, known, np.packbits(looked, axis=1))
+
+    def score(key: tuple, left: pa.Table, right: pa.Table) -> pa.Table:
+        tree = int(key[0].as_py())
+        ask_ids, ids, known = left["id"].to_numpy(), right["id"].to_numpy(), left["known"].to_numpy()
+        if not len(ask_ids) or not len(ids):
+            return pa.table({"query_id": left["id"][:0], "vec_id": right["id"][:0], "score": pa.array([], pa.float64()), "looked": pa.array([], pa.int64())})
+        x, y = (_matrix(t["vector"].combine_chunks()).astype(np.float64) for t in (left, right))
+        into = np.unpackbits(np.frombuffer(b"".join(left["marks"].to_pylist()), np.uint8).reshape(len(x), -1), axis=1, count=int(first_leaf[-1])).astype(bool)
+        codes = np.frombuffer(b"".join(right["marks"].to_pylist()), np.int32).reshape(len(y), -1)
+        parts, looked = [], np.zeros(len(x), np.int64)
+        for rows_ in _layers(ids):  # rows that share a vec_id must not take each other's places
             for lo in range(0, len(x), 512):
-                q, r, s = best_of(x[lo : lo + 512], ask_ids[lo : lo + 512], known[lo : lo + 512], y[rows_], ids[rows_], k)
+                covered = np.zeros((len(x[lo : lo + 512]), len(rows_)), bool)
+                for t in range(tree):  # rows that an earlier tree of the query's holds are scored there
+                    covered |= into[lo : lo + 512, first_leaf[t] + codes[rows_, t]]
+                looked[lo : lo + 512] += (~covered).sum(1)
+                q, r, s = best_of(x[lo : lo + 512], ask_ids[lo : lo + 512], known[lo : lo + 512], y[rows_], ids[rows_], k, covered)
                 parts.append((q + lo, rows_[r], s))
         q, r, s = (np.concatenate(p) for p in zip(*parts, strict=True))
-        return pa.table({"query_id": pa.array(ask_ids[q], left["id"].type), "vec_id": pa.array(ids[r], right["id"].type), "score": s})
+        found = pa.table({"query_id": pa.array(ask_ids[q], left["id"].type), "vec_id": pa.array(ids[r], right["id"].type), "score": s, "looked": np.zeros(len(q), np.int64)})
+        # A query's looks are told on a row without vec_id.
+        told = pa.table({"query_id": pa.array(ask_ids, left["id"].type), "vec_id": pa.nulls(len(ask_ids), right["id"].type), "score": pa.nulls(len(ask_ids), pa.float64()), "looked": looked})
+        return pa.concat_tables([found, told])
 
     vector = good.schema["vector"].dataType.simpleString()
-    dealt = f"tree int, leaf int, v int, q int, id {kind}, vector {vector}, known double"
+    dealt = f"tree int, leaf int, v int, q int, id {kind}, vector {vector}, known double, marks binary"
     by = ("tree", "leaf", "v", "q")
     asking, indexed = queries.mapInArrow(ask, dealt), good.mapInArrow(index, dealt)
-    met = asking.groupBy(*by).cogroup(indexed.groupBy(*by)).applyInArrow(score, f"query_id {kind}, vec_id {kind}, score double")
-    one = met.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
-    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return one.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    met = asking.groupBy(*by).cogroup(indexed.groupBy(*by)).applyInArrow(score, f"query_id {kind}, vec_id {kind}, score double, looked long")
+    one = met.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"), F.sum("looked").alias("looked"))
+    rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc_nulls_last("score"), "vec_id"))
+    looked = F.sum("looked").over(Window.partitionBy("query_id"))
+    ranked = one.withColumn("rank", rank).withColumn("looked", looked).where((F.col("rank") <= k) & F.col("vec_id").isNotNull())
+    return ranked.select("query_id", "rank", "vec_id", "score", "looked")
 
 
 def exact(rows: DataFrame, is_query: Column, k: int = 20) -> DataFrame:

@@ -65,14 +65,16 @@ class WordIds:
     """The ids of texts as little-endian 32-bit words.
 
     White space parts this vocabulary's pieces, so words are encoded one by one and remembered. A new word of ASCII alone
-    is lower-cased and cut as the tokenizer itself would, and its pieces are remembered as well.
+    is lower-cased and cut as the tokenizer itself would, and its pieces are remembered as well; a word that holds one of the
+    vocabulary's special tokens goes to the tokenizer whole, which gives that token its own id.
     """
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
+        special = [t.content.encode() for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.special = re.compile(b"|".join(map(re.escape, special)) or b"(?!)")
         self.coder = Words(NOT_BLANK)
         self.words, self.pieces = Remembered(KEPT_WORDS), Remembered(KEPT_WORDS)
 
@@ -81,7 +83,7 @@ class WordIds:
         return [struct.pack(f"<{len(e.ids)}I", *e.ids) for e in encoded]
 
     def _new(self, words: list[bytes]) -> list[bytes]:
-        cut = [ASCII_PIECES.findall(w.lower()) if w.isascii() else None for w in words]
+        cut = [ASCII_PIECES.findall(w.lower()) if w.isascii() and not self.special.search(w) else None for w in words]
         pieces = list({p for x in cut if x for p in x})
         own = dict(zip(pieces, self.pieces.look_up(pieces, self._encode), strict=True))
         other = iter(self._encode([w for w, x in zip(words, cut, strict=True) if x is None]))

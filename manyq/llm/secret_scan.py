@@ -6,15 +6,16 @@ the ledger lacks for this rule version, appends what it finds, and joins the fin
 so copies, later versions and reruns cost one hash each. Only hashes and ids are grouped; the hot group of a text with
 many copies is summed up before the shuffle, and the join back is one that Spark splits at run time.
 
-Spans come from built-in expressions: a text's matches and the pieces between them give the offsets, in code points.
+Spans come from built-in expressions: the lengths of a text's matches and of the pieces between them, summed by a window,
+give the offsets, in code points.
 
-Defined cases: null text counts as empty (no spans). Rows that repeat come back once each. A null doc_id is a path
-like any other. Extra columns of the input are not read. An empty table gives an empty result.
+Defined cases: null text counts as empty (no spans). Rows that repeat come back once each. A doc_id may be of
+any type, and null is a path like any other. Extra columns of the input are not read. An empty table gives an empty result.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from manyq.llm.common import scratch_path, table, whole_text
@@ -36,30 +37,33 @@ PATTERNS = {"assign": ASSIGN, "access": ACCESS, "hex": HEX, "private_key": PRIVA
 LEAST_VALUE = {"assign": 8}
 
 SPANS_TYPE = "array<struct<start:int,kind:int,end:int>>"
+STEPS_TYPE = "array<struct<kind:int,at:int,piece:int,hit:int,value:int>>"
 
 
-def _spans(text: Column, kind: str) -> Column:
-    """The kind's matches, leftmost and not overlapping: array<struct<start, kind, end>>, offsets in code points."""
+def _steps(text: Column, kind: str) -> Column:
+    """The kind's matches, leftmost and not overlapping, as lengths in code points: of the piece before, the match, and its value."""
     found = F.regexp_extract_all(text, F.lit(PATTERNS[kind]), F.lit(0))
     pieces = F.split(text, PATTERNS[kind], -1)
     values = F.regexp_extract_all(text, F.lit(PATTERNS[kind]), F.lit(2)) if kind in LEAST_VALUE else found
     steps = F.arrays_zip(F.slice(pieces, 1, F.size(found)).alias("piece"), found.alias("hit"), values.alias("value"))
-    none = F.array().cast("array<struct<start:int,kind:int,end:int,value:int>>")
+    lengths = lambda x, i: F.struct(F.lit(KINDS.index(kind)).alias("kind"), i.alias("at"), *[F.char_length(x[c]).alias(c) for c in ("piece", "hit", "value")])
+    return F.when(F.size(found) == 0, F.array().cast(STEPS_TYPE)).otherwise(F.transform(steps, lengths))
 
-    def place(done: Column, x: Column) -> Column:
-        start = F.when(F.size(done) > 0, F.element_at(done, -1)["end"]).otherwise(F.lit(0)) + F.char_length(x["piece"])
-        one = F.struct(start.alias("start"), F.lit(KINDS.index(kind)).alias("kind"), (start + F.char_length(x["hit"])).alias("end"), F.char_length(x["value"]).alias("value"))
-        return F.concat(done, F.array(one))
 
-    placed = F.aggregate(F.transform(steps, lambda x: F.struct(x["piece"].alias("piece"), x["hit"].alias("hit"), x["value"].alias("value"))), none, place)
-    kept = F.filter(placed, lambda x: x["value"] >= LEAST_VALUE.get(kind, 0))
-    plain = F.transform(kept, lambda x: F.struct(x["start"].alias("start"), x["kind"].alias("kind"), x["end"].alias("end")))
-    return F.when(F.size(found) == 0, F.array().cast(SPANS_TYPE)).otherwise(plain)
+def blob_spans(blobs: DataFrame) -> DataFrame:
+    """(blob, spans) of (blob, text): all spans of a text, by start, then kind as listed. Rows with one blob count once.
 
-
-def find_spans(text: Column) -> Column:
-    """All spans of a text, by start, then kind as listed."""
-    return F.array_sort(F.concat(*[_spans(text, k) for k in KINDS]))
+    Offsets are running sums of lengths within (blob, kind), so a text's cost grows with its length and its matches alone.
+    """
+    steps = blobs.select("blob", F.concat(*[_steps(F.col("text"), k) for k in KINDS]).alias("steps"))
+    each = steps.groupBy("blob").agg(F.any_value("steps").alias("steps")).select("blob", F.explode_outer("steps").alias("s")).select("blob", "s.*")
+    upto = Window.partitionBy("blob", "kind").orderBy("at").rowsBetween(Window.unboundedPreceding, 0)
+    placed = each.withColumn("end", F.sum(F.col("piece") + F.col("hit")).over(upto).cast("int"))
+    least = F.lit(True)
+    for kind, n in LEAST_VALUE.items():
+        least = least & ((F.col("kind") != KINDS.index(kind)) | (F.col("value") >= n))
+    span = F.struct((F.col("end") - F.col("hit")).alias("start"), F.col("kind"), F.col("end"))
+    return placed.groupBy("blob").agg(F.array_sort(F.collect_list(F.when(least & F.col("kind").isNotNull(), span))).cast(SPANS_TYPE).alias("spans"))
 
 
 def blob_id(text: Column) -> Column:
@@ -68,15 +72,19 @@ def blob_id(text: Column) -> Column:
 
 def scan_unseen(versions: DataFrame, ledger: DataFrame | None, doc: str = "doc_id", text: str = "text") -> DataFrame:
     """Ledger rows (blob, rule_version, spans) for the blobs of versions that the ledger lacks for this rule version."""
-    ids = versions.select(blob_id(F.col(text)).alias("blob"), F.coalesce(F.col(doc), F.lit(-(2**63))).alias("path"))
-    unseen = ids.groupBy("blob").agg(F.min("path").alias("path"))
+    path = _path(versions, doc).alias("path")
+    unseen = versions.select(blob_id(F.col(text)).alias("blob"), path).groupBy("blob").agg(F.min("path").alias("path"))
     if ledger is not None:
         unseen = unseen.join(ledger.where(F.col("rule_version") == RULE_VERSION).select("blob"), "blob", "left_anti")
-    texts = versions.select(F.coalesce(F.col(doc), F.lit(-(2**63))).alias("path"), whole_text(F.col(text)).alias("text"))
+    texts = versions.select(path, whole_text(F.col(text)).alias("text"))
     one_each = texts.join(unseen.hint("shuffle_hash"), "path", "inner").where(blob_id(F.col("text")) == F.col("blob"))
-    found = one_each.select("blob", find_spans(F.col("text")).alias("spans"))
-    # Rows with one path and text come twice; their spans are equal.
-    return found.groupBy("blob").agg(F.max("spans").alias("spans")).select("blob", F.lit(RULE_VERSION).alias("rule_version"), "spans")
+    return blob_spans(one_each.select("blob", "text")).select("blob", F.lit(RULE_VERSION).alias("rule_version"), "spans")
+
+
+def _path(versions: DataFrame, doc: str) -> Column:
+    """A version's path as something that is never null, of whatever type doc is."""
+    whole = versions.schema[doc].dataType.typeName() in ("byte", "short", "integer", "long")
+    return F.coalesce(F.col(doc), F.lit(-(2**63))) if whole else F.coalesce(F.concat(F.lit("/"), F.col(doc).cast("string")), F.lit(""))
 
 
 def brought_up(versions: DataFrame, ledger_path: str, doc: str = "doc_id", text: str = "text") -> DataFrame:
@@ -108,20 +116,19 @@ def written(spans: Column) -> Column:
 
 def redact(docs: DataFrame, mark: str = "[SECRET]") -> DataFrame:
     """docs with every span, overlapping ones merged, replaced by the mark. All documents stay; only found texts change."""
-    text = whole_text(docs["text"])
-    first = F.struct(F.lit(0).alias("upto"), F.lit("").alias("out"))
-
-    def cut(done: Column, x: Column) -> Column:
-        gap = F.substr(text, done["upto"] + 1, F.greatest(x["start"] - done["upto"], F.lit(0)))
-        grown = F.when(x["start"] >= done["upto"], F.concat(done["out"], gap, F.lit(mark))).otherwise(done["out"])
-        return F.struct(F.greatest(done["upto"], x["end"]).alias("upto"), grown.alias("out"))
-
-    done = F.aggregate(F.col("manyq__spans"), first, cut)
-    clean = F.concat(done["out"], F.substr(text, done["upto"] + 1, F.char_length(text)))
     ledger = brought_up(docs, scratch_path(docs.sparkSession, "ledger"))
-    spans = ledger.where(F.size("spans") > 0).select(F.col("blob").alias("manyq__blob"), F.col("spans").alias("manyq__spans")).hint("shuffle_hash")
-    both = docs.join(spans, blob_id(docs["text"]) == F.col("manyq__blob"), "left")
-    return both.select(*[F.when(F.col("manyq__spans").isNull(), docs["text"]).otherwise(clean).alias("text") if c == "text" else docs[c] for c in docs.columns])
+    before = Window.partitionBy("blob").orderBy("start", "end").rowsBetween(Window.unboundedPreceding, -1)
+    each = ledger.where(F.size("spans") > 0).select("blob", F.inline("spans")).withColumn("from", F.coalesce(F.max("end").over(before), F.lit(0)))
+    # What stays of a text: before every span that no earlier one reaches, and after the last.
+    kept = F.when(F.col("start") >= F.col("from"), F.struct("from", F.col("start").alias("to")))
+    cuts = each.groupBy(F.col("blob").alias("manyq__blob")).agg(F.array_sort(F.collect_list(kept)).alias("manyq__cuts"), F.max("end").alias("manyq__tail")).hint("shuffle_hash")
+    text = whole_text(docs["text"])
+    # Four bytes a code point make a piece's place a product; a mark of byte order before each is what decoding takes away.
+    told = F.array(F.struct(F.encode(text, "UTF-32").alias("b"), F.col("manyq__cuts").alias("cuts"), F.col("manyq__tail").alias("tail")))
+    piece = lambda b, lo, n: F.decode(F.concat(F.unhex(F.lit("0000FEFF")), F.substr(b, 4 * lo + 1, 4 * n)), "UTF-32")
+    clean = lambda x: F.concat(F.array_join(F.transform(x["cuts"], lambda c: F.concat(piece(x["b"], c["from"], c["to"] - c["from"]), F.lit(mark))), ""), piece(x["b"], x["tail"], F.octet_length(x["b"])))
+    both = docs.join(cuts, blob_id(docs["text"]) == F.col("manyq__blob"), "left")
+    return both.select(*[F.when(F.col("manyq__tail").isNull(), docs["text"]).otherwise(F.get(F.transform(told, clean), 0)).alias("text") if c == "text" else docs[c] for c in docs.columns])
 
 
 def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:

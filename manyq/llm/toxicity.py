@@ -136,7 +136,9 @@ def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = 20_000, seed: i
     lean_batches(docs.sparkSession)
     known = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out(F.col("doc_id")))
     chosen = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample_rows)
-    texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"])
+    # Of several texts under one doc_id the least is learned, in any run; at most sample_rows rows come here.
+    texts = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("toxic").alias("toxic"))
+    kind = texts.schema["doc_id"].dataType.simpleString()
 
     def terms(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -152,7 +154,7 @@ def learn(docs: DataFrame, labels: DataFrame, sample_rows: int = 20_000, seed: i
         yield pa.RecordBatch.from_arrays([pa.array([zlib.compress(pickle.dumps(small), 1)], pa.binary())], ["machine"])
         give_back()
 
-    hashed = texts.mapInArrow(terms, "doc_id long, terms binary, toxic int")
+    hashed = texts.mapInArrow(terms, f"doc_id {kind}, terms binary, toxic int")
     # One task by design: at most sample_rows rows, of 4 bytes a term.
     packed = hashed.repartition(1).mapInArrow(train, "machine binary")
     bias, used, weights, vectors, values = pickle.loads(zlib.decompress(packed.first()[0]))

@@ -22,7 +22,7 @@ def test_recall_and_ties(spark):
     rows = [(i, [rng.gauss(0, 1) for _ in range(16)]) for i in range(1200)] + [(i, [0.25] * 16) for i in range(1200, 1500)]
     df = vectors(spark, rows).cache()
     query = F.col("vec_id") % 50 == 0
-    got = nearest.search(df, query, k=10, trees=6, leaf_rows=200, share=1.5)
+    got = nearest.search(df, query, k=10, trees=6, leaf_rows=200)
     want = {(r["query_id"], r["vec_id"]) for r in nearest.exact(df, query, 10).collect()}
     found = {(r["query_id"], r["vec_id"]) for r in got.collect()}
     assert len(found & want) / len(want) >= 0.9
@@ -30,6 +30,17 @@ def test_recall_and_ties(spark):
     assert len(same) == 10 and all(a < b for a, b in zip(same, same[1:], strict=False) if a >= 1200 and b >= 1200)
 
 
+def test_registered_search_against_the_full_scan(spark):
+    """The query's own settings at sf0.1: recall, and distinct rows looked at."""
+    sf = "/root/testdata/sf0.1"
+    got = nearest.op7_nearest(spark, sf).collect()
+    want = {(r["query_id"], r["vec_id"]) for r in nearest.exact(spark.read.parquet(f"{sf}/embeddings.parquet"), F.col("vec_id") % 20 == 0).collect()}
+    assert len({(r["query_id"], r["vec_id"]) for r in got} & want) / len(want) >= 0.9
+    looked = {r["query_id"]: r["looked"] for r in got}
+    assert 0.5 * 2000 < max(looked.values()) < 0.85 * 2000 and sum(looked.values()) / len(looked) < 0.8 * 2000
+    assert nearest.search(vectors(spark, []), F.col("vec_id") % 20 == 0).count() == 0
+
+
 def test_pipeline_stages(spark):
     import corpus_pipeline as c
 
