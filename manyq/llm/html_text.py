@@ -10,7 +10,8 @@ role, class or id) have a hundredth of their ratio, hidden ones none, and where
 through it are scored.
 
 Defined cases: null or empty html gives an empty text; pages cut off anywhere are read to their end; nested and unclosed
-elements follow HTML's implied ends. Rows that repeat come back once each. Extra columns are not read.
+elements follow HTML's implied ends; a quote that is never closed ends with its tag. Time and memory grow with a page's
+length, however deep it nests. Rows that repeat come back once each. Extra columns are not read.
 """
 
 from __future__ import annotations
@@ -50,15 +51,59 @@ SIBLINGS = {"li": ("ul", "ol", "menu"), "dt": ("dl",), "dd": ("dl",), "option":
 DOUBT, SHARE = 0.01, 0.5
 LISTS = frozenset("ul ol dl menu table tbody thead tfoot tr figure".split())
 
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
+#: What opens markup, and what may end a tag or hide its end.
+START = re.compile(r"<!--|<[!?]|<(/?)([a-zA-Z][^\s/>]*)")
+INSIDE = re.compile(r"[>\"']")
 ATTRIBUTE = re.compile(r"""(?:^|\s)(class|id|role|hidden|aria-hidden)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?(?=\s|/|$)""", re.I | re.S)
 WORDS = re.compile(r"[A-Za-z]+")
 PUNCTUATION = re.compile(r"[.,;:!?…。，、！？]")
 
 
+class Paths:
+    """Tag paths as numbers, 0 for the root: each is its parent's path and a tag. What blocks ask of a path is known when it is made, so depth costs nothing later."""
+
+    def __init__(self):
+        self.number: dict[tuple[int, str], int] = {}
+        self.parent, self.tag, self.depth = [0], [""], [0]
+        self.above_lists = [0]  # the nearest path, itself or above, that is no list or table
+        self.short: list[tuple[str, int] | None] = [None]  # the innermost heading or list item: its tag, and what holds it or its whole list
+        self.home = [0]  # what holds the innermost block element
+        self.enter: list[int] = []
+        self.leave: list[int] = []
+
+    def child(self, parent: int, tag: str) -> int:
+        key = (parent, tag)
+        n = self.number.get(key)
+        if n is None:
+            n = self.number[key] = len(self.tag)
+            self.parent.append(parent)
+            self.tag.append(tag)
+            self.depth.append(self.depth[parent] + 1)
+            self.above_lists.append(self.above_lists[parent] if tag in LISTS else n)
+            self.short.append((tag, self.above_lists[parent]) if tag in SHORT else self.short[parent])
+            self.home.append((parent if tag in ("p", "pre", "blockquote") else n) if tag in BLOCK else self.home[parent])
+        return n
+
+    def finish(self) -> None:
+        """Number the paths so that one lies below another where its number lies in the other's range."""
+        size = [1] * len(self.tag)
+        for n in range(len(self.tag) - 1, 0, -1):
+            size[self.parent[n]] += size[n]
+        self.enter, used = [0] * len(self.tag), [1] * len(self.tag)
+        for n in range(1, len(self.tag)):  # a parent has a smaller number
+            up = self.parent[n]
+            self.enter[n] = self.enter[up] + used[up]
+            used[up] += size[n]
+        self.leave = [e + k for e, k in zip(self.enter, size, strict=True)]
+
+    def below(self, a: int, b: int) -> bool:
+        """Whether a is b or lies below it."""
+        return self.enter[b] <= self.enter[a] < self.leave[b]
+
+
 @dataclass(slots=True)
 class Node:
-    path: str
+    path: int
     block: int
     text: str
     weight: float
@@ -70,10 +115,11 @@ class Node:
 @dataclass(slots=True)
 class Open:
     tag: str
-    path: str
+    path: int
     weight: float
     linked: bool
     article: bool
+    p: int  # the place of the open paragraph that a new block ends, or -1
 
 
 def _weight(tag: str, attributes: str, inside_article: bool) -> float:
@@ -90,10 +136,28 @@ def _weight(tag: str, attributes: str, inside_article: bool) -> float:
     return weight
 
 
-def nodes_of(page: str) -> list[Node]:
-    """The text nodes of a page in order, without those in raw elements (scripts, styles, the head)."""
+def _tag_end(page: str, at: int) -> int:
+    """Where a tag ends whose name ends at `at`: past the first > outside quotes; with a quote that is never closed, past the next >; else the page's end."""
+    m = INSIDE.search(page, at)
+    while m and m[0] != ">":
+        closing = page.find(m[0], m.end())
+        if closing < 0:
+            end = page.find(">", m.end())
+            return end + 1 if end >= 0 else len(page)
+        m = INSIDE.search(page, closing + 1)
+    return m.end() if m else len(page)
+
+
+def nodes_of(page: str) -> tuple[list[Node], Paths]:
+    """The text nodes of a page in order, without those in raw elements (scripts, styles, the head), and their paths.
+
+    Each character is looked at a bounded number of times, whatever is left open or unclosed.
+    """
     nodes: list[Node] = []
-    stack = [Open("", "", 1.0, False, False)]
+    paths = Paths()
+    stack = [Open("", 0, 1.0, False, False, -1)]
+    opened: dict[str, int] = {}
+    endless: set[str] = set()  # raw elements that nothing ends from here on
     block, at, n = 0, 0, len(page)
 
     def add(raw: str) -> None:
@@ -102,26 +166,36 @@ def nodes_of(page: str) -> list[Node]:
             nodes.append(Node(top.path, block, html.unescape(raw), top.weight, top.linked, top.article))
 
     def close(until: int) -> None:
+        for x in stack[until:]:
+            opened[x.tag] -= 1
         del stack[until:]
 
     while at < n:
-        m = TOKEN.search(page, at)
+        m = START.search(page, at)
         if not m:
             add(page[at:])
             break
         add(page[at : m.start()])
-        at, tag = m.end(), (m[2] or "").lower()
-        if not tag:
+        if not m[2]:
+            mark = "-->" if m[0] == "<!--" else ">"
+            end = page.find(mark, m.end())
+            at = end + len(mark) if end >= 0 else n
             continue
+        tag = m[2].lower()
+        at = _tag_end(page, m.end())
+        inside = page[m.end() : at - 1 if page[at - 1] == ">" else at]
         if m[1]:
             block += tag in BLOCK
-            for i in range(len(stack) - 1, 0, -1):
-                if stack[i].tag == tag:
-                    close(i)
-                    break
+            if opened.get(tag):
+                i = len(stack) - 1
+                while stack[i].tag != tag:
+                    i -= 1
+                close(i)
             continue
         if tag in RAW:
-            end = re.compile(rf"</{re.escape(tag)}(?=[\s/>]|\Z)[^>]*(?:>|\Z)", re.I).search(page, at)
+            end = None if tag in endless else re.compile(rf"</{re.escape(tag)}(?=[\s/>]|\Z)[^>]*(?:>|\Z)", re.I).search(page, at)
+            if end is None:
+                endless.add(tag)
             if tag != "head" or end:
                 at = end.end() if end else n
             block += tag in ("head", "title")
@@ -130,33 +204,32 @@ def nodes_of(page: str) -> list[Node]:
             add(" ")
             continue
         block += tag in BLOCK
-        if tag in VOID or m[3].endswith("/") and tag not in BLOCK:
+        if tag in VOID or inside.endswith("/") and tag not in BLOCK:
             continue
         if tag in CLOSES_P:
-            for i in range(len(stack) - 1, 0, -1):
-                if stack[i].tag == "p":
-                    close(i)
-                    break
-                if stack[i].tag in BLOCK:
-                    break
+            if stack[-1].p >= 0:
+                close(stack[-1].p)
         elif tag in SIBLINGS:
             same = ("td", "th") if tag in ("td", "th") else ("dt", "dd") if tag in ("dt", "dd") else (tag,)
-            for i in range(len(stack) - 1, 0, -1):
+            for i in range(len(stack) - 1, 0, -1) if any(opened.get(t) for t in same) else ():
                 if stack[i].tag in SIBLINGS[tag]:
                     break
                 if stack[i].tag in same:
                     close(i)
                     break
         top = stack[-1]
-        article = top.article or tag in ("article", "main") or bool(m[3]) and "main" in m[3] and re.search(r"role\s*=\s*[\"']?main\b", m[3]) is not None
-        weight = min(top.weight, _weight(tag, m[3], article and (top.article or tag not in ("article", "main"))))
-        stack.append(Open(tag, f"{top.path}/{tag}", weight, top.linked or tag == "a", article))
-    return nodes
+        article = top.article or tag in ("article", "main") or bool(inside) and "main" in inside and re.search(r"role\s*=\s*[\"']?main\b", inside) is not None
+        weight = min(top.weight, _weight(tag, inside, article and (top.article or tag not in ("article", "main"))))
+        p = len(stack) if tag == "p" else -1 if tag in BLOCK else top.p
+        opened[tag] = opened.get(tag, 0) + 1
+        stack.append(Open(tag, paths.child(top.path, tag), weight, top.linked or tag == "a", article, p))
+    paths.finish()
+    return nodes, paths
 
 
 def score(nodes: list[Node]) -> float:
     """Give every node the smoothed and fused ratio of its path; return the page's threshold."""
-    sums: dict[tuple[str, float], list[float]] = {}  # doubtful nodes apart, lest they have the article's ratio
+    sums: dict[tuple[int, float], list[float]] = {}  # doubtful nodes apart, lest they have the article's ratio
     for x in nodes:
         own = sums.setdefault((x.path, x.weight), [0, 0, 0, 0])
         size = len(x.text.strip())
@@ -175,21 +248,9 @@ def score(nodes: list[Node]) -> float:
     return math.expm1(SHARE * sum(logs) / len(logs)) if logs else 0.0
 
 
-def _kind(x: Node) -> tuple[str, str] | None:
-    """Of a node in a heading or a list item: that element's tag and the path of what holds the heading or the whole list."""
-    tags = x.path.split("/")
-    for i in range(len(tags) - 1, 0, -1):
-        if tags[i] in SHORT:
-            up = i - 1
-            while up > 0 and tags[up] in LISTS:
-                up -= 1
-            return tags[i], "/".join(tags[: up + 1])
-    return None
-
-
 def main_text(page: str | None) -> str:
     """The article: its blocks in page order, white space inside a block as one blank, joined by newlines."""
-    nodes = nodes_of(page or "")
+    nodes, paths = nodes_of(page or "")
     if any(x.article and x.weight == 1 and x.text.strip() for x in nodes):
         nodes = [x for x in nodes if x.article]
     least = max(score(nodes), 1e-9)
@@ -205,44 +266,33 @@ def main_text(page: str | None) -> str:
         for i in order:
             near[i] = last
             if chosen[i]:
-                last = f"{_home(blocks[i])}/"
+                best = max(blocks[i], key=lambda x: x.score)
+                kind = paths.short[best.path]
+                last = kind[1] if kind else paths.home[best.path]
     out = []
     for i, own in enumerate(blocks):
-        if not chosen[i] and not _kept_short(own, before[i], after[i]):
+        if not chosen[i] and not _kept_short(own, paths, before[i], after[i]):
             continue
         if text := " ".join("".join(x.text for x in own if x.score >= least or x.weight == 1).split()):
             out.append(text)
     return "\n".join(out)
 
 
-def _home(own: list[Node]) -> str:
-    """The path of what holds a block."""
-    x = max(own, key=lambda x: x.score)
-    kind = _kind(x)
-    if kind:
-        return kind[1]
-    tags = x.path.split("/")
-    for i in range(len(tags) - 1, 0, -1):
-        if tags[i] in BLOCK:
-            return "/".join(tags[:i] if tags[i] in ("p", "pre", "blockquote") else tags[: i + 1])
-    return ""
-
-
-def _kept_short(own: list[Node], before: str | None, after: str | None) -> bool:
+def _kept_short(own: list[Node], paths: Paths, before: int | None, after: int | None) -> bool:
     """Whether an unselected block is a heading, list item or paragraph that belongs to selected blocks."""
     first = next(x for x in own if x.text.strip())
-    if first.article and first.weight == 1 and not first.linked and first.path.endswith("/p"):
+    if first.article and first.weight == 1 and not first.linked and paths.tag[first.path] == "p":
         # A paragraph beside selected blocks, in the same element of a marked article.
-        return f"{first.path[:-2]}/" in (before, after)
-    kind = _kind(first)
+        return paths.parent[first.path] in (before, after)
+    kind = paths.short[first.path]
     if not kind or min(x.weight for x in own) < 1 or all(x.linked for x in own if x.text.strip()):
         return False
     tag, home = kind
-    inside = [near is not None and (f"{home}/".startswith(near) or near.startswith(f"{home}/")) for near in (before, after)]
+    inside = [near is not None and (paths.below(home, near) or paths.below(near, home)) for near in (before, after)]
     if all(inside) or tag in HEADINGS and inside[1]:
         return True
     # At an end of the selected blocks: only where their container is no more than the article.
-    return any(inside) and (first.article or home.count("/") > 2)
+    return any(inside) and (first.article or paths.depth[home] > 2)
 
 
 def extract(pages: DataFrame) -> DataFrame:

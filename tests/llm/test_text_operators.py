@@ -256,6 +256,21 @@ def test_unmarked_pages_keep_headings_and_lists():
     assert html_text.main_text(page).split("\n") == want
 
 
+def test_pages_of_any_shape_cost_what_they_are_long(spark):
+    began = time.time()
+    assert html_text.main_text("<div><b>x" * 110_000).count("x") == 110_000
+    assert html_text.main_text("<a " * 300_000 + '"') == ""
+    assert html_text.main_text('<p title="never closed>One sentence, and more.</p><p>Two sentences. Here they are.</p>') == "One sentence, and more.\nTwo sentences. Here they are."
+    html_text.main_text("<head>" * 100_000 + "<b><p>x</b>" * 50_000 + "<li><i>x" * 50_000)
+    assert time.time() - began < 30
+    page = "<main><p>A long paragraph of text, with marks; and more of it.</p></main>"
+    rows = [(1, "u", page, "x", 1), (1, "u", page, "x", 1), (None, None, None, None, 2), (2, "u", "", "x", 3)]
+    got = html_text.extract(spark.createDataFrame(rows, "page_id long, url string, html string, text string, n_chars int"))
+    want = "A long paragraph of text, with marks; and more of it."
+    assert sorted(map(str, map(tuple, got.collect()))) == sorted(map(str, [(1, "u", want, len(want)), (1, "u", want, len(want)), (None, None, "", 0), (2, "u", "", 0)]))
+    assert html_text.extract(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+
+
 def test_ratios_select_in_marked_articles():
     """A class name lowers a block's ratio; it does not settle it. Short paragraphs of the article stay."""
     page = f"<article><h1>Title</h1><p>{PARA * 4}</p><div class=notice><p>{PARA * 12}</p></div><div class=ad>Buy, now.</div><p>{PARA}</p><p>The end</p></article><p>{PARA}</p>"
