@@ -17,12 +17,16 @@ def partition_count(graph_bytes: float, block_bytes: float) -> int:
     return max(1, math.ceil(graph_bytes / block_bytes))
 
 
-def global_rank(df: DataFrame, key: Column, *ties: Column, buckets: int = 32) -> DataFrame:
-    """df with `rank` from 0 by (key, ties), without one task seeing all rows: ranks within ranges of key, moved on by the ranges' counts."""
+def global_rank(df: DataFrame, key: Column, *ties: Column, range_rows: int = 500_000) -> DataFrame:
+    """df with `rank` from 0 by (key, ties), without one task seeing all rows: ranks within ranges of key, moved on by the ranges' counts.
+
+    There are as many ranges as rows ask for; a key that many rows share is one range.
+    """
     keyed = df.withColumn("_key", key.cast("double"))
-    bounds = sorted(set(keyed.approxQuantile("_key", [i / buckets for i in range(1, buckets)], 0.01))) if buckets > 1 else []
-    ranged = keyed.withColumn("_range", sum((F.when(F.col("_key") > b, 1).otherwise(0) for b in bounds), F.lit(0)))
-    counts = ranged.groupBy("_range").count()  # at most `buckets` rows
+    buckets = max(8, math.ceil(df.count() / range_rows))
+    bounds = sorted(set(keyed.approxQuantile("_key", [i / buckets for i in range(1, buckets)], min(0.01, 0.2 / buckets))))
+    ranged = keyed.withColumn("_range", F.size(F.filter(F.array(*map(F.lit, bounds)).cast("array<double>"), lambda b: b < F.col("_key"))))
+    counts = ranged.groupBy("_range").count()  # a row per range
     moved = counts.select("_range", F.coalesce(F.sum("count").over(Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
     own = F.row_number().over(Window.partitionBy("_range").orderBy("_key", *ties)) - 1
     return ranged.withColumn("_own", own).join(F.broadcast(moved), "_range").withColumn("rank", (F.col("_own") + F.col("_before")).cast("long")).drop("_key", "_range", "_own", "_before")
@@ -55,6 +59,12 @@ def partition_hash(g: Graph, p: int) -> DataFrame:
     return g.vertices.select("id", F.pmod(F.xxhash64("id"), F.lit(p)).cast("int").alias("part_id"))
 
 
+def partition_range(g: Graph, p: int) -> DataFrame:
+    """Equal ranges of ids."""
+    ends = g.vertices.agg(F.min("id").alias("lo"), F.max("id").alias("hi"))
+    return g.vertices.join(F.broadcast(ends)).select("id", F.expr(f"((id - lo) * {int(p)}) div (hi - lo + 1)").cast("int").alias("part_id"))
+
+
 def partition_tiles(g: Graph, rows: int, columns: int, stride: int = 1_000_000) -> DataFrame:
     """A grid of tiles over vertices whose ord is row * stride + column."""
     xy = g.vertices.select("id", F.floor(F.col("ord") / stride).alias("x"), F.pmod("ord", F.lit(stride)).alias("y"))
@@ -63,11 +73,11 @@ def partition_tiles(g: Graph, rows: int, columns: int, stride: int = 1_000_000)
     return at.select("id", (F.floor(F.col("x") * rows / F.col("nx")) * columns + F.floor(F.col("y") * columns / F.col("ny"))).cast("int").alias("part_id"))
 
 
-def partition_multilevel(g: Graph, p: int, levels: int = 6, imbalance: float = 0.2, sweeps: int = 4, coarse_rows: int = 4000) -> DataFrame:
+def partition_multilevel(g: Graph, p: int, levels: int = 24, imbalance: float = 0.2, sweeps: int = 4, coarse_rows: int = 4000) -> DataFrame:
     """Few edges across parts: match neighbours and merge them level by level, split the small graph that is left, refine on the way back.
 
-    Matching and refinement are joins and grouped sums; only the coarsest graph, of at most coarse_rows clusters by
-    construction of the levels or a plan by chunks where it is larger, is split on the driver.
+    Matching and refinement are joins and grouped sums; only the coarsest graph, of at most coarse_rows clusters, is split on
+    the driver. A graph that does not shrink to that raises.
     """
     links = epoch(g.links.where("src < dst").select(F.col("src").alias("u"), F.col("dst").alias("v"), F.lit(1).cast("long").alias("w")), "cut")
     size = epoch(g.vertices.select(F.col("id").alias("u"), F.lit(1).cast("long").alias("size")), "size")
@@ -91,11 +101,9 @@ def partition_multilevel(g: Graph, p: int, levels: int = 6, imbalance: float = 0
         maps.append(mapping)
         graphs.append((epoch(coarse, "cut"), epoch(merged, "size")))
     links, size = graphs[-1]
-    if size.count() <= coarse_rows:
-        plan = g.pairs.sparkSession.createDataFrame(_grow_parts(size.collect(), links.collect(), p), "u long, part_id int")
-    else:
-        ranked = global_rank(size, F.col("u"))
-        plan = ranked.select("u", F.floor(F.col("rank") * p / F.lit(size.count())).cast("int").alias("part_id"))
+    if size.count() > coarse_rows:
+        raise ValueError(f"matching left more than {coarse_rows} clusters")
+    plan = g.pairs.sparkSession.createDataFrame(_grow_parts(size.collect(), links.collect(), p), "u long, part_id int")
     plan = epoch(plan, "plan")
     for level in range(len(graphs) - 1, -1, -1):
         links, size = graphs[level]

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from manyq.functions.ids import draw_order
+from manyq.operators.partition import global_rank
 from manyq.sources.graphs import Graph
 
 
@@ -26,7 +27,8 @@ def sample_fraction(g: Graph, fraction: float, seed: int = 1, least: int = 16) -
 
 
 def all_sources(g: Graph) -> DataFrame:
-    return _numbered(g.vertices, F.col("id"))
+    """Every vertex, numbered by id without one task that sees all."""
+    return global_rank(g.vertices, F.col("id"), F.col("id")).select(F.col("rank").cast("int").alias("query_id"), F.col("id").alias("src"))
 
 
 def top_degree(g: Graph, n: int) -> DataFrame:

@@ -67,7 +67,10 @@ SCHEDULERS: dict[str, Scheduler] = {
 
 @dataclass(frozen=True)
 class Policy:
-    """order: 'priority', 'fifo' or 'lifo' inside a query. scheduler: a name or a key function. wave_width: parts per wave, None for all."""
+    """order: 'priority', 'fifo' or 'lifo' inside a query. scheduler: a name or a key function. wave_width: parts per wave, None for all.
+
+    alone: a batch of one query is run by the parallel frontier algorithm instead.
+    """
 
     order: str = "priority"
     scheduler: str | Scheduler = "priority"
@@ -76,6 +79,7 @@ class Policy:
     window: float | None = None
     buckets: int = 1
     consolidate: bool = True
+    alone: bool = False
 
     def choose(self, pending: list[Pending], wave: int) -> list[int]:
         """The parts of this wave: the first by the scheduler's key; with a window, those within it of the best."""

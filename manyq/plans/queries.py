@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from manyq.operators.blocks import BlockedGraph
+from manyq.plans.baselines import frontier_run
 from manyq.plans.engine import ForkResult, fork
 from manyq.plans.kernels import KShortest, Push, Relax, Token, Walk
 from manyq.plans.policy import Policy
@@ -23,13 +24,24 @@ def lengths_of(r: ForkResult) -> DataFrame:
     return r.state.select("query_id", "v", _long("num", "dist"), _long("aux", "pred"))
 
 
+def _alone(bg: BlockedGraph, sources: DataFrame, weighted: bool, policy: Policy | None) -> DataFrame | None:
+    """One operation and nothing else to run: where the policy asks for it, the whole cluster follows its frontier."""
+    if policy is None or not policy.alone or sources.limit(2).count() != 1:
+        return None
+    return frontier_run(bg.graph, sources, weighted).state
+
+
 def multi_bfs(bg: BlockedGraph, sources: DataFrame, max_depth: int | None = None, policy: Policy | None = None) -> DataFrame:
     """(query_id, v, level, parent)."""
+    if max_depth is None and (found := _alone(bg, sources, False, policy)) is not None:
+        return found.withColumnsRenamed({"dist": "level", "pred": "parent"})
     return levels_of(fork(bg, sources, Relax(False, max_depth), policy or Policy.levels()))
 
 
 def multi_sssp(bg: BlockedGraph, sources: DataFrame, cutoff: float | None = None, policy: Policy | None = None) -> DataFrame:
     """(query_id, v, dist, pred)."""
+    if cutoff is None and (found := _alone(bg, sources, True, policy)) is not None:
+        return found
     return lengths_of(fork(bg, sources, Relax(True, cutoff), policy or Policy.paths()))
 
 

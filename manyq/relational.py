@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -113,15 +114,6 @@ def q_self_join_shared(s: SparkSession, d: str) -> DataFrame:
     return x.join(y, (F.col("x.c_mktsegment") == F.col("y.c_mktsegment")) & (F.col("x.c_nationkey") < F.col("y.c_nationkey"))).groupBy(F.col("x.c_nationkey").alias("u"), F.col("y.c_nationkey").alias("v")).agg(F.count("*").alias("shared"))
 
 
-_LI = "SELECT l_partkey AS v, l_suppkey % 16 AS q, CAST(l_quantity AS BIGINT) AS val, l_linenumber AS ln FROM lineitem"
-_same("ops_consolidated", f"SELECT q, v, min(val) AS val, count(*) AS merged FROM ({_LI}) t GROUP BY q, v", "lineitem")
-_same("ops_sent_combine", f"SELECT v % 8 AS part, q, v, min(val) AS val FROM ({_LI}) t WHERE v % 8 <> q % 8 GROUP BY v % 8, q, v", "lineitem")
-_same("ops_pruned", f"WITH o AS ({_LI}), st AS (SELECT q, v, min(val) AS best FROM o WHERE ln = 1 GROUP BY q, v) SELECT o.q, o.v, o.val FROM o LEFT JOIN st ON st.q = o.q AND st.v = o.v WHERE o.ln > 1 AND (st.best IS NULL OR o.val < st.best)", "lineitem")
-for _n, _o in {"priority": "min(val), part", "fifo": "min(seq), part", "maxops": "-count(*), part", "random": "(part * 104729 + 7919) % 10007, part"}.items():
-    _same(f"sched_{_n}", f"SELECT part, ops, row_number() OVER (ORDER BY k1, part) AS turn FROM (SELECT part, count(*) AS ops, {_o.split(', part')[0]} AS k1 FROM (SELECT l_partkey % 16 AS part, CAST(l_quantity AS BIGINT) * 1000 + l_orderkey % 997 AS val, l_orderkey * 10 + l_linenumber AS seq FROM lineitem) t GROUP BY part) u", "lineitem")
-_same("prio_columns", f"SELECT q, v, min(val) AS by_distance, -max(val) AS by_residual, min(ln) AS by_level FROM ({_LI}) t GROUP BY q, v", "lineitem")
-_same("vertex_map", "SELECT p_partkey AS v, p_size * 2 AS twice FROM part WHERE p_size % 2 = 0", "part")
-_same("edge_map", "SELECT l_suppkey AS dst, count(*) AS reached, min(l_partkey) AS first_from FROM lineitem WHERE l_partkey IN (SELECT p_partkey FROM part WHERE p_size = 1) GROUP BY l_suppkey", "lineitem", "part")
 _same("agg_hash", "SELECT l_suppkey, count(*) AS n, CAST(sum(l_quantity) AS BIGINT) AS q, min(l_partkey) AS lo, max(l_partkey) AS hi FROM lineitem GROUP BY l_suppkey", "lineitem")
 _same("agg_rollup", "SELECT n_regionkey, c_nationkey, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, c_nationkey)", "customer", "nation")
 _same("agg_cube", "SELECT c_mktsegment, c_nationkey % 5 AS g, count(*) AS n FROM customer GROUP BY CUBE (c_mktsegment, c_nationkey % 5)", "customer")
@@ -187,13 +179,22 @@ def q_fn_label_map(s: SparkSession, d: str) -> DataFrame:
     return both.select("a", "b", F.array_min(sums).alias("upper")).where("upper IS NOT NULL")
 
 
-@_query("SELECT l_suppkey, round(avg(l_quantity), 6) AS mean FROM lineitem GROUP BY l_suppkey")
+@_query("""WITH o AS (SELECT l_suppkey, l_partkey, sum(l_quantity)::BIGINT AS q FROM lineitem GROUP BY 1, 2),
+p AS (SELECT l_suppkey, row_number() OVER w AS size, sum(q) OVER w AS volume, sum(q) OVER (PARTITION BY l_suppkey) AS total FROM o WINDOW w AS (PARTITION BY l_suppkey ORDER BY q DESC, l_partkey ROWS UNBOUNDED PRECEDING))
+SELECT l_suppkey, min(size * 1000000 // least(volume, total - volume))::BIGINT AS best FROM p WHERE volume < total GROUP BY l_suppkey""")
 def q_udaf_sweep(s: SparkSession, d: str) -> DataFrame:
-    @F.pandas_udf("double")
-    def mean(x: pd.Series) -> float:
-        return float(x.mean())
+    """The least ratio of size to volume, of the prefixes by falling quantity: a grouped aggregate over Arrow batches."""
+    o = load(s, d, "lineitem", "l_suppkey", "l_partkey", "l_quantity").groupBy("l_suppkey", "l_partkey").agg(F.sum("l_quantity").cast("long").alias("q"))
 
-    return load(s, d, "lineitem", "l_suppkey", "l_quantity").groupBy("l_suppkey").agg(F.round(mean("l_quantity"), 6).alias("mean"))
+    def sweep(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values(["q", "l_partkey"], ascending=[False, True])
+        volume = rows["q"].cumsum().to_numpy()
+        small = np.minimum(volume, volume[-1] - volume)
+        fine = small > 0
+        best = ((np.arange(1, len(rows) + 1) * 1_000_000)[fine] // small[fine]).min() if fine.any() else None
+        return pd.DataFrame({"l_suppkey": rows["l_suppkey"].iloc[:1].to_numpy(), "best": [best]})
+
+    return o.groupBy("l_suppkey").applyInPandas(sweep, "l_suppkey long, best long").where("best IS NOT NULL")
 
 
 @_query("SELECT p_partkey, p_size * 3 + 1 AS priority FROM part")
@@ -203,3 +204,95 @@ def q_udf_priority(s: SparkSession, d: str) -> DataFrame:
         return x * 3 + 1
 
     return load(s, d, "part", "p_partkey", "p_size").select("p_partkey", priority("p_size").alias("priority"))
+
+
+# Joins that the engine's own plans lean on
+
+
+@_query("SELECT l_orderkey, l_linenumber, s_nationkey FROM lineitem JOIN supplier ON l_suppkey = s_suppkey")
+def q_join_shuffle_hash(s: SparkSession, d: str) -> DataFrame:
+    side = load(s, d, "supplier", "s_suppkey", "s_nationkey").hint("shuffle_hash")
+    return load(s, d, "lineitem", "l_orderkey", "l_linenumber", "l_suppkey").join(side, F.col("l_suppkey") == F.col("s_suppkey")).select("l_orderkey", "l_linenumber", "s_nationkey")
+
+
+@_query("""WITH e AS (SELECT DISTINCT l_suppkey AS a, l_partkey AS b FROM lineitem WHERE l_suppkey <= 30),
+p AS (SELECT x.a AS u, y.a AS v FROM e x JOIN e y ON x.b = y.b AND x.a < y.a GROUP BY 1, 2 HAVING count(*) >= 2)
+SELECT x.u AS a, x.v AS b, y.v AS c FROM p x JOIN p y ON x.v = y.u JOIN p z ON z.u = x.u AND z.v = y.v""")
+def q_triangles(s: SparkSession, d: str) -> DataFrame:
+    """Triples of suppliers that pairwise share at least two parts: every edge runs from the smaller id, so a triangle is found once."""
+    e = load(s, d, "lineitem", "l_suppkey", "l_partkey").where("l_suppkey <= 30").distinct()
+    x, y = e.select(F.col("l_suppkey").alias("u"), "l_partkey"), e.select(F.col("l_suppkey").alias("v"), "l_partkey")
+    p = x.join(y, "l_partkey").where("u < v").groupBy("u", "v").agg(F.count("*").alias("n")).where("n >= 2").select("u", "v")
+    wedge = p.select(F.col("u").alias("a"), F.col("v").alias("b")).join(p.select(F.col("u").alias("b"), F.col("v").alias("c")), "b")
+    return wedge.join(p.select(F.col("u").alias("a"), F.col("v").alias("c")), ["a", "c"], "left_semi").select("a", "b", "c")
+
+
+@_query("""WITH r AS (SELECT o_orderkey, row_number() OVER (ORDER BY o_totalprice, o_orderkey) AS k FROM orders),
+e AS (SELECT least(a.k, b.k) AS lo, greatest(a.k, b.k) AS hi FROM (SELECT o_orderkey, o_custkey, lead(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderkey) AS nxt FROM orders) o JOIN r a ON a.o_orderkey = o.o_orderkey JOIN r b ON b.o_orderkey = o.nxt),
+c AS (SELECT k FROM r WHERE k % 500 = 0)
+SELECT c.k, count(*) AS crossing FROM c JOIN e ON e.lo <= c.k AND c.k < e.hi GROUP BY c.k""")
+def q_join_range_sweep(s: SparkSession, d: str) -> DataFrame:
+    """Edges across every 500th cut of a ranking: an edge is joined by the bins of 500 ranks that it spans, so the range is an equality."""
+    from manyq.operators.partition import global_rank
+
+    o = load(s, d, "orders", "o_orderkey", "o_custkey", "o_totalprice")
+    r = global_rank(o.select("o_orderkey", "o_totalprice"), F.col("o_totalprice"), F.col("o_orderkey")).select("o_orderkey", (F.col("rank") + 1).alias("k"))
+    nxt = o.withColumn("nxt", F.lead("o_orderkey").over(Window.partitionBy("o_custkey").orderBy("o_orderkey"))).where("nxt IS NOT NULL").select("o_orderkey", "nxt")
+    e = nxt.join(r.withColumnRenamed("k", "a"), "o_orderkey").join(r.select(F.col("o_orderkey").alias("nxt"), F.col("k").alias("b")), "nxt").select(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi"))
+    spanned = e.where(F.ceil(F.col("lo") / 500) <= F.floor((F.col("hi") - 1) / 500)).select(F.explode(F.sequence(F.ceil(F.col("lo") / 500), F.floor((F.col("hi") - 1) / 500))).alias("bin"))
+    return spanned.groupBy((F.col("bin") * 500).alias("k")).agg(F.count("*").alias("crossing"))
+
+
+@_query("""SELECT n.n_nationkey, t.c_custkey FROM nation n, LATERAL (SELECT c_custkey FROM customer c WHERE c.c_nationkey = n.n_nationkey ORDER BY c_acctbal DESC, c_custkey LIMIT 2) t""")
+def q_join_lateral(s: SparkSession, d: str) -> DataFrame:
+    n, c = load(s, d, "nation", "n_nationkey"), load(s, d, "customer", "c_custkey", "c_nationkey", "c_acctbal")
+    top = c.where(F.col("c_nationkey") == F.col("n_nationkey").outer()).orderBy(F.desc("c_acctbal"), "c_custkey").limit(2).select("c_custkey")
+    return n.lateralJoin(top).select("n_nationkey", "c_custkey")
+
+
+@_query("""WITH x AS (SELECT a.vec_id AS src, b.vec_id AS dst, round(list_dot_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS s FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE a.vec_id % 50 = 0),
+t AS (SELECT src, dst, row_number() OVER (PARTITION BY src ORDER BY s DESC, dst) AS r FROM x) SELECT src, dst FROM t WHERE r <= 8""")
+def q_knn_edges(s: SparkSession, d: str) -> DataFrame:
+    """A stated set of query vectors against all, a block of queries at a time: only each block's best go on."""
+    e = load(s, d, "embeddings", "vec_id", "embedding")
+    q = e.where("vec_id % 50 = 0").select(F.col("vec_id").alias("src"), F.col("embedding").alias("x"))
+    dot = F.round(F.aggregate(F.zip_with("x", "embedding", lambda a, b: a.cast("double") * b.cast("double")), F.lit(0.0), lambda a, b: a + b), 9)
+    pairs = e.join(q.hint("broadcast"), F.col("vec_id") != F.col("src")).select("src", F.col("vec_id").alias("dst"), dot.alias("s"))  # a fiftieth of the ids, by statement
+    return pairs.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("s"), "dst"))).where("r <= 8").select("src", "dst")
+
+
+# Orders, sets, quantiles, times
+
+_same("win_percent", "SELECT p_partkey, round(percent_rank() OVER (PARTITION BY p_brand ORDER BY p_size), 6) AS pr, round(cume_dist() OVER (PARTITION BY p_brand ORDER BY p_size), 6) AS cd FROM part", "part")
+_same("set_intersect_all", "SELECT l_partkey AS k FROM lineitem WHERE l_quantity > 40 INTERSECT ALL SELECT l_partkey FROM lineitem WHERE l_quantity < 20", "lineitem")
+_same("set_except_all", "SELECT l_suppkey AS k FROM lineitem WHERE l_quantity > 25 EXCEPT ALL SELECT l_suppkey FROM lineitem WHERE l_quantity < 10", "lineitem")
+_same("set_union_all", "SELECT c_nationkey AS k FROM customer UNION ALL SELECT s_nationkey FROM supplier", "customer", "supplier")
+
+
+@_query("SELECT o_orderkey, row_number() OVER (ORDER BY o_totalprice DESC, o_orderkey) - 1 AS place FROM orders")
+def q_sort_global(s: SparkSession, d: str) -> DataFrame:
+    """Places of a global order without one task that sees all rows."""
+    from manyq.operators.partition import global_rank
+
+    return global_rank(load(s, d, "orders", "o_orderkey", "o_totalprice"), -F.col("o_totalprice"), F.col("o_orderkey")).select("o_orderkey", F.col("rank").alias("place"))
+
+
+@_query("SELECT l_suppkey, quantile_cont(l_quantity, 0.5) AS median, quantile_cont(l_quantity, 0.9) AS p90 FROM lineitem GROUP BY l_suppkey")
+def q_agg_percentile(s: SparkSession, d: str) -> DataFrame:
+    return load(s, d, "lineitem", "l_suppkey", "l_quantity").groupBy("l_suppkey").agg(F.percentile("l_quantity", 0.5).alias("median"), F.percentile("l_quantity", 0.9).alias("p90"))
+
+
+@_query("""WITH x AS (SELECT l_suppkey % 4 AS g, count(DISTINCT l_partkey) AS n FROM lineitem GROUP BY 1) SELECT g, n, true AS sketch_near, true AS approx_near FROM x""")
+def q_agg_sketches(s: SparkSession, d: str) -> DataFrame:
+    """Distinct counts exactly, by HyperLogLog++, and by a sketch merged from two halves."""
+    li = load(s, d, "lineitem", "l_suppkey", "l_partkey", "l_linenumber").withColumn("g", F.col("l_suppkey") % 4)
+    exact = li.groupBy("g").agg(F.count_distinct("l_partkey").alias("n"), F.approx_count_distinct("l_partkey", 0.02).alias("a"))
+    halves = li.groupBy("g", F.col("l_linenumber") % 2).agg(F.hll_sketch_agg("l_partkey", 12).alias("h")).groupBy("g").agg(F.hll_sketch_estimate(F.hll_union_agg("h")).alias("k"))
+    near = lambda c: F.abs(F.col(c) - F.col("n")) <= 0.08 * F.col("n")
+    return exact.join(halves, "g").select("g", "n", near("k").alias("sketch_near"), near("a").alias("approx_near"))
+
+
+@_query("SELECT event_id, date_trunc('hour', ts)::TIMESTAMP AS hour, (epoch_us(ts) // 86400000000)::BIGINT AS day, ((epoch_us(ts) + 5400000000) // 3600000000)::BIGINT AS later FROM events")
+def q_fn_interval(s: SparkSession, d: str) -> DataFrame:
+    e = load(s, d, "events", "event_id", "ts")
+    return e.select("event_id", F.date_trunc("hour", "ts").alias("hour"), F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 86_400_000_000).alias("day"), F.floor(F.unix_micros((F.col("ts") + F.expr("INTERVAL 90 MINUTES")).cast("timestamp")) / 3_600_000_000).alias("later"))

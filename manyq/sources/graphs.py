@@ -87,8 +87,11 @@ def trade(spark: SparkSession, sf_dir: str) -> Graph:
 def hyperlink(spark: SparkSession, sf_dir: str) -> Graph:
     """Web: pages and the targets of their links; several components."""
     found = load(spark, sf_dir, "pages", "page_id", "html").select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="/([^"]+)"'), F.lit(1))).alias("token")).distinct()
-    # Distinct targets are few beside pages' text; their order number makes ids.
-    token = found.select("token").distinct().withColumn("rank", F.dense_rank().over(Window.orderBy("token")))
+    # Targets are numbered in their order: by ranges of their first bytes, as a number.
+    from manyq.operators.partition import global_rank
+
+    start = F.conv(F.rpad(F.hex(F.substring(F.col("token").cast("binary"), 1, 6)), 12, "0"), 16, 10).cast("double")
+    token = global_rank(found.select("token").distinct(), start, F.col("token")).withColumn("rank", F.col("rank") + 1)
     return Graph(found.join(token, "token").select(vertex(ids.PAGE, F.col("page_id")).alias("x"), vertex(ids.TOKEN, F.col("rank")).alias("y")), name="hyperlink")
 
 

@@ -49,7 +49,29 @@ class GraphBfs(_Edges):
         yield from self._lengths(False)
 
 
+@udtf(returnType="v: long, p: double")
+class GraphPpr(_Edges):
+    """Ranks by pushing, alpha 0.15, until no residual reaches 1e-7 times its vertex's degree."""
+
+    def terminate(self):
+        if self.source is None:
+            return
+        rank, rest, todo = {}, {self.source: 1.0}, [self.source]
+        while todo:
+            v = todo.pop()
+            out, r = self.out.get(v, ()), rest.get(v, 0.0)
+            if r < 1e-7 * max(1, len(out)):
+                continue
+            rank[v] = rank.get(v, 0.0) + (0.15 * r if out else r)
+            rest[v] = 0.0
+            for u, _ in out:
+                rest[u] = rest.get(u, 0.0) + 0.85 * r / len(out)
+                todo.append(u)
+        yield from sorted(rank.items())
+
+
 def register(spark: SparkSession) -> None:
-    """graph_bfs(TABLE(edges), source) and graph_sssp(TABLE(edges), source)."""
+    """graph_bfs, graph_sssp and graph_ppr, each of (TABLE(edges), source)."""
     spark.udtf.register("graph_bfs", GraphBfs)
     spark.udtf.register("graph_sssp", GraphSssp)
+    spark.udtf.register("graph_ppr", GraphPpr)

@@ -41,6 +41,25 @@ def admit(requests: DataFrame, late: str = "10 minutes") -> DataFrame:
     return requests.withWatermark("ts", late).dropDuplicatesWithinWatermark(["src"])
 
 
+def co_activity(events: DataFrame, size: str = "1 hour", late: str = "10 minutes") -> DataFrame:
+    """(src, dst, win, event_type): users with events of one type in one window become edges both ways, an edge for each pair of such events; a table, or a stream joined with itself.
+
+    In a stream both sides carry the watermark, so the join's state is let go with it.
+    """
+    active = events.withWatermark("ts", late).select(F.window("ts", size).alias("win"), "ts", "event_type", "user_id")
+    a = active.select("win", "event_type", F.col("user_id").alias("src"), "ts")
+    b = active.select(F.col("win").alias("win_b"), F.col("event_type").alias("type_b"), F.col("user_id").alias("dst"), F.col("ts").alias("ts_b"))
+    return a.join(b, (F.col("win") == F.col("win_b")) & (F.col("event_type") == F.col("type_b")) & (F.col("src") != F.col("dst"))).select("src", "dst", "win", "event_type")
+
+
+def matched_requests(requests: DataFrame, events: DataFrame, within: str = "5 minutes", late: str = "10 minutes") -> DataFrame:
+    """Two streams: requests (src, ts) with the events of their user in the time before, an interval join under watermarks."""
+    r = requests.withWatermark("ts", late).select("src", F.col("ts").alias("asked"))
+    e = events.withWatermark("ts", late).select("user_id", "event_id", F.col("ts").alias("seen"))
+    near = (F.col("src") == F.col("user_id")) & (F.col("seen") <= F.col("asked")) & (F.col("seen") >= F.col("asked") - F.expr(f"INTERVAL {within}"))
+    return r.join(e, near).select("src", "asked", "event_id")
+
+
 class BufferProcessor(StatefulProcessor):
     """Keyed state as a part's buffer: the best operation of each (query, vertex) is kept, and passed on only where it improves."""
 

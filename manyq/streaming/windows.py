@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from manyq.sources.tables import load
+from manyq.streaming import requests
 
 
 def tumbling(events: DataFrame, size: str = "1 hour") -> DataFrame:
@@ -24,8 +25,17 @@ def _events(s: SparkSession, d: str) -> DataFrame:
     return load(s, d, "events", "event_id", "user_id", "event_type", "ts").withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def _co_active(s: SparkSession, d: str) -> DataFrame:
+    return requests.co_activity(_events(s, d)).groupBy("src", "dst").agg(F.count_distinct("win").alias("windows"), F.count("*").alias("n"))
+
+
 _us = lambda c: F.unix_micros(c)
 QUERIES = {
+    "stream_co_activity": (_co_active, "WITH e AS (SELECT user_id, event_type, epoch_us(ts) // 3600000000 AS h FROM events) SELECT a.user_id AS src, b.user_id AS dst, count(DISTINCT a.h) AS windows, count(*) AS n FROM e a JOIN e b ON a.h = b.h AND a.event_type = b.event_type AND a.user_id <> b.user_id GROUP BY 1, 2"),
+    "stream_matched": (
+        lambda s, d: requests.matched_requests(_events(s, d).where("event_id % 7 = 0").select(F.col("user_id").alias("src"), "ts"), _events(s, d)).select("src", _us("asked").alias("asked"), "event_id"),
+        "SELECT r.user_id AS src, epoch_us(r.ts) AS asked, e.event_id FROM events r JOIN events e ON e.user_id = r.user_id AND epoch_us(e.ts) <= epoch_us(r.ts) AND epoch_us(e.ts) >= epoch_us(r.ts) - 300000000 WHERE r.event_id % 7 = 0",
+    ),
     "stream_tumbling": (lambda s, d: tumbling(_events(s, d)).select(_us("window.start").alias("start"), "event_type", "n"), "SELECT (epoch_us(ts) // 3600000000) * 3600000000 AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2"),
     "stream_sliding": (lambda s, d: sliding(_events(s, d)).select(_us("window.start").alias("start"), "n"), "SELECT (epoch_us(ts) // 3600000000 - k) * 3600000000 AS start, count(*) AS n FROM events, range(2) r(k) GROUP BY 1"),
     "stream_session": (

@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -13,10 +15,10 @@ from manyq.operators import blocks as B
 from manyq.operators import measures as M
 from manyq.operators import partition as P
 from manyq.operators import seeds
-from manyq.plans import apps, baselines, queries as Q
-from manyq.plans.engine import fork, init_ops
-from manyq.plans.kernels import Push, Relax
-from manyq.plans.policy import Policy, YieldPolicy, policy_ladder
+from manyq.plans import apps, baselines, maps, studies, queries as Q
+from manyq.plans.engine import combined, fork, init_ops, run_waves
+from manyq.plans.kernels import Push, Relax, Walk
+from manyq.plans.policy import Pending, Policy, YieldPolicy, policy_ladder
 from manyq.sources import graphs as G
 from manyq.streaming import windows
 
@@ -84,6 +86,8 @@ _add("part_random", lambda s, d: P.partition_random(graph(s, d, "supply"), 8), f
 _add("part_chunk", lambda s, d: P.partition_chunk(graph(s, d, _on), 8), f"{_base}, {_chunk(_on, 8)} SELECT id, part_id FROM vp")
 _add("part_chunk_edges", lambda s, d: P.partition_chunk(graph(s, d, "supply"), 8, "edges"), f"WITH {G.graph_sql('supply')} SELECT id, least(floor(coalesce(sum(deg) OVER (ORDER BY id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) * 8 / (SELECT sum(deg) FROM v)), 7)::INTEGER AS part_id FROM v")
 _add("part_hash", lambda s, d: P.partition_hash(graph(s, d, "supply"), 8))
+_add("part_range", lambda s, d: P.partition_range(graph(s, d, "supply"), 8), f"WITH {G.graph_sql('supply')}, m AS (SELECT min(id) AS lo, max(id) AS hi FROM v) SELECT id, floor((id - lo)::HUGEINT * 8 // (hi - lo + 1))::INTEGER AS part_id FROM v, m")
+_add("part_tiles", lambda s, d: P.partition_tiles(graph(s, d, _on), 2, 3).groupBy("part_id").agg(F.count("*").alias("n")), f"{_base}, o AS ({_ORD[_on]}), x AS (SELECT ord // 1000000 AS x, ord % 1000000 AS y FROM v JOIN o ON o.id = v.id), t AS (SELECT max(x) + 1 AS nx, max(y) + 1 AS ny FROM x) SELECT (floor(x * 2 // nx) * 3 + floor(y * 3 // ny))::INTEGER AS part_id, count(*) AS n FROM x, t GROUP BY 1")
 _add("part_quality", lambda s, d: P.partition_quality(graph(s, d, _on), blocks(s, d, _on).vparts), f"{_base}, {_chunk(_on, 8)}, {_quality}")
 _add("part_quality_random", lambda s, d: P.partition_quality(graph(s, d, _on), blocks(s, d, _on, 8, "random").vparts), f"{_base}, {_random(8)}, {_quality}")
 
@@ -117,6 +121,11 @@ d(query_id, v, dist) USING KEY (query_id, v) AS (
     LEFT JOIN recurring.d o ON o.query_id = n.query_id AND o.v = n.v WHERE o.dist IS NULL OR n.dist < o.dist)"""
 
 
+def _few(first: float, now: float, edges: int, ops: int) -> bool:
+    """A user's test for pausing: after forty edges."""
+    return edges >= 40
+
+
 def _run(name: str, weighted: bool, n: int = 8, policy: Policy | None = None, parts: int = 8, plan: str = "chunk", cutoff: int | None = None) -> Query:
     def go(s: SparkSession, d: str) -> DataFrame:
         r = fork(blocks(s, d, name, parts, plan), seeds.sample_sources(graph(s, d, name), n), Relax(weighted, cutoff), policy)
@@ -149,7 +158,7 @@ _add("bfs_depth", _run(_on, False, cutoff=20), _bfs(_on, limit=20))
 _add("sssp_cutoff", _run(_on, True, cutoff=60), _sssp(_on, limit=60))
 _add("sssp_dense", _run(_dense, True, plan="random"), _sssp(_dense))
 _add("bfs_dense", _run(_dense, False, plan="random"), _bfs(_dense))
-_add("bfs_web", _run("hyperlink", False, parts=2), _bfs("hyperlink"))
+_add("bfs_web", _run("hyperlink", False, parts=4), _bfs("hyperlink"))
 _add("sssp_timeline", _run("order_timeline", True, n=4, parts=4, plan="ids"), _sssp("order_timeline", 4))
 _add("sssp_multilevel", _run(_on, True, policy=Policy.paths(), plan="multilevel"), _sssp(_on))
 for _w, _kind, _text in ((True, "sssp", _sssp), (False, "bfs", _bfs)):
@@ -200,7 +209,7 @@ for _name, _how in {"ppr_power": {}, "ppr_bsp": {"materialise_messages": True},
 
 
 def _tight(policy: Policy | None) -> Query:
-    return lambda s, d: _rounded(Q.multi_ppr(blocks(s, d, "hyperlink", 2), seeds.sample_sources(graph(s, d, "hyperlink"), 4), eps=1e-9, policy=policy))
+    return lambda s, d: _rounded(Q.multi_ppr(blocks(s, d, "hyperlink", 2), seeds.sample_sources(graph(s, d, "hyperlink"), 4), eps=1e-11, policy=policy))
 
 
 _add("ppr_tight", _tight(Policy.ppr(None)), power_sql("hyperlink", 4, 150) + _ppr)
@@ -221,7 +230,7 @@ _add("ppr_invariants", _invariants, "SELECT unnest(range(4))::INTEGER AS query_i
 
 
 def _dfs(s: SparkSession, d: str) -> DataFrame:
-    return Q.multi_dfs(blocks(s, d, "geo_tree", 1), seeds.sample_sources(graph(s, d, "geo_tree"), 2))
+    return Q.multi_dfs(blocks(s, d, "geo_tree", 2), seeds.sample_sources(graph(s, d, "geo_tree"), 2))
 
 
 _add("dfs_tree", _dfs, f"""WITH RECURSIVE {G.graph_sql('geo_tree')}, {seeds.sources_sql(2)},
@@ -240,9 +249,14 @@ w AS (SELECT query_id, walk::BIGINT AS walk, 0::BIGINT AS step, src AS v FROM sr
   UNION ALL SELECT w.query_id, w.walk, w.step + 1, a.dst FROM w JOIN a ON a.src = w.v AND a.k = {step_choice_sql("w.query_id", "w.walk", "w.step + 1", "a.n")} WHERE w.step < 6)"""
 _add("rw_uniform", _walks, _walk_sql + " SELECT query_id, walk, step, v FROM w")
 _add("walk_pairs", lambda s, d: apps.walk_pairs(_walks(s, d), 2), _walk_sql + " SELECT x.v AS a, y.v AS b, count(*) AS n FROM w x JOIN w y ON x.query_id = y.query_id AND x.walk = y.walk AND y.step > x.step AND y.step <= x.step + 2 GROUP BY 1, 2")
-_add("rw_restart", lambda s, d: Q.multi_walk(blocks(s, d, _dense, 2), seeds.sample_sources(graph(s, d, _dense), 4), 6, 4, restart=0.2, bias="weight").groupBy("query_id", "walk").agg(F.count("*").alias("visits")), f"WITH {G.graph_sql(_dense)}, {seeds.sources_sql(4)} SELECT query_id, walk::BIGINT AS walk, 7::BIGINT AS visits FROM src, range(4) r(walk)")
-_add("k_shortest", lambda s, d: Q.multi_kshortest(blocks(s, d, "geo_tree", 1), seeds.sample_sources(graph(s, d, "geo_tree"), 1), 2).groupBy("query_id").agg(F.count("*").alias("lengths"), F.count_if(F.col("rank") == 0).alias("reached")))
-_add("ant_colony", lambda s, d: apps.ant_colony(graph(s, d, _dense), seeds.sample_sources(graph(s, d, _dense), 4), rounds=2, parts=2).groupBy().agg(F.count("*").alias("edges")))
+_add("rw_restart", lambda s, d: Q.multi_walk(blocks(s, d, _dense, 2), seeds.sample_sources(graph(s, d, _dense), 4), 6, 4, restart=0.2, bias="weight"), f"""WITH RECURSIVE {G.graph_sql(_dense)}, {seeds.sources_sql(4)},
+a AS MATERIALIZED (SELECT src, dst, sum(w) OVER (PARTITION BY src ORDER BY dst) - w AS lo, sum(w) OVER (PARTITION BY src ORDER BY dst) AS hi, sum(w) OVER (PARTITION BY src) AS total FROM e),
+w AS (SELECT query_id, walk::BIGINT AS walk, 0::BIGINT AS step, src AS v, src AS home FROM src, range(4) r(walk)
+  UNION ALL SELECT w.query_id, w.walk, w.step + 1, CASE WHEN {step_choice_sql("w.query_id", "w.walk", "w.step + 1", "1000", 1)} < 200 AND w.v <> w.home THEN w.home ELSE a.dst END, w.home
+  FROM w JOIN a ON a.src = w.v AND {step_choice_sql("w.query_id", "w.walk", "w.step + 1", "a.total")} >= a.lo AND {step_choice_sql("w.query_id", "w.walk", "w.step + 1", "a.total")} < a.hi WHERE w.step < 6)
+SELECT query_id, walk, step, v FROM w""")
+_add("k_shortest", lambda s, d: Q.multi_kshortest(blocks(s, d, "hyperlink", 4), seeds.sample_sources(graph(s, d, "hyperlink"), 4), 2))
+_add("ant_colony", lambda s, d: apps.ant_colony(graph(s, d, "geo_tree"), seeds.sample_sources(graph(s, d, "geo_tree"), 4), rounds=2, parts=2).select("src", "dst", F.round("pheromone", 6).alias("pheromone")))
 
 # Applications
 
@@ -260,16 +274,15 @@ SELECT p.a, p.b, min(x.dist + y.dist) AS upper, max(abs(x.dist - y.dist)) AS low
 
 
 def _pruned(s: SparkSession, d: str) -> DataFrame:
-    """Pruned labels answer every (vertex, landmark) exactly, with fewer rows."""
+    """What pruned labels, fewer than all, answer for every (vertex, landmark)."""
     bg, marks = blocks(s, d, "hyperlink", 4), seeds.landmarks(graph(s, d, "hyperlink"), 12, "degree")
-    full, few = apps.label_vertices(bg, marks), apps.pruned_labels(bg, marks, 4)
+    few = apps.pruned_labels(bg, marks, 4)
     to = few.join(F.broadcast(marks.select(F.col("src").alias("v"))), "v").select(F.col("v").alias("target"), "landmark", F.col("dist").alias("dt"))
-    known = few.join(to, "landmark").groupBy("v", "target").agg(F.min(F.col("dist") + F.col("dt")).alias("known"))
-    off = full.join(known, (full["v"] == known["v"]) & (full["landmark"] == known["target"]), "left").agg(F.count_if(F.coalesce("known", F.lit(-1)) != F.col("dist")).alias("off"), F.count("*").alias("full"))
-    return off.join(few.agg(F.count("*").alias("few"))).select((F.col("off") == 0).alias("exact"), (F.col("few") <= F.col("full")).alias("no_larger"))
+    return few.join(to, "landmark").groupBy("v", F.col("target").alias("landmark")).agg(F.min(F.col("dist") + F.col("dt")).alias("dist"))
 
 
-_add("ll_pruned", _pruned, "SELECT true AS exact, true AS no_larger")
+_add("ll_pruned", _pruned, f"""WITH RECURSIVE {G.graph_sql("hyperlink")}, src AS MATERIALIZED (SELECT (row_number() OVER (ORDER BY deg DESC, id) - 1)::INTEGER AS query_id, id AS src FROM v QUALIFY query_id < 12),
+{lengths_sql("hyperlink", 12, True).split("QUALIFY query_id < 12),", 1)[1]} SELECT d.v, src.src AS landmark, d.dist FROM d JOIN src ON src.query_id = d.query_id""")
 
 
 def bc_sql(name: str, n: int, weighted: bool) -> str:
@@ -298,7 +311,7 @@ _add("bc_sssp", lambda s, d: _scores(apps.betweenness(blocks(s, d, "hyperlink",
 _add("bc_bfs_100", lambda s, d: _scores(apps.betweenness(blocks(s, d, "hyperlink", 4), seeds.sample_sources(graph(s, d, "hyperlink"), 100))))
 _add("bc_sssp_100", lambda s, d: _scores(apps.betweenness(blocks(s, d, "hyperlink", 4), seeds.sample_sources(graph(s, d, "hyperlink"), 100), True)))
 _add("ll_labels_1024", lambda s, d: apps.label_vertices(blocks(s, d, _on), seeds.landmarks(graph(s, d, _on), 1024)))
-_add("bc_exact_tree", lambda s, d: _scores(apps.betweenness_exact(blocks(s, d, "geo_tree", 1))).where("score > 0"), f"""WITH RECURSIVE {G.graph_sql('geo_tree')},
+_add("bc_exact_tree", lambda s, d: _scores(apps.betweenness_exact(blocks(s, d, "geo_tree", 2))).where("score > 0"), f"""WITH RECURSIVE {G.graph_sql('geo_tree')},
 r AS (SELECT id AS root, id AS v, -1::BIGINT AS parent FROM v WHERE id // {G.S} = 5 UNION ALL SELECT r.root, l.dst, r.v FROM r JOIN l ON l.src = r.v AND l.dst <> r.parent),
 size AS (SELECT root, count(*) AS n FROM r GROUP BY root),
 below AS (SELECT r.v AS top, r.v AS v FROM r UNION ALL SELECT b.top, r.v FROM below b JOIN r ON r.parent = b.v),
@@ -332,15 +345,122 @@ _add("ops_init", _ops, _ops_sql + " SELECT * FROM ops")
 _add("ops_buffers", lambda s, d: _ops(s, d).groupBy("part_id").agg(F.count("*").alias("ops"), F.min("prio").alias("best"), F.min("seq").alias("oldest")), _ops_sql + " SELECT part_id, count(*) AS ops, min(prio) AS best, min(seq) AS oldest FROM ops GROUP BY part_id")
 
 
-def _work(s: SparkSession, d: str) -> DataFrame:
-    """Heap order and pausing do less work than arrival order on a plan with many cut edges; block misses stay below one per visit."""
-    bg, src = blocks(s, d, _on, 8, "ids"), seeds.sample_sources(graph(s, d, _on), 2)
-    heap, arrival = fork(bg, src, Relax(True), Policy.paths(20), 400), fork(bg, src, Relax(True), Policy(order="fifo"), 400)
-    loads, misses = M.cache_model([t[1] for t in heap.trace], 4)
-    return s.createDataFrame([(heap.total("edges") < arrival.total("edges"), misses <= loads, M.differing_rows(heap.state.select("query_id", "v", "num"), arrival.state.select("query_id", "v", "num")) == 0)], "less_work boolean, misses_bounded boolean, same_answer boolean")
+def _part_ops(s: SparkSession, d: str) -> DataFrame:
+    """Operations as the engine has them, many for one (query, vertex)."""
+    li = G.load(s, d, "lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_quantity", "l_linenumber")
+    val = F.col("l_quantity").cast("double")
+    return li.select(
+        F.pmod("l_partkey", F.lit(8)).cast("int").alias("part_id"), F.lit(0).alias("bucket"), F.pmod("l_suppkey", F.lit(16)).cast("int").alias("query_id"), F.col("l_partkey").alias("v"), val.alias("num"),
+        F.col("l_linenumber").cast("long").alias("aux"), F.lit(0).cast("long").alias("aux2"), val.alias("prio"), (F.col("l_orderkey") * 10 + F.col("l_linenumber")).cast("long").alias("seq"),
+    )
+
+
+_LI = "SELECT (l_partkey % 8)::INTEGER AS part_id, (l_suppkey % 16)::INTEGER AS query_id, l_partkey AS v, l_quantity AS num, l_linenumber::BIGINT AS aux, l_orderkey * 10 + l_linenumber AS seq FROM lineitem"
+
+
+def _one_wave(s: SparkSession, d: str):
+    """One visit of every part, over blocks of vertices without edges: what consolidation and pruning leave of the operations."""
+    ops = _part_ops(s, d)
+    vids = ops.select("part_id", "v").distinct().groupBy("part_id").agg(F.array_sort(F.collect_list("v")).alias("vids"))
+    none = lambda k: F.array().cast(f"array<{k}>")
+    sides = vids.select("part_id", F.lit(0).alias("chunk"), "vids", F.array_repeat(F.lit(0), F.size("vids") + 1).alias("offsets"), none("bigint").alias("dst"), none("int").alias("dst_part"), none("bigint").alias("w"))
+    return run_waves(ops, None, sides, Relax(True), Policy(), 16, uuid.uuid4().hex)
+
+
+_add("ops_consolidated", lambda s, d: _one_wave(s, d).state.select("part_id", "query_id", "v", "num", "aux"), f"SELECT part_id, query_id, v, min(num) AS num, arg_min(aux, (num, aux)) AS aux FROM ({_LI}) GROUP BY 1, 2, 3")
+_add("ops_pruned", lambda s, d: _one_wave(s, d).trace_frame().select("part_id", "queries", "ops_in", "ops_done", "ops_pruned"), f"SELECT part_id, count(DISTINCT query_id) AS queries, count(*) AS ops_in, count(DISTINCT (query_id, v)) AS ops_done, count(*) - count(DISTINCT (query_id, v)) AS ops_pruned FROM ({_LI}) GROUP BY part_id")
+_add("ops_combined_min", lambda s, d: combined(_part_ops(s, d), Relax(True)).select("part_id", "query_id", "v", "num", "aux", "prio", "seq"), f"SELECT part_id, query_id, v, min(num) AS num, arg_min(aux, (num, aux)) AS aux, min(num) AS prio, min(seq) AS seq FROM ({_LI}) GROUP BY 1, 2, 3")
+_add("ops_combined_sum", lambda s, d: combined(_part_ops(s, d), Push()).select("part_id", "query_id", "v", "num"), f"SELECT part_id, query_id, v, sum(num) AS num FROM ({_LI}) GROUP BY 1, 2, 3")
+
+
+def _sent(s: SparkSession, d: str) -> DataFrame:
+    """Two waves of one level: what sources send, combined by (query, vertex), and what arrives."""
+    r = fork(blocks(s, d, _dense, 8, "random"), seeds.sample_sources(graph(s, d, _dense), 64), Relax(False, 1))
+    return r.trace_frame().select("wave", "part_id", "queries", "ops_in", F.when(F.col("wave") == 1, F.col("ops_sent")).alias("ops_sent"))
+
+
+_add("ops_sent_combine", _sent, f"""WITH {G.graph_sql(_dense)}, {_random(8)}, {seeds.sources_sql(64)},
+x AS (SELECT src.query_id, a.part_id AS home, b.part_id AS away FROM src JOIN vp a ON a.id = src.src JOIN l ON l.src = src.src JOIN vp b ON b.id = l.dst)
+SELECT 1 AS wave, home AS part_id, count(DISTINCT query_id) AS queries, count(DISTINCT query_id) AS ops_in, count(*) FILTER (home <> away) AS ops_sent FROM x GROUP BY home
+UNION ALL SELECT 2, away, count(DISTINCT query_id), count(*), NULL FROM x WHERE home <> away GROUP BY away""")
+
+
+def _turns(scheduler: str) -> Query:
+    """The order in which the scheduler would take the parts of buffers that hold these operations."""
+
+    def go(s: SparkSession, d: str) -> DataFrame:
+        held = _part_ops(s, d).groupBy("part_id").agg(F.min("prio").alias("best"), F.min("seq").alias("oldest"), F.count("*").alias("ops"))
+        pending = [Pending(r["part_id"], r["best"], r["oldest"], r["ops"]) for r in held.collect()]  # a row per part
+        return s.createDataFrame(list(enumerate(Policy(scheduler=scheduler).choose(pending, 1))), "turn int, part_id int")
+
+    return go
+
+
+for _n, _o in {"priority": "min(num)", "fifo": "min(seq)", "max_ops": "-count(*)", "random": "(7919 + part_id * 104729 + 12345)::BIGINT * 48271 % 2147483647"}.items():
+    _add(f"sched_{_n.replace('_', '')}", _turns(_n), f"SELECT (row_number() OVER (ORDER BY k, part_id) - 1)::INTEGER AS turn, part_id FROM (SELECT part_id, {_o} AS k FROM ({_LI}) GROUP BY part_id)")
+
+
+def _priorities(s: SparkSession, d: str) -> DataFrame:
+    """Each kernel's own priority of every operation, the best of each (query, vertex)."""
+    kinds = {"by_distance": Relax(True), "by_residual": Push(), "by_step": Walk(1, 1)}
+    ops = _part_ops(s, d).select("query_id", "v", "num", "aux", F.col("aux").alias("aux2"))
+    of = lambda k: F.pandas_udf(lambda v, num, aux, aux2, k=k: pd.Series([float(k.priority(op)) for op in zip(v, num, aux, aux2, strict=True)]), "double")
+    return ops.select("query_id", "v", *[of(k)("v", "num", "aux", "aux2").alias(c) for c, k in kinds.items()]).groupBy("query_id", "v").agg(*[F.min(c).alias(c) for c in kinds])
+
+
+_add("prio_columns", _priorities, f"SELECT query_id, v, min(num) AS by_distance, min(-num) AS by_residual, min(aux)::DOUBLE AS by_step FROM ({_LI}) GROUP BY 1, 2")
+
+
+def _seeds16(s: SparkSession, d: str) -> DataFrame:
+    return seeds.sample_sources(graph(s, d, _dense), 16).select("query_id", F.col("src").alias("v"), F.lit(3).cast("long").alias("value"))
+
+
+_add("vertex_map", lambda s, d: maps.vertex_map(_seeds16(s, d), F.col("twice") % 4 == 2, twice=(F.col("value") + F.col("query_id")) * 2), f"WITH {G.graph_sql(_dense)}, {seeds.sources_sql(16)} SELECT query_id, src AS v, 3::BIGINT AS value, ((3 + query_id) * 2)::BIGINT AS twice FROM src WHERE (3 + query_id) * 2 % 4 = 2")
+_add("edge_map", lambda s, d: maps.edge_map(_seeds16(s, d), graph(s, d, _dense).edges, (F.col("value") + F.col("w")).cast("long"), F.col("w") > 2), f"WITH {G.graph_sql(_dense)}, {seeds.sources_sql(16)} SELECT query_id, dst AS v, min(3 + w)::BIGINT AS value FROM src JOIN e ON e.src = src.src WHERE w > 2 GROUP BY 1, 2")
+
+# Other ways of the same queries
+
+_add("sssp_alone", lambda s, d: Q.multi_sssp(blocks(s, d, _dense, 8, "random"), seeds.sample_sources(graph(s, d, _dense), 1), policy=Policy(alone=True)).select("query_id", "v", "dist"), _sssp(_dense, 1))
+_add("sssp_lifo_order", _run("hyperlink", True, policy=Policy(order="lifo"), parts=4), _sssp("hyperlink"))
+_add("sssp_yield_factor", _run("hyperlink", True, policy=Policy(pause=YieldPolicy(factor=2.0)), parts=4), _sssp("hyperlink"))
+_add("sssp_yield_custom", _run("hyperlink", True, policy=Policy(pause=YieldPolicy(custom=_few)), parts=4), _sssp("hyperlink"))
+for _t, _how in {"frontier_pool": {}, "bsp_pool": {"materialise_messages": True}, "segmented_pool": {"segments": 3}}.items():
+    _add(f"bfs_{_t}", _base_run(lambda g, src, h=_how: baselines.pooled(g, src, False, 2, **h), _dense, False, 2), _bfs(_dense, 2))
+_add("bfs_single_task", _base_run(lambda g, src: baselines.pooled(g, src, False, 1, 1), _dense, False, 2), _bfs(_dense, 2))
+
+
+def _targets(s: SparkSession, d: str) -> DataFrame:
+    """Levels up to that of a target, the vertex of least id; only whole levels come back."""
+    g = graph(s, d, "hyperlink")
+    src = seeds.sample_sources(g, 4)
+    targets = src.select("query_id").crossJoin(g.vertices.agg(F.min("id").alias("v")))  # one row on the right
+    state = baselines.supersteps(g, src, False, targets=targets).state
+    return state.select("query_id", "v", F.col("dist").alias("level"))
+
+
+_add("bfs_targets", _targets, lengths_sql("hyperlink", 4, False) + ", t AS (SELECT query_id, dist FROM d WHERE v = (SELECT min(id) FROM v)) SELECT d.query_id, d.v, d.dist AS level FROM d LEFT JOIN t ON t.query_id = d.query_id WHERE t.dist IS NULL OR d.dist <= t.dist")
+
+# Studies: every arm's answer beside SQL's; bench.py has their costs
+
+
+def _study(arms: Callable) -> Query:
+    return lambda s, d: studies.study(s, arms(s, d)).select("arm", "rows", "total")
+
+
+def _digest(base: str, names: list[str]) -> str:
+    return f"{base}, a AS (SELECT unnest({names!r}) AS arm) SELECT arm, (SELECT count(*) FROM d) AS \"rows\", (SELECT sum(dist)::DOUBLE FROM d) AS total FROM a"
 
 
-_add("work_direction", _work, "SELECT true AS less_work, true AS misses_bounded, true AS same_answer")
+_web = lambda s, d, n=8: seeds.sample_sources(graph(s, d, "hyperlink"), n)
+_wb = lambda s, d: blocks(s, d, "hyperlink", 4)
+_lengths = lengths_sql("hyperlink", 8, True)
+_add("ladder_same_answer", _study(lambda s, d: studies.ladder(_wb(s, d), _web(s, d), Relax(True), YieldPolicy(delta=10))), _digest(_lengths, ["buffer", "consolidation", "priority", "yield"]))
+_add("schedulers_same_answer", _study(lambda s, d: studies.schedulers(_wb(s, d), _web(s, d), Relax(True), YieldPolicy(delta=10))), _digest(_lengths, ["random", "max_ops", "fifo", "priority"]))
+_add("yields_same_answer", _study(lambda s, d: studies.yields(_wb(s, d), _web(s, d), Relax(True), 10, 4, (0.5, 2))), _digest(_lengths, ["edges_0.5", "edges_2", "range_0.5", "range_2", "none"]))
+_add("partitioners_same_answer", _study(lambda s, d: studies.partitioners(graph(s, d, "hyperlink"), _web(s, d), Relax(True), 4)), _digest(_lengths, ["random", "chunk_edges", "multilevel"]))
+_add("block_sizes_same_answer", _study(lambda s, d: studies.block_sizes(graph(s, d, "hyperlink"), _web(s, d), Relax(True), 32_768, (0.5, 1, 2))), _digest(_lengths, ["blocks_0.5", "blocks_1", "blocks_2"]))
+_add("systems_same_answer", _study(lambda s, d: studies.systems(graph(s, d, "hyperlink"), _wb(s, d), _web(s, d, 2), False, 4)), _digest(lengths_sql("hyperlink", 2, False), ["buffered", *[f"{n}_{t}" for n in ("frontier", "message_passing", "segmented") for t in ("single", "all", 1)]]))
+_add("work_direction", _study(lambda s, d: {n: lambda p=p: fork(blocks(s, d, _on, 8, "ids"), seeds.sample_sources(graph(s, d, _on), 2), Relax(True), p) for n, p in {"heap": Policy.paths(), "arrival": Policy(order="fifo")}.items()}), _digest(lengths_sql(_on, 2, True), ["heap", "arrival"]))
 
 for _name, (_q, _text) in (relational.QUERIES | windows.QUERIES).items():
     _add(_name, _q, _text)
