@@ -451,15 +451,15 @@ def _digest(base: str, names: list[str]) -> str:
     return f"{base}, a AS (SELECT unnest({names!r}) AS arm) SELECT arm, (SELECT count(*) FROM d) AS \"rows\", (SELECT sum(dist)::DOUBLE FROM d) AS total FROM a"
 
 
-_web = lambda s, d, n=8: seeds.sample_sources(graph(s, d, "hyperlink"), n)
-_wb = lambda s, d: blocks(s, d, "hyperlink", 4)
-_lengths = lengths_sql("hyperlink", 8, True)
-_add("ladder_same_answer", _study(lambda s, d: studies.ladder(_wb(s, d), _web(s, d), Relax(True), YieldPolicy(delta=10))), _digest(_lengths, ["buffer", "consolidation", "priority", "yield"]))
-_add("schedulers_same_answer", _study(lambda s, d: studies.schedulers(_wb(s, d), _web(s, d), Relax(True), YieldPolicy(delta=10))), _digest(_lengths, ["random", "max_ops", "fifo", "priority"]))
+_web = lambda s, d, n=8: seeds.sample_sources(graph(s, d, "geo_tree"), n)
+_wb = lambda s, d: blocks(s, d, "geo_tree", 4, "ids")
+_lengths = lengths_sql("geo_tree", 8, True)
+_add("ladder_same_answer", _study(lambda s, d: studies.ladder(_wb(s, d), _web(s, d), Relax(True), YieldPolicy(delta=10), 2)), _digest(_lengths, ["buffer", "consolidation", "priority", "yield"]))
+_add("schedulers_same_answer", _study(lambda s, d: studies.schedulers(_wb(s, d), _web(s, d), Relax(True), YieldPolicy(delta=10), 2)), _digest(_lengths, ["random", "max_ops", "fifo", "priority"]))
 _add("yields_same_answer", _study(lambda s, d: studies.yields(_wb(s, d), _web(s, d), Relax(True), 10, 4, (0.5, 2))), _digest(_lengths, ["edges_0.5", "edges_2", "range_0.5", "range_2", "none"]))
-_add("partitioners_same_answer", _study(lambda s, d: studies.partitioners(graph(s, d, "hyperlink"), _web(s, d), Relax(True), 4)), _digest(_lengths, ["random", "chunk_edges", "multilevel"]))
-_add("block_sizes_same_answer", _study(lambda s, d: studies.block_sizes(graph(s, d, "hyperlink"), _web(s, d), Relax(True), 32_768, (0.5, 1, 2))), _digest(_lengths, ["blocks_0.5", "blocks_1", "blocks_2"]))
-_add("systems_same_answer", _study(lambda s, d: studies.systems(graph(s, d, "hyperlink"), _wb(s, d), _web(s, d, 2), False, 4)), _digest(lengths_sql("hyperlink", 2, False), ["buffered", *[f"{n}_{t}" for n in ("frontier", "message_passing", "segmented") for t in ("single", "all", 1)]]))
+_add("partitioners_same_answer", _study(lambda s, d: studies.partitioners(graph(s, d, "geo_tree"), _web(s, d), Relax(True), 4)), _digest(_lengths, ["random", "chunk_edges", "multilevel"]))
+_add("block_sizes_same_answer", _study(lambda s, d: studies.block_sizes(graph(s, d, "geo_tree"), _web(s, d), Relax(True), 32_768, (0.5, 1, 2))), _digest(_lengths, ["blocks_0.5", "blocks_1", "blocks_2"]))
+_add("systems_same_answer", _study(lambda s, d: studies.systems(graph(s, d, "geo_tree"), _wb(s, d), _web(s, d, 2), False, 4)), _digest(lengths_sql("geo_tree", 2, False), ["buffered", *[f"{n}_{t}" for n in ("frontier", "message_passing", "segmented") for t in ("single", "all", 1)]]))
 _add("work_direction", _study(lambda s, d: {n: lambda p=p: fork(blocks(s, d, _on, 8, "ids"), seeds.sample_sources(graph(s, d, _on), 2), Relax(True), p) for n, p in {"heap": Policy.paths(), "arrival": Policy(order="fifo")}.items()}), _digest(lengths_sql(_on, 2, True), ["heap", "arrival"]))
 
 for _name, (_q, _text) in (relational.QUERIES | windows.QUERIES).items():
