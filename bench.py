@@ -7,6 +7,7 @@ from __future__ import annotations
 
 import json
 import os
+import sys
 import time
 
 from pyspark.sql import SparkSession
@@ -36,6 +37,7 @@ def main() -> None:
         if hasattr(out, "write"):
             out.write.format("noop").mode("overwrite").save()
         took[name] = round(time.time() - began, 2)
+        print(name, took[name], file=sys.stderr, flush=True)
         return out
 
     road, social = graphs.event_grid(spark, sf_dir), graphs.trade(spark, sf_dir)

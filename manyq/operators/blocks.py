@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from manyq.operators.partition import partition_chunk
-from manyq.sources.graphs import Graph
+from manyq.sources.graphs import Graph, settled
 from manyq.sources.tables import epoch
 
 
@@ -50,6 +50,7 @@ def _pack(rows: pa.Table) -> pa.Table:
 
 def blocked(g: Graph, vparts: DataFrame | None = None, parts: int = 8) -> BlockedGraph:
     """Partition (chunks of the vertex order unless given) and pack, both written once."""
+    settled(g)
     vparts = epoch(vparts if vparts is not None else partition_chunk(g, parts), "vparts")
     blocks = epoch(pack_blocks(g, vparts), "blocks")
     return BlockedGraph(g, vparts, blocks, vparts.agg(F.max("part_id")).first()[0] + 1 if g.n_vertices else 0)

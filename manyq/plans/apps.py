@@ -149,6 +149,7 @@ def ant_colony(g: Graph, sources: DataFrame, rounds: int = 3, length: int = 8, a
     base = epoch(g.edges.select("src", "dst", "w", F.lit(100.0).alias("pheromone")), "pheromone")
     for i in range(rounds):
         weighed = Graph(g.pairs, g.orders, g.directed, g.unit, f"{g.name}-ants{i}")
+        weighed._cache["own_edges"] = True
         weighed.__dict__["edges"] = base.select("src", "dst", F.greatest(F.lit(1), F.col("pheromone").cast("long")).alias("w"))
         bg = blocked(weighed, parts=parts)
         walks = multi_walk(bg, sources, length, ants, bias="weight", seed=i)

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from manyq.functions import ids
 from manyq.functions.ids import vertex
-from manyq.sources.tables import load
+from manyq.sources.tables import epoch, load
 
 
 @dataclass
@@ -47,6 +47,18 @@ class Graph:
         return out.join(self.orders, "id", "left").select("id", "deg", F.coalesce("ord", "id").alias("ord"))
 
 
+def settled(g: Graph) -> Graph:
+    """g with its links and vertices written once, so that plans, weights and sources do not derive them from the tables again."""
+    if not g._cache.get("settled"):
+        g.__dict__["links"] = epoch(g.links, "links")
+        g.__dict__.pop("vertices", None)
+        g.__dict__["vertices"] = epoch(g.vertices, "vertices")
+        if "edges" in g.__dict__ and not g._cache.get("own_edges"):
+            g.__dict__.pop("edges")
+        g._cache["settled"] = True
+    return g
+
+
 def symmetrise(pairs: DataFrame) -> DataFrame:
     """Both directions of (x, y), once each, without loops."""
     both = pairs.select(F.col("x").alias("src"), F.col("y").alias("dst")).unionByName(pairs.select(F.col("y").alias("src"), F.col("x").alias("dst")))
