@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import heapq
 import math
 
 from pyspark.sql import Column, DataFrame, Window
@@ -73,48 +74,64 @@ def partition_tiles(g: Graph, rows: int, columns: int, stride: int = 1_000_000)
     return at.select("id", (F.floor(F.col("x") * rows / F.col("nx")) * columns + F.floor(F.col("y") * columns / F.col("ny"))).cast("int").alias("part_id"))
 
 
-def partition_multilevel(g: Graph, p: int, levels: int = 24, imbalance: float = 0.2, sweeps: int = 4, coarse_rows: int = 4000) -> DataFrame:
-    """Few edges across parts: match neighbours and merge them level by level, split the small graph that is left, refine on the way back.
+def partition_multilevel(g: Graph, p: int, levels: int = 64, imbalance: float = 0.2, sweeps: int = 2, coarse_rows: int = 4000) -> DataFrame:
+    """Few edges across parts: merge neighbours level by level, split the small graph that is left, refine on the way back.
 
-    Matching and refinement are joins and grouped sums; only the coarsest graph, of at most coarse_rows clusters, is split on
-    the driver. A graph that does not shrink to that raises.
+    Merging and refinement are joins and grouped sums; only the coarsest graph, of at most coarse_rows or 8 clusters a part, is
+    split on the driver. A graph that does not shrink to that raises.
     """
     links = epoch(g.links.where("src < dst").select(F.col("src").alias("u"), F.col("dst").alias("v"), F.lit(1).cast("long").alias("w")), "cut")
     size = epoch(g.vertices.select(F.col("id").alias("u"), F.lit(1).cast("long").alias("size")), "size")
     maps: list[DataFrame] = []
     graphs = [(links, size)]
     most = max(1.0, g.n_vertices / p / 4)
+    clusters = g.n_vertices
     for level in range(levels):
-        links, size = graphs[-1]
-        if size.count() <= max(coarse_rows // 4, 8 * p):
+        if clusters <= max(coarse_rows // 4, 8 * p):
             break
-        both = links.unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v"), "w"))
-        sized = both.join(size, "u").join(size.select(F.col("u").alias("v"), F.col("size").alias("size_v")), "v").where(F.col("size") + F.col("size_v") <= most)
-        # A vertex's choice: its heaviest link, then a hash both ends agree on; two that choose each other merge, then others join their choice.
-        score = F.struct("w", F.xxhash64(F.least("u", "v"), F.greatest("u", "v"), F.lit(level)).alias("h"), "v")
-        choice = sized.groupBy("u").agg(F.max(score).alias("s")).select("u", F.col("s.v").alias("v"))
-        mutual = choice.join(choice.select(F.col("u").alias("v"), F.col("v").alias("u2")), "v").where("u = u2").select("u", F.least("u", "v").alias("c"))
-        mapping = epoch(size.join(mutual, "u", "left").select("u", F.coalesce("c", "u").alias("c")), "match")
+        links, size = graphs[-1]
+        mapping = epoch(_merge(links, size, most, level), "match")
         up = links.join(mapping.withColumnRenamed("c", "cu"), "u").join(mapping.select(F.col("u").alias("v"), F.col("c").alias("cv")), "v").where("cu <> cv")
         coarse = up.groupBy(F.least("cu", "cv").alias("u"), F.greatest("cu", "cv").alias("v")).agg(F.sum("w").alias("w"))
         merged = size.join(mapping, "u").groupBy("c").agg(F.sum("size").alias("size")).select(F.col("c").alias("u"), "size")
         maps.append(mapping)
         graphs.append((epoch(coarse, "cut"), epoch(merged, "size")))
+        before, clusters = clusters, graphs[-1][1].count()
+        if clusters > 0.98 * before:  # clusters are full, or have no links
+            break
+    if clusters > max(coarse_rows, 8 * p):
+        raise ValueError(f"merging left {clusters} clusters, more than the driver splits")
     links, size = graphs[-1]
-    if size.count() > coarse_rows:
-        raise ValueError(f"matching left more than {coarse_rows} clusters")
     plan = g.pairs.sparkSession.createDataFrame(_grow_parts(size.collect(), links.collect(), p), "u long, part_id int")
     plan = epoch(plan, "plan")
     for level in range(len(graphs) - 1, -1, -1):
         links, size = graphs[level]
         if level < len(graphs) - 1:
-            plan = maps[level].join(plan.withColumnRenamed("u", "c"), "c").select("u", "part_id")
-        plan = epoch(_refine(plan, links, size, p, (1 + imbalance) * g.n_vertices / p, sweeps if level < len(graphs) - 1 else 1), "plan")
+            plan = epoch(maps[level].join(plan.withColumnRenamed("u", "c"), "c").select("u", "part_id"), "plan")
+        plan = _refine(plan, links, size, p, (1 + imbalance) * g.n_vertices / p, sweeps if level < len(graphs) - 1 else 1)
     return plan.select(F.col("u").alias("id"), "part_id")
 
 
+def _merge(links: DataFrame, size: DataFrame, most: float, level: int) -> DataFrame:
+    """(u, c): by a coin drawn anew at each level half of the clusters stay, and each other one joins the staying neighbour of its heaviest link.
+
+    A cluster takes who comes with the heaviest links until it would exceed `most`; as each has a size of one or more, ranks
+    beyond `most` cannot fit and go before the exchange.
+    """
+    stays = lambda name: F.pmod(F.xxhash64(F.lit(level), name), F.lit(2)) == 0
+    both = links.unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v"), "w")).where(~stays("u") & stays("v"))
+    # Equal weights are told apart by a hash, or low ids would gather all.
+    choice = both.groupBy("u").agg(F.max(F.struct("w", F.xxhash64("u", "v", F.lit(level)).alias("h"), "v")).alias("s")).select("u", F.col("s.v").alias("v"), F.col("s.w").alias("w"))
+    first = Window.partitionBy("v").orderBy(F.desc("w"), "u")
+    near = choice.withColumn("r", F.row_number().over(first)).where(F.col("r") <= int(most)).drop("r")
+    sized = near.join(size, "u").join(size.select(F.col("u").alias("v"), F.col("size").alias("own")), "v")
+    held = F.sum("size").over(first.rowsBetween(Window.unboundedPreceding, 0)) + F.col("own")
+    taken = sized.withColumn("held", held).where(F.col("held") <= most).select("u", F.col("v").alias("c"))
+    return size.join(taken, "u", "left").select("u", F.coalesce("c", "u").alias("c"))
+
+
 def _grow_parts(size: list, links: list, p: int) -> list[tuple[int, int]]:
-    """Breadth-first regions of equal weight over the small graph."""
+    """Regions of equal weight over the small graph, grown by the cluster that most links lead to."""
     near: dict[int, list[tuple[int, int]]] = {r["u"]: [] for r in size}
     for r in links:
         near[r["u"]].append((r["w"], r["v"]))
@@ -122,17 +139,20 @@ def _grow_parts(size: list, links: list, p: int) -> list[tuple[int, int]]:
     weight = {r["u"]: r["size"] for r in size}
     total, out, part, held = sum(weight.values()), {}, 0, 0
     gain: dict[int, int] = {}
-    left = sorted(weight)
+    open_: list[tuple[int, int]] = []  # (-gain, cluster); entries of a smaller gain than the cluster's own are stale
+    left = iter(sorted(weight))
     while len(out) < len(weight):
-        u = max(gain, key=lambda x: (gain[x], -x)) if gain else next(x for x in left if x not in out)
-        gain.pop(u, None)
+        while open_ and (open_[0][1] in out or -open_[0][0] != gain[open_[0][1]]):
+            heapq.heappop(open_)
+        u = heapq.heappop(open_)[1] if open_ else next(x for x in left if x not in out)
         out[u] = part
         held += weight[u]
         for w, x in near[u]:
             if x not in out:
                 gain[x] = gain.get(x, 0) + w
+                heapq.heappush(open_, (-gain[x], x))
         if held >= total * (part + 1) / p and part < p - 1:
-            part, gain = part + 1, {}
+            part, gain, open_ = part + 1, {}, []
     return sorted(out.items())
 
 
