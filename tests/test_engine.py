@@ -1,7 +1,9 @@
 import heapq
 import math
+from collections import Counter
 
 import pytest
+from pyspark.sql import Row
 
 from manyq import workloads
 from manyq.operators import measures, partition, seeds
@@ -168,6 +170,23 @@ def test_partition_plans_cover(spark):
     assert seeds.sample_sources(g, 5).count() == 5
 
 
+def test_merging_keeps_clusters_small(spark):
+    hub = [(0, v, 1) for v in range(1, 301)] + [(1, 2, 5)]  # a hub that all would join, and a pair with a heavier link
+    links, size = spark.createDataFrame(hub, "u long, v long, w long"), spark.range(302).selectExpr("id AS u", "1L AS size")
+    for level in range(4):
+        merged = {r.u: r.c for r in partition._merge(links, size, 10.0, level).collect()}
+        assert set(merged) == set(range(302)) and merged[301] == 301  # a vertex without links stays alone
+        assert all(merged[c] == c for c in merged.values()) and max(Counter(merged.values()).values()) <= 10
+
+
+def test_grown_parts_are_even_and_whole(spark):
+    size = [Row(u=u, size=1) for u in range(40)]
+    links = [Row(u=u, v=u + 1, w=1) for u in range(38)]  # a path, and a vertex alone
+    plan = dict(partition._grow_parts(size, links, 4))
+    assert sorted(plan) == list(range(40)) and Counter(plan.values()) == {0: 10, 1: 10, 2: 10, 3: 10}
+    assert sum(plan[u] != plan[u + 1] for u in range(38)) <= 4
+
+
 def test_registered_profile_has_all_sizes(spark, monkeypatch):
     """Every size that 16 pushes reach is in the profile, not the first few hundred."""
     seen = []
