@@ -226,6 +226,21 @@ def _brandes(links: dict, sources: list, weighted: bool) -> dict:
     return {v: x * len(links) / len(sources) for v, x in score.items()}
 
 
+@pytest.mark.parametrize("weighted", [False, True])
+def test_exact_betweenness_folds_pendants(spark, weighted):
+    """Cycles with trees hanging on them, a component that is a tree, and one of two vertices; no more queries than the cycles have vertices."""
+    pairs = [(0, 1), (1, 2), (2, 3), (3, 0), (1, 3), (3, 10), (10, 11), (10, 12), (12, 13), (0, 14), (20, 21), (21, 22), (21, 23), (30, 31)]
+    bg, links = blocked(graph(spark, pairs), parts=2), {}
+    for r in bg.graph.edges.collect():
+        links.setdefault(r["src"], []).append((r["dst"], r["w"]))
+    folded, mass, left = apps.fold_pendants(bg.graph)
+    assert {r["v"] for r in left.select(left["src"].alias("v")).collect()} == {0, 1, 2, 3} and folded.count() == 9
+    assert {r["v"]: r["mass"] for r in mass.collect()} == {0: 2, 1: 1, 2: 1, 3: 5, 21: 4, 30: 2}
+    got = {r["v"]: r["score"] for r in apps.betweenness_exact(bg, weighted, batch=3).collect()}
+    want = _brandes(links, sorted(links), weighted)
+    assert got.keys() == want.keys() and all(math.isclose(got[v], want[v], abs_tol=1e-6) for v in want)
+
+
 @pytest.mark.parametrize(("query", "weighted"), [("bc_bfs_100", False), ("bc_sssp_100", True)])
 def test_hundred_sources_against_brute_force(spark, query, weighted):
     sf = "/root/testdata/sf0.001"
