@@ -248,6 +248,17 @@ def test_recursion_does_not_turn_back(spark):
     assert got == {v: 0 if v == 7 else 1 if v == 0 else 2 for v in range(1501)}
 
 
+def test_inter_query_holds_flat_arrays(spark):
+    """A worker's graph takes ten bytes an edge and twelve a vertex; lengths are those of the engine, in pieces and in any order."""
+    bg = fx.build(spark, *fx.TWO_QUERIES)
+    g, src = bg.graph, fx.sources(spark, "AI")
+    whole = baselines._whole(g)
+    assert sum(x.nbytes for x in whole.values()) <= 12 * g.links.count() + 12 * g.n_vertices + 4
+    want = sorted(map(tuple, queries.multi_sssp(bg, src).collect()))
+    for order in ("priority", "fifo", "lifo"):
+        assert sorted(tuple(r)[:4] for r in baselines.inter_query_run(g, src, True, order=order, batch_rows=4).collect()) == want
+
+
 @pytest.mark.parametrize(("query", "weighted"), [("bc_bfs_100", False), ("bc_sssp_100", True)])
 def test_hundred_sources_against_brute_force(spark, query, weighted):
     sf = "/root/testdata/sf0.001"
