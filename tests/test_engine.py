@@ -259,6 +259,13 @@ def test_inter_query_holds_flat_arrays(spark):
         assert sorted(tuple(r)[:4] for r in baselines.inter_query_run(g, src, True, order=order, batch_rows=4).collect()) == want
 
 
+def test_inter_query_levels_in_pieces(spark):
+    bg = fx.build(spark, *fx.TWO_QUERIES)
+    src = fx.sources(spark, "AI")
+    want = sorted(map(tuple, queries.multi_bfs(bg, src).collect()))
+    assert sorted(tuple(r)[:4] for r in baselines.inter_query_run(bg.graph, src, False, batch_rows=4).collect()) == want
+
+
 @pytest.mark.parametrize(("query", "weighted"), [("bc_bfs_100", False), ("bc_sssp_100", True)])
 def test_hundred_sources_against_brute_force(spark, query, weighted):
     sf = "/root/testdata/sf0.001"
