@@ -4,6 +4,7 @@ from collections import Counter
 
 import pytest
 from pyspark.sql import Row
+from pyspark.sql import functions as F
 
 from manyq import workloads
 from manyq.operators import measures, partition, seeds
@@ -13,6 +14,7 @@ from manyq.plans.engine import fork
 from manyq.plans.kernels import Push, Relax
 from manyq.plans.policy import Pending, Policy, YieldPolicy, policy_ladder
 from manyq.sources.graphs import Graph
+from manyq.streaming import requests
 from tests import fixtures as fx
 
 ONE = Policy(wave_width=1)
@@ -266,6 +268,21 @@ def test_inter_query_levels_in_pieces(spark):
     assert sorted(tuple(r)[:4] for r in baselines.inter_query_run(bg.graph, src, False, batch_rows=4).collect()) == want
 
 
+def test_co_activity_pairs_stay_in_their_task(spark):
+    """Pairs of users are counted where they are made: none of the plan's exchanges deals rows by dst, nor by pairs of events."""
+    rows = [(m % 90, "ab"[m % 2], m % 7 if m % 11 else None) for m in range(200)]
+    frame = spark.createDataFrame([(f"2024-01-01 0{m // 60}:{m % 60:02d}:00", t, u) for m, t, u in rows], "ts string, event_type string, user_id long").withColumn("ts", F.to_timestamp("ts"))
+    found = requests.co_activity_counts(frame)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange hashpartitioning(src" not in plan and "Exchange hashpartitioning(dst" not in plan
+    want = {}
+    for m, t, u in rows:
+        for m2, t2, u2 in rows:
+            if None not in (u, u2) and u != u2 and t == t2 and m // 60 == m2 // 60:
+                want.setdefault((u, u2), []).append(m // 60)
+    assert {(r["src"], r["dst"]): (r["windows"], r["n"]) for r in found.collect()} == {k: (len(set(v)), len(v)) for k, v in want.items()}
+
+
 @pytest.mark.parametrize(("query", "weighted"), [("bc_bfs_100", False), ("bc_sssp_100", True)])
 def test_hundred_sources_against_brute_force(spark, query, weighted):
     sf = "/root/testdata/sf0.001"
