@@ -8,12 +8,12 @@ from pyspark.sql import functions as F
 
 from manyq import workloads
 from manyq.operators import measures, partition, seeds
-from manyq.operators.blocks import BlockedGraph, blocked, unpack_blocks
+from manyq.operators.blocks import BlockedGraph, blocked, pack_blocks, unpack_blocks
 from manyq.plans import apps, baselines, queries
 from manyq.plans.engine import fork
 from manyq.plans.kernels import Push, Relax
 from manyq.plans.policy import Pending, Policy, YieldPolicy, policy_ladder
-from manyq.sources.graphs import Graph
+from manyq.sources.graphs import Graph, settled
 from manyq.streaming import requests
 from tests import fixtures as fx
 
@@ -283,6 +283,26 @@ def test_co_activity_pairs_stay_in_their_task(spark):
     assert {(r["src"], r["dst"]): (r["windows"], r["n"]) for r in found.collect()} == {k: (len(set(v)), len(v)) for k, v in want.items()}
 
 
+def test_large_parts_are_cut_to_fit_a_task(spark):
+    """A plan of two parts, one with hubs: pieces stay within the bounds but for a single hub, lie in one part each, and give the same answers."""
+    pairs = [(i, i + 1) for i in range(60)] + [(h, i) for h in (100, 101) for i in range(0, 40, 2)]
+    g = settled(graph(spark, pairs))
+    plan = partition.partition_chunk(g, 2)
+    assert partition.cut_large(g, plan) is None
+    cut = partition.cut_large(g, plan, most_edges=24, most_vertices=10).cache()
+    degree = {r["id"]: r["deg"] for r in g.vertices.collect()}
+    home, pieces = {r["id"]: r["part_id"] for r in plan.collect()}, {}
+    for r in cut.collect():
+        pieces.setdefault(r["part_id"], []).append(r["id"])
+    assert sorted(v for own in pieces.values() for v in own) == sorted(degree)
+    assert all(len({home[v] for v in own}) == 1 and len(own) <= 10 and (len(own) == 1 or sum(degree[v] for v in own) <= 24) for own in pieces.values())
+    whole, fine = blocked(g, plan), blocked(g, plan)
+    fine.__dict__["fitted"] = (cut, pack_blocks(g, cut))
+    src = spark.createDataFrame([(0, 0), (1, 101)], "query_id int, src long")
+    for make in (lambda b: queries.multi_bfs(b, src), lambda b: queries.multi_sssp(b, src), lambda b: queries.multi_walk(b, src, 6, 4)):
+        assert sorted(map(tuple, make(fine).collect())) == sorted(map(tuple, make(whole).collect()))
+
+
 @pytest.mark.parametrize(("query", "weighted"), [("bc_bfs_100", False), ("bc_sssp_100", True)])
 def test_hundred_sources_against_brute_force(spark, query, weighted):
     sf = "/root/testdata/sf0.001"
