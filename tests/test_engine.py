@@ -2,6 +2,7 @@ import heapq
 import math
 from collections import Counter
 
+import pyarrow as pa
 import pytest
 from pyspark.sql import Row
 from pyspark.sql import functions as F
@@ -11,7 +12,7 @@ from manyq.operators import measures, partition, seeds
 from manyq.operators.blocks import BlockedGraph, blocked, pack_blocks, unpack_blocks
 from manyq.plans import apps, baselines, queries
 from manyq.plans.engine import fork
-from manyq.plans.kernels import Push, Relax
+from manyq.plans.kernels import LocalGraph, Push, Relax
 from manyq.plans.policy import Pending, Policy, YieldPolicy, policy_ladder
 from manyq.sources.graphs import Graph, settled
 from manyq.streaming import requests
@@ -283,6 +284,17 @@ def test_co_activity_pairs_stay_in_their_task(spark):
     assert {(r["src"], r["dst"]): (r["windows"], r["n"]) for r in found.collect()} == {k: (len(set(v)), len(v)) for k, v in want.items()}
 
 
+def test_decoded_blocks_are_flat():
+    """A block of two chunks, out of order, in 20 bytes an edge."""
+    rows = [{"vids": [5, 9], "offsets": [0, 2, 3], "dst": [1, 9, 5], "dst_part": [0, 0, 0], "w": [4, 2, 2]}, {"vids": [1, 7], "offsets": [0, 1, 1], "dst": [5], "dst_part": [0], "w": [4]}]
+    kinds = {"vids": pa.int64(), "offsets": pa.int32(), "dst": pa.int64(), "dst_part": pa.int32(), "w": pa.int64()}
+    block = LocalGraph(0, pa.table({c: pa.array([r[c] for r in rows], pa.list_(k)) for c, k in kinds.items()}))
+    assert sum(len(x) * x.itemsize for x in (block.dst, block.dst_part, block.w)) == 20 * block.edges == 80
+    assert {v: list(zip(block.dst[slice(*block.range[v])], block.w[slice(*block.range[v])], strict=True)) for v in (1, 5, 7, 9)} == {1: [(5, 4)], 5: [(1, 4), (9, 2)], 7: [], 9: [(5, 2)]}
+    with pytest.raises(KeyError):
+        block.range[6]
+
+
 def test_large_parts_are_cut_to_fit_a_task(spark):
     """A plan of two parts, one with hubs: pieces stay within the bounds but for a single hub, lie in one part each, and give the same answers."""
     pairs = [(i, i + 1) for i in range(60)] + [(h, i) for h in (100, 101) for i in range(0, 40, 2)]
