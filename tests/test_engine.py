@@ -14,7 +14,7 @@ from manyq.plans import apps, baselines, queries, turns
 from manyq.plans.engine import fork
 from manyq.plans.kernels import LocalGraph, Push, Relax
 from manyq.plans.policy import Pending, Policy, YieldPolicy, policy_ladder
-from manyq.sources.graphs import Graph, settled
+from manyq.sources.graphs import Graph, reached, settled
 from manyq.streaming import requests
 from tests import fixtures as fx
 
@@ -351,3 +351,34 @@ def test_hundred_sources_against_brute_force(spark, query, weighted):
     want = _brandes(links, chosen, weighted)
     got = {r["v"]: r["score"] for r in workloads.queries()[query](spark, sf).collect()}
     assert got.keys() == want.keys() and all(math.isclose(got[v], want[v], abs_tol=0.01) for v in want)
+
+
+def test_power_on_arrays_in_one_task_and_in_rounds(spark):
+    pairs = [(1, 2), (2, 3), (3, 1), (3, 4), (4, 5), (11, 12), (12, 13), (13, 11), (21, 22)]
+    for directed in (False, True):
+        g = graph(spark, pairs, directed=directed)
+        src = spark.createDataFrame([(0, 1), (1, 12), (2, 1)], "query_id int, src long")
+        want = {(r["query_id"], r["v"]): r["p"] for r in baselines.ppr_power(g, src, rounds=9).collect()}
+        for how in ({}, {"task_links": 3}, {"task_links": 3, "most_entries": 11}, {"most_entries": 5}):
+            found = baselines.ppr_power_arrays(g, src, rounds=9, **how).collect()
+            assert {(r["query_id"], r["v"]): r["p"] for r in found} == pytest.approx(want, abs=1e-12) and len(found) == len(want)
+    with pytest.raises(ValueError):
+        baselines.ppr_power_arrays(g, spark.createDataFrame([(0, 99)], "query_id int, src long"))
+
+
+@pytest.mark.parametrize("most_sent", [1, 2_000_000])
+def test_reached_part_is_closed_and_keeps_degrees_and_weights(spark, most_sent):
+    g = graph(spark, [(1, 2), (2, 3), (3, 1), (3, 4), (11, 12), (12, 13), (21, 22)])
+    part = reached(g, spark.createDataFrame([(0, 1), (1, 12)], "query_id int, src long"), most_sent)
+    ids = {1, 2, 3, 4, 11, 12, 13}
+    assert {r["id"]: r["deg"] for r in part.vertices.collect()} == {r["id"]: r["deg"] for r in g.vertices.collect() if r["id"] in ids}
+    assert sorted(map(tuple, part.edges.collect())) == sorted(tuple(r) for r in g.edges.collect() if r["src"] in ids)
+    assert part.n_vertices == 7 and blocked(part, parts=2).blocks.count() == 2
+    ahead = reached(graph(spark, [(1, 2), (2, 3), (4, 1)], directed=True), spark.createDataFrame([(0, 2)], "query_id int, src long"), most_sent)
+    assert sorted(r["id"] for r in ahead.vertices.collect()) == [2, 3]
+    assert reached(g, spark.createDataFrame([(0, 1), (1, 12), (2, 22)], "query_id int, src long")) is g
+
+
+def test_links_hold_every_pair_once_each_way(spark):
+    pairs = [(1, 2), (2, 1), (1, 2), (3, 3), (None, 4), (5, None), (7, 6)]
+    assert sorted(map(tuple, graph(spark, pairs).links.collect())) == [(1, 2), (2, 1), (6, 7), (7, 6)]
