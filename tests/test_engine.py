@@ -382,3 +382,16 @@ def test_reached_part_is_closed_and_keeps_degrees_and_weights(spark, most_sent):
 def test_links_hold_every_pair_once_each_way(spark):
     pairs = [(1, 2), (2, 1), (1, 2), (3, 3), (None, 4), (5, None), (7, 6)]
     assert sorted(map(tuple, graph(spark, pairs).links.collect())) == [(1, 2), (2, 1), (6, 7), (7, 6)]
+
+
+@pytest.mark.parametrize("weighted", [False, True])
+def test_whole_graph_is_sorted_in_tasks(spark, weighted):
+    g = graph(spark, [(1, 2), (2, 3), (3, 9), (9, 1), (4, 9), (5, 6)], directed=True)
+    settled(g)
+    want = {(r["src"], r["dst"]): r["w"] for r in g.edges.collect()}
+    for part_edges in (1, 2, 100):
+        held = baselines._whole(g, weighted, part_edges)
+        owner = held["ids"][[v for v in range(len(held["ids"])) for _ in range(held["start"][v], held["start"][v + 1])]]
+        found = list(zip(owner.tolist(), held["ids"][held["to"]].tolist(), strict=True))
+        assert sorted(found) == sorted(want) and ("w" in held) == weighted
+        assert not weighted or [want[x] for x in found] == held["w"].tolist()
