@@ -2,6 +2,7 @@ import heapq
 import math
 from collections import Counter
 
+import numpy as np
 import pyarrow as pa
 import pytest
 from pyspark.sql import Row
@@ -10,7 +11,7 @@ from pyspark.sql import functions as F
 from manyq import workloads
 from manyq.operators import measures, partition, seeds
 from manyq.operators.blocks import BlockedGraph, blocked, pack_blocks, unpack_blocks
-from manyq.plans import apps, baselines, queries, turns
+from manyq.plans import apps, baselines, queries, turns, vector
 from manyq.plans.engine import fork
 from manyq.plans.kernels import LocalGraph, Push, Relax
 from manyq.plans.policy import Pending, Policy, YieldPolicy, policy_ladder
@@ -287,6 +288,25 @@ def test_inter_query_holds_flat_arrays(spark):
         assert sorted(tuple(r)[:4] for r in baselines.inter_query_run(g, src, True, order=order, batch_rows=4).collect()) == want
 
 
+def _host(bg):
+    """All of a graph's parts in one task, and operations that start at its first and last vertex."""
+    blocks = bg.blocks.toArrow()
+    host = turns.ArrayHost(0, blocks.append_column("own", blocks["part_id"]))
+    ops = {"q": np.arange(2), "v": host.ids[[0, -1]], "num": np.zeros(2), "aux": np.full(2, -1)}
+    return host, ops, {c: np.empty(0, np.int64) for c in ("q", "v", "num", "aux", "rest")}
+
+
+def test_a_task_gives_its_state_part_by_part(spark):
+    """No task puts the state of its parts together before it is written: labels of many queries would not fit."""
+    host, ops, none = _host(fx.build(spark, *fx.TWO_QUERIES))
+    rows = lambda x: list(zip(*(x[c].tolist() for c in ("q", "v", "num", "aux")), strict=True))
+    found = []
+    left, _, _ = turns.on_arrays(Relax(True), Policy(), host, 2, ops, none, 2, 1.0, found.append)
+    whole, _, _ = turns.on_arrays(Relax(True), Policy(), host, 2, ops, none, 2, 1.0)
+    assert len(found) == 4 and not len(left["v"])
+    assert sorted(r for x in found for r in rows(x)) == rows(whole) and len(whole["v"]) == 30
+
+
 def test_inter_query_levels_in_pieces(spark):
     bg = fx.build(spark, *fx.TWO_QUERIES)
     src = fx.sources(spark, "AI")
