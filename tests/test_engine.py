@@ -307,6 +307,18 @@ def test_a_task_gives_its_state_part_by_part(spark):
     assert sorted(r for x in found for r in rows(x)) == rows(whole) and len(whole["v"]) == 30
 
 
+def test_operations_that_are_not_consolidated_run_on_arrays(spark):
+    bg = fx.build(spark, *fx.TWO_QUERIES)
+
+    class Arrays(Relax):
+        def run(self, visit):
+            raise AssertionError("run one by one")
+
+    policy = policy_ladder(YieldPolicy(delta=2))["buffer"].but(turns=True)
+    want = fx.lengths(fork(bg, fx.sources(spark, "AIO"), Relax(True)))
+    assert fx.lengths(fork(bg, fx.sources(spark, "AIO"), Arrays(True), policy, traced=False)) == want
+
+
 def test_inter_query_levels_in_pieces(spark):
     bg = fx.build(spark, *fx.TWO_QUERIES)
     src = fx.sources(spark, "AI")
