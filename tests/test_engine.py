@@ -342,6 +342,27 @@ def test_arrival_order_holds_between_the_parts_of_a_task():
     assert arrival[2][2] < 1.8 * heap[2][2], (arrival[2], heap[2])
 
 
+@pytest.mark.parametrize("weighted", [True, False])
+def test_a_step_of_many_edges_is_followed_in_pieces(spark, monkeypatch, weighted):
+    """A task never holds the edges of a whole frontier: they would be many times the block."""
+    pairs = [(i, j) for i in range(40) for j in range(40, 60)]
+    bg = blocked(graph(spark, pairs), parts=2)
+    host, ops, none = _host(bg)
+    whole = turns.on_arrays(Relax(weighted), Policy(), host, 2, ops, none, 2, 1.0)
+    monkeypatch.setattr(vector, "STEP_EDGES", 50)
+    seen, follow = [], vector.Lengths.follow
+    monkeypatch.setattr(vector.Lengths, "follow", lambda self, now, u, degree: seen.append(int(degree.sum())) or follow(self, now, u, degree))
+    pieces = turns.on_arrays(Relax(weighted), Policy(), host, 2, ops, none, 2, 1.0)
+    assert all((whole[0][c] == pieces[0][c]).all() for c in ("q", "v", "num", "aux"))
+    assert max(seen) < 50 + 40 and len(seen) > 10  # a piece may end with one vertex more
+
+
+def test_edges_are_exchanged_once_to_their_chunks(spark):
+    bg = fx.build(spark, *fx.TWO_QUERIES)
+    plan = pack_blocks(bg.graph, bg.vparts)._jdf.queryExecution().executedPlan().toString()
+    assert "SortMergeJoin" not in plan and "Exchange hashpartitioning(src" not in plan and "Exchange hashpartitioning(dst" not in plan
+
+
 def test_inter_query_levels_in_pieces(spark):
     bg = fx.build(spark, *fx.TWO_QUERIES)
     src = fx.sources(spark, "AI")
