@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from manyq import workloads
 from manyq.operators import measures, partition, seeds
 from manyq.operators.blocks import BlockedGraph, blocked, pack_blocks, unpack_blocks
-from manyq.plans import apps, baselines, queries, turns, vector
+from manyq.plans import apps, baselines, engine, queries, turns, vector
 from manyq.plans.engine import fork
 from manyq.plans.kernels import LocalGraph, Push, Relax
 from manyq.plans.policy import Pending, Policy, YieldPolicy, policy_ladder
@@ -357,6 +357,20 @@ def test_a_step_of_many_edges_is_followed_in_pieces(spark, monkeypatch, weighted
     assert max(seen) < 50 + 40 and len(seen) > 10  # a piece may end with one vertex more
 
 
+def test_a_worker_gives_back_what_earlier_parts_took(monkeypatch):
+    given = []
+
+    class Pool:
+        def release_unused(self):
+            given.append(1)
+
+    left = pa.Table.from_pylist([{"kind": "state", "query_id": 0, "seq": 0} | {c: [1] for c in engine.LISTS}])
+    run = engine.make_kernel(Relax(True), Policy(), "t", 1, 1)
+    monkeypatch.setattr(engine.pa, "default_memory_pool", Pool)
+    run((pa.scalar(0), pa.scalar(0)), left, left)
+    assert given
+
+
 def test_edges_are_exchanged_once_to_their_chunks(spark):
     bg = fx.build(spark, *fx.TWO_QUERIES)
     plan = pack_blocks(bg.graph, bg.vparts)._jdf.queryExecution().executedPlan().toString()
