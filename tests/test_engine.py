@@ -357,6 +357,12 @@ def test_a_step_of_many_edges_is_followed_in_pieces(spark, monkeypatch, weighted
     assert max(seen) < 50 + 40 and len(seen) > 10  # a piece may end with one vertex more
 
 
+def test_a_task_counts_neighbours_in_other_parts():
+    """Two vertices with 50 neighbours elsewhere take room for 52, so fewer queries run at a time."""
+    row = {"own": 0, "part_id": 0, "vids": [0, 1], "offsets": [0, 50, 50], "dst": list(range(2, 52)), "dst_part": [1] * 50, "w": [1] * 50}
+    assert turns.ArrayHost(0, pa.Table.from_pylist([row])).size == 52
+
+
 def test_a_worker_gives_back_what_earlier_parts_took(monkeypatch):
     given = []
 
